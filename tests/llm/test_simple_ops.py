@@ -1,0 +1,222 @@
+import gzip
+import hashlib
+import random
+import re
+import zlib
+from collections import Counter, defaultdict
+
+import pytest
+
+from ctxmatch.llm import bpe, exact_dedup, mixing, quality, secrets, sharding, warc
+
+WS = re.compile(r"[\x20\x09-\x0D]+")
+
+
+def by_id(df, key="doc_id"):
+    return {r[key]: r for r in df.collect()}
+
+
+@pytest.mark.parametrize("fan_in,rounds", [(2, 3), (3, 2), (5, 1), (None, None)])
+def test_exact_dedup_equals_brute_force(docs, none, fan_in, rounds):
+    texts = {r.doc_id: WS.sub(" ", r.text or "") for r in docs.collect()}
+    groups = defaultdict(list)
+    for i, t in texts.items():
+        groups[t].append(i)
+    got = by_id(exact_dedup.mark_copies(docs, fan_in=fan_in, rounds=rounds))
+    assert set(got) == set(texts)
+    for i, t in texts.items():
+        r = got[i]
+        assert (r.keep_id, r.group_size, r.kept, r.text_sha256) == (min(groups[t]), len(groups[t]), i == min(groups[t]), hashlib.sha256(t.encode()).hexdigest())
+    assert exact_dedup.mark_copies(none).count() == 0
+    kept = exact_dedup.drop_copies(docs)
+    assert kept.columns == docs.columns and {r.doc_id for r in kept.collect()} == {min(g) for g in groups.values()}
+
+
+def test_exact_dedup_null_ids_and_repeated_rows(spark):
+    df = spark.createDataFrame([(None, "a"), (5, "a"), (5, "a"), (None, "b")], "doc_id long, text string")
+    got = sorted((str(r.doc_id), str(r.keep_id), r.group_size, r.kept) for r in exact_dedup.mark_copies(df).collect())
+    assert got == [("5", "5", 3, True), ("5", "5", 3, True), ("None", "5", 3, False), ("None", "None", 1, True)]
+
+
+def test_lanes_cover_partitions():
+    for n in (1, 2, 4, 5, 51, 211, 1000, 5000, 100_000):
+        fan_in, rounds = exact_dedup.lanes_for(n)
+        assert fan_in**rounds >= n and fan_in <= 33
+
+
+def test_lpt_balances_and_keeps_groups(docs, none):
+    assert sharding.schedule([("a", 7), ("b", 6), ("c", 5), ("d", 4), ("e", 3)], 2) == {"a": 0, "b": 1, "c": 1, "d": 0, "e": 0}
+    rows = sharding.assign_shards(docs).collect()
+    texts = {r.doc_id: r.text or "" for r in docs.collect()}
+    shard_of, slots = {}, defaultdict(list)
+    for r in rows:
+        assert shard_of.setdefault(texts[r.doc_id], r.shard) == r.shard and 0 <= r.shard < 8 and r.grown_shard is None and r.law == "bytes"
+        assert r.size == len(texts[r.doc_id].encode()) + 1 and r.text_crc32 == zlib.crc32(texts[r.doc_id].encode())
+        slots[r.shard].append(r.slot)
+    assert len(rows) == len(texts) and all(sorted(x) == list(range(len(x))) for x in slots.values())
+    assert sharding.assign_shards(none).count() == 0
+
+
+def test_lpt_is_near_equal_on_many_groups(spark):
+    rng = random.Random(3)
+    df = spark.createDataFrame([(i, "x" * int(rng.paretovariate(1.5) * 20) + str(i)) for i in range(3000)], "doc_id long, text string")
+    loads = Counter()
+    for r in sharding.assign_shards(df, bundles=256).collect():
+        loads[r.shard] += r.size
+    assert max(loads.values()) - min(loads.values()) <= sum(loads.values()) / 256 * 2
+
+
+@pytest.mark.parametrize("weights", [{"a": 5, "b": 3, "c": 2}, {"a": 1, "b": 1, "c": 1, "d": 1}, {"a": 0.001, "b": 0.9}])
+def test_pfair_lag_is_under_one_block(weights):
+    shares = mixing.whole_weights(weights, 64)
+    slots = mixing.frame_schedule(shares)
+    frame = sum(shares.values())
+    assert sorted(x for s in slots.values() for x in s) == list(range(frame))
+    for s, n in shares.items():
+        for t in range(frame + 1):
+            assert abs(sum(x < t for x in slots[s]) - n * t / frame) < 1
+
+
+def test_mix_equals_simulation(spark, docs, none):
+    rng = random.Random(5)
+    rows = [(i, rng.choice("aaaaab") if i % 9 else None) for i in range(900)]
+    df = spark.createDataFrame(rows, "doc_id long, source string")
+    got = mixing.mix(df, {"a": 0.5, "b": 0.3, None: 0.2}, block=4, frame=10).collect()
+    assert sorted(r.doc_id for r in got) == list(range(900))
+    owner = {}
+    for r in got:
+        assert owner.setdefault(r.slot, (r.source, r.block)) == (r.source, r.block)
+    assert sorted(owner) == list(range(len(owner)))  # no slot is idle
+    sizes = Counter(str(s) for _, s in rows)
+    ends = {s: max(k for k, (o, _) in owner.items() if str(o) == s) for s in sizes}
+    first = min(ends.values())
+    for s, w in (("a", 0.5), ("b", 0.3), ("None", 0.2)):
+        for t in range(first + 1):
+            assert abs(sum(str(owner[k][0]) == s for k in range(t)) - w * t) < 1
+    for r in got:
+        assert r.release < r.deadline and 0 <= r.offset < 4
+    assert mixing.mix(none.drop("slot"), {"a": 1}).count() == 0
+    ordered = mixing.mixed_order(docs, {"a": 1, "b": 1})
+    assert ordered.columns == docs.columns and sorted(map(str, ordered.collect())) == sorted(map(str, docs.collect()))
+
+
+def tiktoken_encoding():
+    tiktoken, tokenizers = pytest.importorskip("tiktoken"), pytest.importorskip("public_tokenizers")
+    path = tokenizers.path("byte_bpe_50k.tiktoken")
+    ranks = bpe.read_ranks(path)
+    return path, tokenizers.PATTERN, tiktoken.Encoding("own", pat_str=tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens={}), bpe.Encoder(ranks, tokenizers.PATTERN)
+
+
+def test_bpe_equals_tiktoken(docs, none):
+    path, pattern, reference, encoder = tiktoken_encoding()
+    got = by_id(bpe.encode_documents(docs, path, pattern, with_ids=True))
+    for r in docs.collect():
+        ids = reference.encode_ordinary(r.text or "")
+        assert got[r.doc_id].ids == ids and got[r.doc_id].n_tokens == len(ids)
+        assert got[r.doc_id].ids_sha256 == hashlib.sha256(" ".join(map(str, ids)).encode()).hexdigest()
+        assert got[r.doc_id].decoded_sha256 == hashlib.sha256((r.text or "").encode()).hexdigest()
+    back = by_id(bpe.decode_documents(bpe.encode_documents(docs, path, pattern, with_ids=True), path))
+    assert {i: r.text for i, r in back.items()} == {r.doc_id: r.text or "" for r in docs.collect()}
+    assert bpe.encode_documents(none, path, pattern).count() == 0
+    rng, letters = random.Random(1), "ab  \t\n\r\x1c\x85\xa0é中'stlre0Ⅷ²_-.!ſK"
+    for _ in range(3000):
+        text = "".join(rng.choice(letters) for _ in range(rng.randint(0, 30)))
+        assert encoder.encode(text) == reference.encode_ordinary(text)
+    for text in ("a" * 60_000, "".join(rng.choice("abcdé") for _ in range(60_000))):
+        assert encoder.encode(text) == reference.encode_ordinary(text)
+
+
+def brute_quality(text):
+    words = [w for w in WS.split(text or "") if w]
+    windows = Counter(tuple(words[i : i + 8]) for i in range(len(words) - 7))
+    in_repeat = {i + k for i in range(len(words) - 7) if windows[tuple(words[i : i + 8])] > 1 for k in range(8)}
+    lines = [x for x in (text or "").split("\n") if WS.sub("", x)]
+    n, r = len(words), len(in_repeat)
+    return n, sum(map(len, words)), len(re.findall(r"[#*$%&|<>]", text or "")), len(lines) - len(set(lines)), r, n < 20 or 100 * r > 30 * n
+
+
+def test_quality_base_equals_brute_force(docs, none):
+    got = by_id(quality.judge(docs))
+    for r in docs.collect():
+        g = got[r.doc_id]
+        assert (g.n_words, g.word_chars, g.n_symbols, g.n_dup_lines, g.n_repeat_words, g.base_failed) == brute_quality(r.text), r.doc_id
+        assert not (g.base_failed and g.kept)
+    assert len(got) == docs.count() and quality.judge(none).count() == 0
+
+
+def test_quality_distance_equals_numpy(docs, spark):
+    rows = quality.measures(docs).select("chars", quality.distance(quality.F.col("chars"), [0.1, 0.1, 0.2, 0.1, 0.2, 0.3]).alias("d")).collect()
+    for r in rows:
+        if sum(r.chars):
+            assert abs(r.d - quality.js_distance([c / sum(r.chars) for c in r.chars], [0.1, 0.1, 0.2, 0.1, 0.2, 0.3])) < 1e-6
+        else:
+            assert r.d is None
+
+
+def test_quality_verdict_uses_the_distance(spark):
+    plain = [(i, "the man and the dog of it was in the house that is for the cat to see " * 4 + str(i) + " and so on it goes to the end of it all", "en") for i in range(20)]
+    odd = [(100, " ".join(f"###{i}%%%" for i in range(150)), "en")]
+    got = by_id(quality.judge(spark.createDataFrame([(i, t + " ".join(f"w{i}x{k}" for k in range(200)), x) for i, t, x in plain] + odd, "doc_id long, text string, lang string"), most_words=1.0))
+    assert all(got[i].kept for i in range(20)) and not got[100].base_failed and not got[100].kept
+
+
+def brute_secrets(text):
+    out = []
+    for m in re.finditer(r"""((?:[pP][aA][sS][sS][wW][oO][rR][dD])|(?:[pP][aA][sS][sS][wW][dD])|(?:[sS][eE][cC][rR][eE][tT])|(?:[tT][oO][kK][eE][nN])|(?:[aA][pP][iI]_?[kK][eE][yY]))["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", text):
+        out += [(m.start(), 0, m.end())] * (len(m[2]) >= 12)
+    out += [(m.start(), 1, m.end()) for m in re.finditer("AKIA[A-Z0-9]+", text) if len(m[0]) >= 18]
+    out += [(m.start(), 2, m.end()) for m in re.finditer("[0-9a-f]+", text) if len(m[0]) >= 16]
+    return sorted(out)
+
+
+def test_secrets_equal_brute_force(docs, none):
+    got = by_id(secrets.find_secrets(docs))
+    for r in docs.collect():
+        spans = brute_secrets(r.text or "")
+        g = got[r.doc_id]
+        assert [g.n_assign, g.n_access, g.n_hex] == [sum(k == j for _, k, _ in spans) for j in range(3)]
+        assert g.base_sha256 == hashlib.sha256(",".join(f"{secrets.KINDS[k]}:{s}:{e}" for s, k, e in spans).encode()).hexdigest()
+        assert set(x for x in g.spans.split(",") if x) >= {f"{secrets.KINDS[k]}:{s}:{e}" for s, k, e in spans}
+    assert secrets.find_secrets(none).count() == 0
+    scanner = secrets.Scanner([], [], 0)
+    rng = random.Random(2)
+    for _ in range(5000):
+        text = "".join(rng.choice(["token", "=", ":", "abcdef01", " ", "AKIA", "Q2", "'", "secret", "ſecret", "xyz", "api_key", "API"]) for _ in range(rng.randint(1, 14)))
+        assert scanner.base(text) == brute_secrets(text)
+
+
+def test_secrets_adds_random_tokens_only(spark):
+    key = secrets.random_strings(30, seed=5)
+    texts = [f"see {k} there, the get_user_account_name_12 or https/path/internationalization2 value" for k in key]
+    rows = secrets.find_secrets(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")).collect()
+    found = {r.doc_id: r.spans for r in rows}
+    hits = sum(f"{4}:{4 + len(key[i])}" in found[i] for i in found)
+    assert hits >= 27 and all(s.count(",") == 0 for s in found.values())
+
+
+def test_markov_models_separate_held_out_samples():
+    scanner = secrets.Scanner(secrets.random_strings(4000), secrets.identifiers(4000), 0.5)
+    hits = sum(scanner.ratio(s) > 0.5 for s in secrets.random_strings(500, seed=99)) / 500
+    false = sum(scanner.ratio(s) > 0.5 for s in secrets.identifiers(500, seed=98) if len(s) >= 16) / 500
+    assert hits > 0.95 and false < 0.03
+
+
+def test_warc_round_trip(spark, tmp_path):
+    same = "<p>" + "y" * 200
+    rows = [(1, "http://a/", same), (2, "http://b/\r\nX: y", same), (3, None, None), (4, "u", ""), (5, "u", "short"), (6, "u", "short"), (7, "u", "é\r\n\r\nWARC/1.1\r\n" * 30), (None, "u", same), (9, "u", same)]
+    pages = spark.createDataFrame(rows, "page_id long, url string, html string").repartition(3)
+    got = sorted(map(tuple, warc.archive_pages(pages, archive_bytes=400).collect()), key=str)
+    size = lambda h: len((h or "").encode())
+    want = [(i, size(h), hashlib.sha256((h or "").encode()).hexdigest(), "revisit" if h == same and i != 1 else "response", 1 if h == same and i != 1 else None) for i, _, h in rows]
+    assert got == sorted(want, key=str)
+    assert warc.archive_pages(pages.filter("false")).count() == 0
+    data = b"".join(warc.record(i or 0, u, (h or "").encode(), hashlib.sha256((h or "").encode()).hexdigest(), None) for i, u, h in rows)
+    (tmp_path / "whole.gz").write_bytes(gzip.compress(data))
+    assert warc.normalise_file(str(tmp_path / "whole.gz"), str(tmp_path / "out.gz")) == len(rows)
+    packed, members = (tmp_path / "out.gz").read_bytes(), warc.normalise(gzip.compress(data))
+    assert gzip.decompress(packed) == data and packed == members[0]
+    for line, (i, _, h) in zip((tmp_path / "out.gz.idx").read_text().splitlines(), rows, strict=True):
+        _, at, n = line.split("\t")
+        assert warc.read_record(packed[int(at) : int(at) + int(n)])[:2] == (i or 0, size(h))
+    with pytest.raises(ValueError):
+        warc.normalise(gzip.compress(data[:-500]))
