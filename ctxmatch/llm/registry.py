@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import bpe, exact_dedup, mixing, quality, secrets, sharding, warc
+from . import bpe, exact_dedup, mixing, quality, secrets, sharding, toxicity, warc
 from .common import table
 
 
@@ -20,6 +20,11 @@ def op2_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return exact_dedup.mark_copies(table(spark, sf_dir, "documents"))
 
 
+def op3_weak_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    return toxicity.score_documents(docs, toxicity.fit(docs, table(spark, sf_dir, "labels")))
+
+
 def op4_markov_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
     return secrets.find_secrets(table(spark, sf_dir, "documents"))
 
@@ -43,7 +48,7 @@ def op9_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_pfair_mix, op2_exact_dedup, op4_markov_secrets, op6_bpe, op7_divergence_rules, op8_lpt_shards, op9_warc)}
+    return {f.__name__: f for f in (op1_pfair_mix, op2_exact_dedup, op3_weak_toxicity, op4_markov_secrets, op6_bpe, op7_divergence_rules, op8_lpt_shards, op9_warc)}
 
 
 def oracle_sql() -> dict[str, str]:
