@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import bpe, exact_dedup, mixing, quality, secrets, sharding, toxicity, warc
+from . import bpe, exact_dedup, mixing, near_dup, quality, secrets, sharding, toxicity, warc
 from .common import table
 
 
@@ -47,8 +47,12 @@ def op9_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
     return warc.archive_pages(table(spark, sf_dir, "pages"))
 
 
+def op10_odd_sketch_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return near_dup.near_components(table(spark, sf_dir, "documents"), words=4)
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_pfair_mix, op2_exact_dedup, op3_weak_toxicity, op4_markov_secrets, op6_bpe, op7_divergence_rules, op8_lpt_shards, op9_warc)}
+    return {f.__name__: f for f in (op1_pfair_mix, op2_exact_dedup, op3_weak_toxicity, op4_markov_secrets, op6_bpe, op7_divergence_rules, op8_lpt_shards, op9_warc, op10_odd_sketch_minhash)}
 
 
 def oracle_sql() -> dict[str, str]:
