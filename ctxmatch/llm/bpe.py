@@ -23,7 +23,7 @@ from .common import text_of
 #: Unicode's White_Space, as the pattern's \s is meant; fixed values.
 WHITE = "\t-\r \x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000"
 #: Pre-tokens remembered by a worker before it forgets them all.
-MEMO = 600_000
+MEMO = 1_000_000
 
 
 def read_ranks(path: str) -> dict[bytes, int]:
@@ -129,6 +129,13 @@ class Encoder:
 _WORKER: dict[tuple[str, str], Encoder] = {}
 
 
+def _worker_encoder(vocabulary: str, pattern: str, ranks) -> Encoder:
+    """The encoder of this Python worker, with what it remembers from task to task."""
+    if (vocabulary, pattern) not in _WORKER:
+        _WORKER[vocabulary, pattern] = Encoder(ranks.value, pattern)
+    return _WORKER[vocabulary, pattern]
+
+
 def encode_documents(docs: DataFrame, vocabulary: str, pattern: str, *, with_ids: bool = False) -> DataFrame:
     """One row per document: doc_id, n_tokens, ids_sha256, decoded_sha256 and, if asked for, the ids themselves.
 
@@ -138,10 +145,7 @@ def encode_documents(docs: DataFrame, vocabulary: str, pattern: str, *, with_ids
     id_type = docs.schema["doc_id"].dataType.simpleString()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        key = (vocabulary, pattern)
-        if key not in _WORKER:
-            _WORKER[key] = Encoder(ranks.value, pattern)
-        encoder = _WORKER[key]
+        encoder = _worker_encoder(vocabulary, pattern, ranks)
         digits = [str(i) for i in range(len(encoder.tokens))]
         for batch in batches:
             counts, hashes, decoded, lists = [], [], [], []
