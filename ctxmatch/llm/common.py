@@ -55,8 +55,11 @@ def plan_bytes(df: DataFrame) -> int:
 
 
 def parts_for(df: DataFrame, bytes_each: int, least: int = 1) -> int:
-    """How many tasks of about ``bytes_each`` the input needs; grows with the input, bounded only against absurd estimates."""
-    return max(least, min(1_000_000, -(-plan_bytes(df) // bytes_each)))
+    """How many tasks of about ``bytes_each`` the input needs; grows with the input. Without an estimate, the session's shuffle partitions."""
+    size = plan_bytes(df)
+    if size >= 1 << 60:  # what Spark assumes where it knows nothing
+        return max(least, int(df.sparkSession.conf.get("spark.sql.shuffle.partitions")))
+    return max(least, -(-size // bytes_each))
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:

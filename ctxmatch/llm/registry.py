@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import bpe, exact_dedup, mixing, near_dup, quality, secrets, sharding, toxicity, warc
+from . import bpe, exact_dedup, mixing, near_dup, quality, secrets, sharding, suffix_dedup, toxicity, warc
 from .common import table
 
 
@@ -29,6 +29,10 @@ def op4_markov_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
     return secrets.find_secrets(table(spark, sf_dir, "documents"))
 
 
+def op5_repeat_removal(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return suffix_dedup.remove_repeats(table(spark, sf_dir, "documents"))
+
+
 def op6_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     import public_tokenizers
 
@@ -52,7 +56,7 @@ def op10_odd_sketch_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_pfair_mix, op2_exact_dedup, op3_weak_toxicity, op4_markov_secrets, op6_bpe, op7_divergence_rules, op8_lpt_shards, op9_warc, op10_odd_sketch_minhash)}
+    return {f.__name__: f for f in (op1_pfair_mix, op2_exact_dedup, op3_weak_toxicity, op4_markov_secrets, op5_repeat_removal, op6_bpe, op7_divergence_rules, op8_lpt_shards, op9_warc, op10_odd_sketch_minhash)}
 
 
 def oracle_sql() -> dict[str, str]:
