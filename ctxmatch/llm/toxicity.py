@@ -131,20 +131,29 @@ class Lexicons:
 
 
 class LabelModel:
-    """P(class) * product over voters of P(vote | vote of its parent in the tree, class), fitted by expectation maximisation."""
+    """P(class) * product over voters of P(vote | vote of its parent in the tree, class), fitted by expectation maximisation.
+
+    Vote vectors of labelled rows can anchor the fit: together they weigh as much as the corpus, with their classes fixed.
+    """
 
     def __init__(self, prior: float = 0.1, rounds: int = 30, smooth: float = 1.0):
         self.prior, self.rounds, self.smooth = prior, rounds, smooth
 
-    def fit(self, votes: np.ndarray, counts: np.ndarray) -> LabelModel:
-        counts = counts.astype(float)
+    def fit(self, votes: np.ndarray, counts: np.ndarray, known_votes: np.ndarray | None = None, known: np.ndarray | None = None) -> LabelModel:
+        counts, free = counts.astype(float), len(votes)
+        if known is not None and len(known):
+            votes = np.concatenate([votes, known_votes])
+            counts = np.concatenate([counts, np.full(len(known), counts.sum() / len(known))])
+        else:
+            known = np.zeros(0)
         states = votes + 1
         n, m = states.shape
         # the start: a vote counts for its class with a fixed log-odds; each voter alike
         post = 1 / (1 + np.exp(-(votes.sum(1) * 1.0 + math.log(self.prior / (1 - self.prior)))))
         self.parent = [-1] * m
+        post[free:] = known
         for step in range(self.rounds):
-            if step in (3, 10):
+            if step in (0, 3, 10):
                 self.parent = self._tree(states, counts, post, m)
             self.table = []
             weight = np.stack([counts * (1 - post), counts * post], 1)
@@ -156,6 +165,7 @@ class LabelModel:
                     np.add.at(table[y], (above, states[:, j]), weight[:, y])
                 self.table.append(np.log(table / table.sum(2, keepdims=True)))
             post = self.posterior(votes)
+            post[free:] = known
         return self
 
     def _tree(self, states, counts, post, m) -> list[int]:
@@ -249,10 +259,11 @@ def fit(docs: DataFrame, labels: DataFrame, *, sample: int = 8000, folds: int =
     lexicons = Lexicons(texts, toxic)
     votes, counts = vote_counts(docs, lexicons)
     model = LabelModel(prior=float(np.clip(toxic.mean(), 0.01, 0.5)) if len(toxic) else 0.1)
-    model.fit(votes if len(votes) else np.zeros((1, len(VOTERS)), int), counts if len(counts) else np.ones(1))
     looks = [lexicons.look(t) for t in texts]
+    own = np.array([v for v, _, _ in looks], int).reshape(-1, len(VOTERS))
+    model.fit(votes if len(votes) else np.zeros((1, len(VOTERS)), int), counts if len(counts) else np.ones(1), own, toxic)
     if looks:
-        target = model.posterior(np.array([v for v, _, _ in looks]))
+        target = model.posterior(own)
         weights = fit_logistic([s for _, s, _ in looks], np.array([d for _, _, d in looks]), target, len(lexicons.vocabulary))
     else:  # no labelled row: the public list alone decides
         weights = np.array([0.0, 6.0, 0.0, -3.0])
