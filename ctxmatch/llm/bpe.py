@@ -14,6 +14,7 @@ import base64
 import hashlib
 from collections.abc import Iterator
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -155,7 +156,7 @@ def encode_documents(docs: DataFrame, vocabulary: str, pattern: str, *, with_ids
                 hashes.append(hashlib.sha256(" ".join(map(digits.__getitem__, ids)).encode()).hexdigest())
                 decoded.append(hashlib.sha256(encoder.decode(ids)).hexdigest())
                 if with_ids:
-                    lists.append(ids)
+                    lists.append(np.array(ids, np.int32))
             cols = [batch.column(0), pa.array(counts, pa.int64()), pa.array(hashes, pa.string()), pa.array(decoded, pa.string())]
             names = ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"]
             if with_ids:
