@@ -95,10 +95,11 @@ def measures(docs: DataFrame) -> DataFrame:
 
 def distance(counts: Column, reference: list[float]) -> Column:
     """Jensen-Shannon distance between a histogram of counts and a reference that sums to 1."""
-    total = F.aggregate(counts, F.lit(0.0), lambda a, x: a + x)
     half = lambda p, q: F.when(p > 0, p * F.log2(2 * p / (p + q))).otherwise(0.0)
-    terms = F.zip_with(counts, F.array(*map(F.lit, reference)), lambda c, q: half(c / total, q) + half(q, c / total))
-    return F.when(total > 0, F.sqrt(F.greatest(F.lit(0.0), F.aggregate(terms, F.lit(0.0), lambda a, x: a + x) / 2)))
+    added = lambda xs: F.aggregate(xs, F.lit(0.0), lambda a, x: a + x)
+    shares = _bind(added(counts), lambda total: F.when(total > 0, F.transform(counts, lambda c: c / total)))
+    terms = F.zip_with(shares, F.array(*map(F.lit, reference)), lambda p, q: half(p, q) + half(q, p))
+    return F.sqrt(F.greatest(F.lit(0.0), added(terms) / 2))
 
 
 def references(rows: DataFrame) -> dict[str, tuple[list[float], list[float]]]:
