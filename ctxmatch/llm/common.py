@@ -11,6 +11,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 _LOCAL: dict[str, str] = {}
+BATCH = "spark.sql.execution.arrow.maxRecordsPerBatch"
 
 
 def shared_dir(spark: SparkSession) -> str:
@@ -31,7 +32,12 @@ def written(df: DataFrame, tag: str) -> DataFrame:
     """
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/{tag}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
+    batch = spark.conf.get(BATCH)
+    spark.conf.set(BATCH, min(int(batch), 1000) if int(batch) > 0 else 1000)  # rows hold whole texts: small batches bound Arrow's memory on both sides
+    try:
+        df.write.parquet(path)
+    finally:
+        spark.conf.set(BATCH, batch)
     return spark.read.schema(df.schema).parquet(path)
 
 
