@@ -23,8 +23,8 @@ from .common import text_of
 
 #: Unicode's White_Space, as the pattern's \s is meant; fixed values.
 WHITE = "\t-\r \x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000"
-#: Pre-tokens remembered by a worker before it forgets them all.
-MEMO = 1_000_000
+#: Pre-tokens remembered by a worker in each of two generations: what the younger one has not met again by the time it is full is forgotten.
+MEMO = 300_000
 
 
 def read_ranks(path: str) -> dict[bytes, int]:
@@ -41,36 +41,41 @@ class Encoder:
         for token, rank in ranks.items():
             self.tokens[rank] = token
         self.byte_id = [ranks.get(bytes([b]), -1) for b in range(256)]
-        self.pairs: dict[tuple[int, int], int] = {}
+        self.pairs: dict[int, int] = {}  # left << 17 | right -> rank; ids stay under 2 ** 17
         for token, rank in ranks.items():
             for cut in range(1, len(token)):
                 left, right = ranks.get(token[:cut]), ranks.get(token[cut:])
                 if left is not None and right is not None:
-                    self.pairs[left, right] = rank
+                    self.pairs[left << 17 | right] = rank
+        if len(self.tokens) >= 1 << 17:
+            raise ValueError("the vocabulary has more ids than a pair key holds")
         self.pattern = regex.compile(pattern.replace(r"[^\s", f"[^{WHITE}").replace(r"(?!\S)", f"(?![^{WHITE}])").replace(r"\s", f"[{WHITE}]"))
         self.words = -(-len(self.tokens) // 64)
         self.leaf = [0] * self.words
-        self.memo: dict[str, list[int]] = {}
+        self.memo: dict[str, tuple[int, ...]] = {}
+        self.older: dict[str, tuple[int, ...]] = {}
 
     def merge(self, piece: bytes) -> list[int]:
         """Ids of one pre-token."""
         known = self.ranks.get(piece)
         if known is not None:
             return [known]
-        pairs, leaf, n = self.pairs, self.leaf, len(piece)
+        find, leaf, n = self.pairs.get, self.leaf, len(piece)
         ids = list(map(self.byte_id.__getitem__, piece))
         nxt, prv = list(range(1, n + 1)), list(range(-1, n - 1))
         nxt[n - 1] = -1
-        root, buckets = 0, {}
-        for at in range(n - 1):
-            rank = pairs.get((ids[at], ids[at + 1]))
+        root, buckets, at = 0, {}, 0
+        for first, second in zip(ids, ids[1:]):
+            rank = find(first << 17 | second)
             if rank is not None:
                 if rank in buckets:
                     buckets[rank].append(at)
                 else:
                     buckets[rank] = [at]
-                    leaf[rank >> 6] |= 1 << (rank & 63)
-                    root |= 1 << (rank >> 6)
+                    word = rank >> 6
+                    leaf[word] |= 1 << (rank & 63)
+                    root |= 1 << word
+            at += 1
         while root:
             word = (root & -root).bit_length() - 1
             bits = leaf[word]
@@ -82,25 +87,42 @@ class Encoder:
             waiting = buckets.pop(rank)
             if len(waiting) > 1:
                 waiting.sort()
-            for k, at in enumerate(waiting):
-                if ids[at] < 0 or (right := nxt[at]) < 0 or pairs.get((ids[at], ids[right])) != rank:
+            left = len(waiting)
+            for at in waiting:
+                left -= 1
+                right = nxt[at]
+                if right < 0 or find(ids[at] << 17 | ids[right]) != rank:
                     continue  # stale
                 ids[at], ids[right] = rank, -1
                 after = nxt[at] = nxt[right]
+                nxt[right] = -1
+                lower = False
                 if after >= 0:
                     prv[after] = at
-                before, lower = prv[at], False
-                for first, second in ((before, at), (at, after)):
-                    if first >= 0 and second >= 0 and (new := pairs.get((ids[first], ids[second]))) is not None:
+                    new = find(rank << 17 | ids[after])
+                    if new is not None:
+                        lower = new <= rank
+                        if new in buckets:
+                            buckets[new].append(at)
+                        else:
+                            buckets[new] = [at]
+                            word = new >> 6
+                            leaf[word] |= 1 << (new & 63)
+                            root |= 1 << word
+                before = prv[at]
+                if before >= 0:
+                    new = find(ids[before] << 17 | rank)
+                    if new is not None:
                         lower |= new <= rank
                         if new in buckets:
-                            buckets[new].append(first)
+                            buckets[new].append(before)
                         else:
-                            buckets[new] = [first]
-                            leaf[new >> 6] |= 1 << (new & 63)
-                            root |= 1 << (new >> 6)
-                if lower and k + 1 < len(waiting):  # a merge of lower rank has appeared: the rest of the bucket waits again
-                    rest = waiting[k + 1 :]
+                            buckets[new] = [before]
+                            word = new >> 6
+                            leaf[word] |= 1 << (new & 63)
+                            root |= 1 << word
+                if lower and left:  # a merge of lower rank has appeared: the rest of the bucket waits again
+                    rest = waiting[-left:]
                     if rank in buckets:
                         buckets[rank] += rest
                     else:
@@ -115,10 +137,11 @@ class Encoder:
         for piece in self.pattern.findall(text):
             ids = memo.get(piece)
             if ids is None:
-                ids = self.merge(piece.encode())
+                ids = self.older.get(piece) or tuple(self.merge(piece.encode()))
                 if len(piece) < 64:
                     if len(memo) >= MEMO:
-                        memo.clear()
+                        self.older, self.memo = memo, {}
+                        memo = self.memo
                     memo[piece] = ids
             out += ids
         return out
