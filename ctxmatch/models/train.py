@@ -1,8 +1,141 @@
+"""Training as Spark tasks: one group per (model, fold, run), so that all models of all runs train side by side."""
+
+from __future__ import annotations
+
+import zlib
+from itertools import combinations
+
+import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
+from .mlp import Mlp, TrainConfig
+
+KINDS = ("SINGLE", "PAIR", "HOLO")
+MODEL = "model_id string, fold int, run int, dims array<int>, outputs array<string>, weights binary, score double"
+
+
+def specs(kind: str, schemas: list[str]) -> dict[str, tuple[str, ...]]:
+    """model id -> its schemas: each alone, each pair, or all."""
+    names = sorted(schemas)
+    if kind == "SINGLE":
+        return {f"SINGLE:{s}": (s,) for s in names}
+    if kind == "PAIR":
+        return {f"PAIR:{a}+{b}": (a, b) for a, b in combinations(names, 2)}
+    return {"HOLO": tuple(names)}
+
+
+def count(kind: str, schemas: int) -> int:
+    return {"SINGLE": schemas, "PAIR": schemas * (schemas - 1) // 2, "HOLO": 1}[kind]
 
-def with_folds(rac: DataFrame, k: int = 5) -> DataFrame:
+
+def with_folds(rac: DataFrame, k: int = 5, *, group_by_column: bool = False) -> DataFrame:
+    """``fold``: rows of a stratum (schema, origin table) dealt in the order of a hash; ``group_by_column`` keeps all views of a column in one fold."""
+    if group_by_column:
+        return rac.withColumn("fold", (F.conv(F.substring(F.md5("column_id"), 1, 8), 16, 10).cast("long") % k).cast("int"))
     order = Window.partitionBy("schema_id", "origin_table").orderBy(F.md5(F.concat("view_id", "column_id")), "view_id", "column_id")
     return rac.withColumn("fold", ((F.row_number().over(order) - 1) % k).cast("int"))
+
+
+def matrices(rows: pd.DataFrame, outputs: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(vectors, soft labels, mask of the row's own schema's outputs)."""
+    at = {o: i for i, o in enumerate(outputs)}
+    own = np.array([o.split(".")[0] for o in outputs])
+    y = np.zeros((len(rows), len(outputs)))
+    for i, (schema, label) in enumerate(zip(rows["schema_id"], rows["y"], strict=True)):
+        for table, weight in (label.items() if isinstance(label, dict) else label):
+            y[i, at[f"{schema}.{table}"]] = weight
+    mask = (rows["schema_id"].to_numpy()[:, None] == own[None]).astype(float)
+    return np.array(rows["x"].tolist(), float).reshape(len(rows), -1), y, mask
+
+
+def train(rac: DataFrame, tables: DataFrame, kind: str, *, config: TrainConfig = TrainConfig(), runs: int = 1, group_by_column: bool = False, tag: str = "") -> DataFrame:
+    """A row per trained model: MODEL. ``rac``: schema_id, view_id, column_id, origin_table, x, y; ``tables``: schema_id, table_id (metadata, read on the driver).
+
+    Rows are copied to every task that needs them; the mask keeps a row's loss to its own schema's outputs.
+    """
+    spark = rac.sparkSession
+    names = [f"{r.schema_id}.{r.table_id}" for r in tables.select("schema_id", "table_id").orderBy("schema_id", "table_id").collect()]
+    models = specs(kind, sorted({n.split(".")[0] for n in names}))
+    tasks = spark.createDataFrame([(m + tag, s, f, r) for m, own in models.items() for s in own for f in range(config.folds) for r in range(runs)], "model_id string, schema_id string, task_fold int, run int")
+    outputs = {m + tag: [n for n in names if n.split(".")[0] in own] for m, own in models.items()}
+    rows = with_folds(rac, config.folds, group_by_column=group_by_column).select("schema_id", "origin_table", "view_id", "column_id", F.col("x").cast("array<double>").alias("x"), F.map_entries("y").alias("y"), "fold")
+
+    def fit(key, pdf: pd.DataFrame) -> pd.DataFrame:
+        model, fold, run = key
+        pdf = pdf.sort_values(["schema_id", "view_id", "column_id"]).assign(y=lambda d: d["y"].map(lambda e: {p["key"]: p["value"] for p in e}))
+        own, x_y_m = outputs[model], None
+        learn, held = pdf[pdf["fold"] != fold], pdf[pdf["fold"] == fold]
+        learn = learn if len(learn) else pdf
+        x_y_m = matrices(learn, own)
+        dims = (x_y_m[0].shape[1], *config.hidden, len(own))
+        seed = zlib.crc32(f"{model}|{fold}|{run}".encode())
+        other = matrices(held, own) if len(held) else None
+        net = Mlp(dims, seed).fit(*x_y_m, config, seed, other)
+        score = 0.0
+        if other is not None:
+            p = net.forward(other[0])[0] * other[2]
+            score = float(np.mean([own[i] == f"{s}.{t}" for i, s, t in zip(p.argmax(1), held["schema_id"], held["origin_table"], strict=True)]))
+        return pd.DataFrame({"model_id": [model], "fold": [fold], "run": [run], "dims": [list(dims)], "outputs": [own], "weights": [net.to_bytes()], "score": [score]})
+
+    return tasks.join(rows, "schema_id").groupBy("model_id", "task_fold", "run").applyInPandas(fit, MODEL)
+
+
+def save(models: DataFrame, path: str) -> None:
+    models.write.mode("overwrite").parquet(path)
+
+
+def load(spark, path: str) -> DataFrame:
+    return spark.read.schema(MODEL).parquet(path)
+
+
+def gradient_step(rac: DataFrame, net: Mlp, outputs: list[str], config: TrainConfig) -> tuple[list[np.ndarray], list[np.ndarray]]:
+    """The full-batch gradient over a distributed table: partial sums of each partition, added in a tree. For catalogs too large for one task."""
+    shared = rac.sparkSession.sparkContext.broadcast(net)
+    total = rac.count()
+
+    def partial(batches):
+        sums = None
+        for pdf in batches:
+            if not len(pdf):
+                continue
+            pdf = pdf.assign(y=pdf["y"].map(lambda e: {p["key"]: p["value"] for p in e}))
+            x, y, mask = matrices(pdf, outputs)
+            dw, db = shared.value.gradients(x, y, mask, config)
+            flat = np.concatenate([a.ravel() for a in dw + db]) * len(pdf) / total
+            sums = flat if sums is None else sums + flat
+        if sums is not None:
+            yield pd.DataFrame({"g": [sums.tobytes()]})
+
+    pieces = rac.select("schema_id", F.col("x").cast("array<double>").alias("x"), F.map_entries("y").alias("y")).mapInPandas(partial, "g binary")
+    flat = pieces.rdd.map(lambda r: np.frombuffer(r.g)).treeReduce(lambda a, b: a + b)
+    out, at = [], 0
+    for a in net.w + net.b:
+        out.append(flat[at : at + a.size].reshape(a.shape))
+        at += a.size
+    return out[: len(net.w)], out[len(net.w) :]
+
+
+def train_distributed(rac: DataFrame, outputs: list[str], config: TrainConfig, steps: int = 20, rate: float = 0.5, seed: int = 0) -> Mlp:
+    """Full-batch descent with distributed gradients: another optimiser than the batch-16 trainer, for the same loss."""
+    dim = len(rac.select("x").first()[0])
+    net = Mlp((dim, *config.hidden, len(outputs)), seed)
+    for _ in range(steps):
+        dw, db = gradient_step(rac, net, outputs, config)
+        for p, g in zip(net.w + net.b, dw + db, strict=True):
+            p -= rate * g
+    return net
+
+
+def mllib_baseline(rac: DataFrame) -> DataFrame:
+    """A sanity baseline: held-out accuracy of spark.ml's multinomial logistic regression on the origin table."""
+    from pyspark.ml.classification import LogisticRegression
+    from pyspark.ml.feature import StringIndexer
+    from pyspark.ml.functions import array_to_vector
+
+    rows = with_folds(rac).select(F.concat_ws(".", "schema_id", "origin_table").alias("t"), array_to_vector(F.col("x").cast("array<double>")).alias("features"), "fold")
+    rows = StringIndexer(inputCol="t", outputCol="label").fit(rows).transform(rows)
+    model = LogisticRegression(maxIter=15, regParam=0.01).fit(rows.filter("fold <> 0"))
+    return model.transform(rows.filter("fold = 0")).agg(F.count("*").alias("rows"), F.round(F.avg((F.col("prediction") == F.col("label")).cast("double")), 4).alias("accuracy"))
