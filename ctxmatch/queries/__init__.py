@@ -22,4 +22,4 @@ def query(oracle: str | None = None, name: str | None = None):
 
 
 def load_all() -> None:
-    from . import learning, methods, operators  # noqa: F401
+    from . import learning, methods, operators, streams  # noqa: F401

@@ -628,3 +628,31 @@ _sql("sql_subquery_scalar", "SELECT o_orderkey FROM orders WHERE o_totalprice >
 _sql("sql_exists", "SELECT n_nationkey FROM nation WHERE EXISTS (SELECT 1 FROM customer WHERE c_nationkey = n_nationkey AND c_acctbal > 9000)")
 _sql("sql_lateral", "SELECT r_name, x.n FROM region, LATERAL (SELECT count(*) AS n FROM nation WHERE n_regionkey = r_regionkey) AS x")
 _sql("sql_values", "SELECT a, b FROM (VALUES (1, 'x'), (2, 'y')) AS v(a, b)")
+
+
+# ---- registered functions
+
+
+@query("SELECT vec_id, round(list_cosine_similarity(embedding::DOUBLE[], list_reverse(embedding::DOUBLE[])), 5) AS c FROM embeddings")
+def udf_cosine(spark, sf_dir):
+    from ..functions.registered import register
+
+    register(spark)
+    t(spark, sf_dir, "embeddings").createOrReplaceTempView("embeddings")
+    return spark.sql("SELECT vec_id, round(cosine_sim(cast(embedding AS array<double>), reverse(cast(embedding AS array<double>))), 5) AS c FROM embeddings")
+
+
+@query("WITH RECURSIVE e(a, b) AS (VALUES ('region', 'nation'), ('nation', 'customer'), ('customer', 'orders')), p(a, b, path, n) AS (SELECT DISTINCT x, x, x, 1 FROM (SELECT a AS x FROM e UNION SELECT b FROM e) UNION ALL SELECT p.a, e.b, p.path || '>' || e.b, n + 1 FROM p JOIN e ON p.b = e.a WHERE n < 3) SELECT path, n AS n_tables FROM p")
+def udtf_shortest_views(spark, sf_dir):
+    from ..functions.registered import register
+
+    register(spark)
+    return spark.sql("SELECT path, n_tables FROM shortest_views('region>nation,nation>customer,customer>orders', 3)")
+
+
+@query("SELECT user_id, round(sum(h / rk * rel) / sum(rel), 6) AS ap FROM (SELECT user_id, rk, rel, sum(rel) OVER (PARTITION BY user_id ORDER BY rk) AS h FROM (SELECT user_id, row_number() OVER (PARTITION BY user_id ORDER BY value DESC, event_id) AS rk, CASE WHEN event_type = 'purchase' THEN 1.0::DOUBLE ELSE 0 END AS rel FROM events)) GROUP BY 1 HAVING sum(rel) > 0")
+def udaf_average_precision(spark, sf_dir):
+    from ..functions.registered import average_precision
+
+    rows = t(spark, sf_dir, "events").select("user_id", F.row_number().over(W.partitionBy("user_id").orderBy(F.col("value").desc(), "event_id")).alias("rk"), (F.col("event_type") == "purchase").cast("double").alias("rel"))
+    return rows.groupBy("user_id").agg(average_precision("rk", "rel").alias("ap")).filter("ap > 0").select("user_id", r("ap", 6).alias("ap"))
