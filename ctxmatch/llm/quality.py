@@ -121,7 +121,37 @@ def judge(docs: DataFrame, *, most_chars: float = 0.3, most_words: float = 0.75,
     nearest = lambda name, k: F.least(*[distance(F.col(name), r[k]) for r in refs.values()], F.lit(None).cast("double")) if refs else F.lit(None).cast("double")
     rows = rows.withColumn("char_distance", F.when(F.col("word_chars") >= least_chars, nearest("chars", 0))).withColumn("word_distance", F.when(F.col("n_words") >= least_words, nearest("common", 1)))
     kept = ~F.col("base_failed") & (F.coalesce("char_distance", F.lit(0.0)) <= most_chars) & (F.coalesce("word_distance", F.lit(0.0)) <= most_words)
-    return rows.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", kept.alias("kept"), "char_distance", "word_distance")
+    return rows.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", kept.alias("kept"), F.round("char_distance", 6).alias("char_distance"), F.round("word_distance", 6).alias("word_distance"))
+
+
+def oracle() -> str:
+    """The same verdicts in DuckDB's SQL, with the default limits."""
+    words = ", ".join(f"'{w}'" for w in _WORDS)
+    forms = ", ".join(f"'{w}'" for w in _FORMS)
+    kept_of = lambda keep: f"length(regexp_replace(t, '[^{keep}]+', '', 'g'))"
+    js = lambda c: f"sqrt(greatest(0.0::DOUBLE, sum(CASE WHEN p > 0 THEN p * log2(2 * p / (p + q)) ELSE 0 END + CASE WHEN q > 0 THEN q * log2(2 * q / (p + q)) ELSE 0 END) / 2)) AS {c}"
+    side = lambda c: (
+        f"{c}_doc AS (SELECT doc_id, generate_subscripts({c}, 1) AS i, unnest({c}) / nullif(list_sum({c}), 0)::DOUBLE AS p FROM h),"
+        f" {c}_sum AS (SELECT lang, i, sum(n)::DOUBLE AS n FROM (SELECT lang, generate_subscripts({c}, 1) AS i, unnest({c}) AS n FROM h WHERE NOT base_failed AND lang IN ('en', 'fr', 'de', 'es')) GROUP BY ALL),"
+        f" {c}_ref AS (SELECT lang, i, n / sum(n) OVER (PARTITION BY lang) AS q FROM {c}_sum),"
+        f" {c}_near AS (SELECT doc_id, min(d) AS d FROM (SELECT doc_id, lang, {js('d')} FROM {c}_doc JOIN {c}_ref USING (i) WHERE p IS NOT NULL GROUP BY ALL) GROUP BY doc_id)"
+    )
+    return (
+        "WITH d AS (SELECT doc_id, lang, coalesce(text, '') AS t FROM documents),"
+        " w AS (SELECT *, list_filter(regexp_split_to_array(t, '[\\x20\\x09-\\x0D]+'), lambda x: x <> '') AS ws FROM d),"
+        " win AS (SELECT doc_id, i, array_to_string(ws[i:i + 7], ' ') AS g FROM (SELECT doc_id, ws, unnest(range(1, len(ws) - 6)) AS i FROM w WHERE len(ws) >= 8)),"
+        " twice AS (SELECT doc_id, i FROM (SELECT *, count(*) OVER (PARTITION BY doc_id, g) AS n FROM win) WHERE n > 1),"
+        " rep AS (SELECT doc_id, count(DISTINCT i + k.k) AS r FROM twice, range(0, 8) AS k(k) GROUP BY doc_id),"
+        " lines AS (SELECT doc_id, count(*) - count(DISTINCT l) AS dup FROM (SELECT doc_id, unnest(string_split(t, chr(10))) AS l FROM d) WHERE length(regexp_replace(l, '[\\x20\\x09-\\x0D]+', '', 'g')) > 0 GROUP BY doc_id),"
+        f" m AS (SELECT w.doc_id, lang, len(ws)::BIGINT AS n_words, length(t) AS nc, coalesce(list_sum(list_transform(ws, lambda x: length(x))), 0)::BIGINT AS word_chars, {kept_of(SYMBOLS[1:-1])}::BIGINT AS n_symbols, coalesce(dup, 0)::BIGINT AS n_dup_lines, coalesce(r, 0)::BIGINT AS n_repeat_words,"
+        f" {kept_of('\\p{Lu}')} AS upper, {kept_of('0-9')} AS digits, length(t) - length(translate(t, '.,;:!?''\"()-', '')) AS points, list_transform(list_filter(ws, lambda x: list_contains([{forms}], x)), lambda x: lower(x)) AS common"
+        " FROM w LEFT JOIN rep USING (doc_id) LEFT JOIN lines USING (doc_id)),"
+        f" h AS (SELECT doc_id, lang, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, n_words < 20 OR 100 * n_repeat_words > 30 * n_words AS base_failed, [upper, digits, points, n_symbols, nc - word_chars, greatest(0, word_chars - upper - digits - points - n_symbols)] AS chars, list_append(list_transform([{words}], lambda x: len(list_filter(common, lambda y: y = x))), n_words - len(common)) AS common FROM m),"
+        f" {side('chars')}, {side('common')}"
+        " SELECT h.doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed, NOT base_failed AND coalesce(CASE WHEN word_chars >= 200 THEN a.d END, 0) <= 0.3 AND coalesce(CASE WHEN n_words >= 80 THEN b.d END, 0) <= 0.75 AS kept,"
+        " round(CASE WHEN word_chars >= 200 THEN a.d END, 6) AS char_distance, round(CASE WHEN n_words >= 80 THEN b.d END, 6) AS word_distance"
+        " FROM h LEFT JOIN chars_near a USING (doc_id) LEFT JOIN common_near b USING (doc_id)"
+    )
 
 
 def js_distance(p: list[float], q: list[float]) -> float:
