@@ -60,4 +60,4 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op2_exact_dedup": exact_dedup.ORACLE, "op7_divergence_rules": quality.oracle(), "op9_warc": warc.ORACLE}
+    return {"op2_exact_dedup": exact_dedup.ORACLE, "op5_repeat_removal": suffix_dedup.ORACLE, "op7_divergence_rules": quality.oracle(), "op9_warc": warc.ORACLE, "op10_odd_sketch_minhash": near_dup.ORACLE}

@@ -477,3 +477,16 @@ def remove_repeats(docs: DataFrame, *, least: int = 100, k: int = 32, with_rest:
             yield pa.RecordBatch.from_arrays(arrays[: 7 if with_rest else 5], names[: 7 if with_rest else 5])
 
     return joined.mapInArrow(run, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string" + (", spans array<struct<start:long,end:long>>, rest binary" if with_rest else ""))
+
+
+ORACLE = r"""
+WITH d AS (SELECT doc_id, hex(encode(coalesce(text, ''))) AS h, strlen(coalesce(text, ''))::BIGINT AS n FROM documents),
+     win AS (SELECT doc_id, i, substr(h, (2 * i + 1)::BIGINT, 200) AS s FROM (SELECT doc_id, h, unnest(range(0, n - 99)) AS i FROM d WHERE n >= 100)),
+     again AS (SELECT doc_id, i FROM (SELECT doc_id, i, row_number() OVER (PARTITION BY s ORDER BY doc_id, i) AS k FROM win) WHERE k > 1),
+     step AS (SELECT doc_id, i, CASE WHEN i > lag(i) OVER (PARTITION BY doc_id ORDER BY i) + 100 THEN 1 ELSE 0 END AS new FROM again),
+     runs AS (SELECT doc_id, min(i) AS lo, max(i) + 100 AS hi FROM (SELECT doc_id, i, sum(new) OVER (PARTITION BY doc_id ORDER BY i ROWS UNBOUNDED PRECEDING) AS g FROM step) GROUP BY doc_id, g),
+     gaps AS (SELECT doc_id, coalesce(lag(hi) OVER (PARTITION BY doc_id ORDER BY lo), 0) AS lo, lo AS hi FROM runs UNION ALL SELECT doc_id, max(hi), NULL FROM runs GROUP BY doc_id UNION ALL SELECT doc_id, 0, NULL FROM d WHERE doc_id NOT IN (SELECT doc_id FROM runs)),
+     kept AS (SELECT doc_id, string_agg(substr(h, (2 * lo + 1)::BIGINT, (2 * (coalesce(hi, n) - lo))::BIGINT), '' ORDER BY lo) AS h FROM gaps JOIN d USING (doc_id) GROUP BY doc_id),
+     cut AS (SELECT doc_id, sum(hi - lo)::BIGINT AS r, count(*) AS k FROM runs GROUP BY doc_id)
+SELECT doc_id, n AS n_bytes, coalesce(r, 0)::BIGINT AS n_removed, coalesce(k, 0)::BIGINT AS n_spans, sha256(unhex(kept.h)) AS kept_sha256 FROM d LEFT JOIN cut USING (doc_id) JOIN kept USING (doc_id)
+"""
