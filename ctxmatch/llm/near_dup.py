@@ -7,7 +7,7 @@ threshold are compared on their full sets.
 
 No group is ever expanded into all its pairs. Documents with equal sets are one class with one representative. In each bucket of a band, members are first
 compared with the smallest one (the star). Where that leaves a bucket with several components, every member outside
-its largest component meets the members of other components, and the sketch decides inside the join. Links only need to connect what
+its largest component meets the members of other components in tiles of bounded size, from which only links come out. Links only need to connect what
 all links together would connect, so no component is lost beyond what the bands miss (about 1e-5 of links at the threshold itself with the defaults).
 
 Defined cases: null text counts as empty; a document without words has an empty set and is linked with nothing; with fewer words than a shingle the whole
@@ -166,16 +166,20 @@ def differing_bits(a: str, b: str):
     return sum((F.bit_count(F.get(a, F.lit(k)).bitwiseXOR(F.get(b, F.lit(k)))) for k in range(1, SKETCH_WORDS)), F.bit_count(F.get(a, F.lit(0)).bitwiseXOR(F.get(b, F.lit(0)))))
 
 
-def confirmed(pairs: DataFrame, docs: DataFrame, words: int, percent: int, most_broadcast: int = 500_000) -> DataFrame:
-    """The pairs (a, b) of which 100 * intersection >= percent * union holds on the full sets.
+def _texts_of(docs: DataFrame, ids: DataFrame, most_broadcast: int = 500_000) -> DataFrame:
+    """doc_id, text of the documents in ``ids(doc_id)``, a row each.
 
-    Only the texts of documents in pairs travel. Their ids are broadcast while they are at most ``most_broadcast`` (8 bytes each), else joined by shuffle.
+    The ids are broadcast while they are at most ``most_broadcast`` (8 bytes each), so that only wanted texts travel; beyond that the join shuffles.
     """
-    ids = written(pairs.select(F.col("a").alias("doc_id")).union(pairs.select(F.col("b").alias("doc_id"))).distinct(), "ids")
+    ids = written(ids.distinct(), "ids")
     few = ids.count() <= most_broadcast
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_of().alias("text")).join(F.broadcast(ids) if few else ids, "doc_id", "left_semi")
-    texts = texts.dropDuplicates(["doc_id"]) if not few else texts
-    texts = written(texts, "texts")
+    return texts.dropDuplicates(["doc_id"])
+
+
+def confirmed(pairs: DataFrame, docs: DataFrame, words: int, percent: int) -> DataFrame:
+    """The pairs (a, b) of which 100 * intersection >= percent * union holds on the full sets. Only the texts of documents in pairs travel."""
+    texts = written(_texts_of(docs, pairs.select(F.col("a").alias("doc_id")).union(pairs.select(F.col("b").alias("doc_id")))), "texts")
     left = texts.select(F.col("doc_id").alias("a"), F.col("text").alias("text_a"))
     right = texts.select(F.col("doc_id").alias("b"), F.col("text").alias("text_b"))
 
@@ -190,6 +194,103 @@ def confirmed(pairs: DataFrame, docs: DataFrame, words: int, percent: int, most_
     return written(pairs.join(left, "a").join(right, "b").select("a", "b", "text_a", "text_b").mapInArrow(run, "a long, b long"), "links")
 
 
+TILE = 1024
+
+
+def _tiles(parts: DataFrame) -> DataFrame:
+    """parts with ``tile`` and ``block``: which comparisons of its bucket a row takes part in.
+
+    The members of a bucket's largest component (block M) need not meet each other; all others (S) meet them and each other. Buckets of up to
+    ``TILE`` rows are one tile; larger ones are cut into blocks of about that size, and every pair of blocks that has to meet is a tile.
+    """
+    sizes = parts.groupBy("band", "name").count()
+    main = sizes.groupBy("band").agg(F.max_by("name", F.struct("count", "name")).alias("main"), F.max("count").alias("n_main"), F.sum("count").alias("n"))
+    blocks = lambda n: F.greatest(F.lit(1), F.ceil(n / TILE).cast("int"))
+    rows = parts.join(main, "band").withColumns({"m_blocks": blocks(F.col("n_main")), "s_blocks": blocks(F.col("n") - F.col("n_main")), "is_main": F.col("name") == F.col("main")})
+    own = F.pmod(F.xxhash64("rep"), F.when(F.col("is_main"), F.col("m_blocks")).otherwise(F.col("s_blocks"))).cast("int")
+    rows = rows.withColumn("own", own)
+    each = lambda n, f: F.transform(F.sequence(F.lit(0), F.col(n) - 1), f)
+    with_main = lambda i, j: F.concat_ws(":", F.lit("M"), i.cast("string"), j.cast("string"))
+    among = each("s_blocks", lambda j: F.concat_ws(":", F.lit("S"), F.least("own", j).cast("string"), F.greatest("own", j).cast("string")))
+    tiles = F.when(F.col("n") <= TILE, F.array(F.lit("all"))).when(F.col("is_main"), each("s_blocks", lambda i: with_main(i, F.col("own")))).otherwise(F.concat(among, each("m_blocks", lambda j: with_main(F.col("own"), j))))
+    block = F.when(F.col("is_main"), "M").otherwise(F.concat(F.lit("S"), F.col("own").cast("string")))
+    return rows.select("band", "rep", "name", block.alias("block"), F.explode(tiles).alias("tile"))
+
+
+class _Tile:
+    """The rows of one tile and which of them may be near each other."""
+
+    def __init__(self, table: pa.Table, most: int):
+        self.rep, name, block = (table.column(c).to_pylist() for c in ("rep", "name", "block"))
+        tile, band = table.column("tile")[0].as_py(), table.column("band")[0].as_py()
+        self.sketch = np.array(table.column("sketch").to_pylist(), np.int64).view(np.uint64)
+        self.bands, self.most = None, most
+        if "bands" in table.column_names:
+            self.bands = np.array(table.column("bands").to_pylist(), np.int64)
+            self.number = int(np.flatnonzero(self.bands[0] == band)[0])
+        self.label = np.unique(block, return_inverse=True)[1]
+        self.main = np.array([x == "M" for x in block])
+        self.alone = tile == "all" or tile[0] == "S" and tile.split(":")[1] == tile.split(":")[2]
+        self.group = np.unique(name, return_inverse=True)[1]
+
+    def near(self, x: int) -> np.ndarray:
+        """Rows of other components that the sketches put near x; given the bands, only in the first that both share, so that every pair comes up in one tile."""
+        other = (self.group != self.group[x]) & (self.main | (np.arange(len(self.rep)) > x))
+        if not self.alone:
+            other &= self.label != self.label[x]
+        y = np.flatnonzero(other)
+        y = y[np.bitwise_count(self.sketch[y] ^ self.sketch[x]).sum(1) <= self.most]
+        return y if self.bands is None else y[(self.bands[y] == self.bands[x]).argmax(1) == self.number]
+
+
+def _links_within(parts: DataFrame, classes: DataFrame, docs: DataFrame, words: int, percent: int, most: int) -> DataFrame:
+    """(a, b): links between components that share a bucket. Pairs are judged where their rows meet and only links leave the task.
+
+    First the sketches say which rows of a tile have any near row of another component; only their texts travel, to be compared on full sets. A link found in a task
+    joins its components at once, which spares it the rest.
+    """
+    keys = "band long, tile string, rep long"
+    tiles = _tiles(parts)
+    rows = tiles.join(classes.select("rep", "sketch"), "rep").select("band", "tile", "rep", "name", "block", "sketch")
+
+    def mark(table: pa.Table) -> pa.Table:
+        tile = _Tile(table, most)
+        hit = np.zeros(len(tile.rep), bool)
+        for x in np.flatnonzero(~tile.main):
+            y = tile.near(x)
+            hit[y] = True
+            hit[x] |= len(y) > 0
+        return table.select(["band", "tile", "rep"]).filter(pa.array(hit, pa.bool_()))
+
+    def judge(table: pa.Table) -> pa.Table:
+        tile, found = _Tile(table, most), []
+        text = pa.concat_arrays(table.column("text").chunks) if table.column("text").num_chunks else pa.array([], pa.string())
+        sets: dict[int, set] = {}
+
+        def shingles(k: int) -> set:
+            if k not in sets:
+                sets[k] = set(next(shingle_sets(text.slice(k, 1), words)).tolist())
+            return sets[k]
+
+        for x in np.flatnonzero(~tile.main):
+            for k in tile.near(x):
+                if tile.group[k] == tile.group[x]:
+                    continue
+                a, b = shingles(x), shingles(k)
+                if 100 * min(len(a), len(b)) >= percent * max(len(a), len(b)):
+                    both = len(a & b)
+                    if both and 100 * both >= percent * (len(a) + len(b) - both):
+                        found.append((max(tile.rep[x], tile.rep[k]), min(tile.rep[x], tile.rep[k])))
+                        tile.group[tile.group == tile.group[k]] = tile.group[x]
+        return pa.table({"a": pa.array([a for a, _ in found], pa.int64()), "b": pa.array([b for _, b in found], pa.int64())})
+
+    marked = written(rows.groupBy("band", "tile").applyInArrow(mark, keys), "marked")
+    texts = _texts_of(docs, marked.select(F.col("rep").alias("doc_id"))).withColumnRenamed("doc_id", "rep")
+    whole = written(classes.select("rep", "bands", "sketch").join(texts, "rep"), "texts")
+    close = tiles.join(marked, ["band", "tile", "rep"], "left_semi").join(whole, "rep")
+    return written(close.groupBy("band", "tile").applyInArrow(judge, "a long, b long").distinct(), "links")
+
+
 def near_components(docs: DataFrame, *, words: int = 5, percent: int = 80, bands: int = 30, rows: int = 5, slack: float = 0.14) -> DataFrame:
     """One row per document: doc_id, n_shingles, component_id, kept."""
     signed = written(signatures(docs, words, bands, rows), "signatures")
@@ -210,15 +311,10 @@ def near_components(docs: DataFrame, *, words: int = 5, percent: int = 80, bands
     # buckets that still hold several components
     names = named.withColumnsRenamed({"id": "rep", "component": "name"})
     parts = buckets.join(names, "rep", "left").select("band", "rep", F.coalesce("name", "rep").alias("name"))
-    several = parts.groupBy("band").agg(F.min("name").alias("low"), F.max("name").alias("high")).filter("low <> high").select("band")
-    parts = written(parts.join(several, "band").join(sketches, "rep"), "parts")
-    largest = parts.groupBy("band", "name").count().groupBy("band").agg(F.max_by("name", F.struct("count", "name")).alias("main"))
-    stray = parts.join(largest, "band").filter("name <> main").select("band", F.col("rep").alias("a"), F.col("name").alias("name_a"), F.col("sketch").alias("sketch_a"), "main")
-    other = parts.select("band", F.col("rep").alias("b"), F.col("name").alias("name_b"), F.col("sketch").alias("sketch_b"))
-    met = stray.join(other, (stray["band"] == other["band"]) & (F.col("name_a") != F.col("name_b")) & ((F.col("name_b") == F.col("main")) | (F.col("a") < F.col("b"))) & (differing_bits("sketch_a", "sketch_b") <= most))
-    met = met.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct()
-    met = written(met.join(star, ["a", "b"], "left_anti"), "met")
-    more = confirmed(met, docs, words, percent)
+    # in a bucket of two, the star has judged the only pair
+    several = parts.groupBy("band").agg(F.min("name").alias("low"), F.max("name").alias("high"), F.count("*").alias("n")).filter("low <> high and n > 2").select("band")
+    parts = written(parts.join(several, "band"), "parts")
+    more = _links_within(parts, classes, docs, words, percent, most)
     names = components(links.union(more)).withColumnsRenamed({"id": "rep", "component": "name"})
 
     of_class = classes.select("set_key", "rep").join(names, "rep", "left").select(F.col("set_key").alias("_key"), F.coalesce("name", "rep").alias("name"))
