@@ -444,10 +444,9 @@ def repeated_spans(docs: DataFrame, *, least: int = 100, k: int = 32, bucket_byt
     settled = written(_settled_rows(rows.repartitionById(buckets, F.col("bucket")), least), "units")
     wanted = settled.filter("wanted is not null").select("doc_id", "wanted")
     amount = (wanted.agg(F.sum(F.octet_length("wanted"))).first()[0] or 0) // 16
-    # a row for each document; broadcast while that is at most 64 MB, else joined by shuffle
     wanted = wanted.groupBy("doc_id").agg(F.collect_list("wanted").alias("wanted"))
     trees = max(1, -(-amount // 30_000))
-    fetched = _fetched(docs, F.broadcast(wanted) if amount * 24 <= 64 << 20 else wanted, least, trees)
+    fetched = _fetched(docs, wanted, least, trees)
     more = _tree_rows(fetched.repartitionById(trees, F.col("bucket")), least)
     spans = settled.filter("covered is not null").select("doc_id", "covered").union(more)
     return spans.groupBy("doc_id").agg(F.collect_list("covered").alias("covered"))
