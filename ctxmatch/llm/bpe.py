@@ -33,9 +33,11 @@ def read_ranks(path: str) -> dict[bytes, int]:
 
 
 class Encoder:
-    def __init__(self, ranks: dict[bytes, int], pattern: str):
+    def __init__(self, ranks: dict[bytes, int], pattern: str, memo: int = MEMO):
         import regex
 
+        self.most = memo
+
         self.ranks = ranks
         self.tokens = [b""] * (max(ranks.values(), default=-1) + 1)
         for token, rank in ranks.items():
@@ -139,7 +141,7 @@ class Encoder:
             if ids is None:
                 ids = self.older.get(piece) or tuple(self.merge(piece.encode()))
                 if len(piece) < 64:
-                    if len(memo) >= MEMO:
+                    if len(memo) >= self.most:
                         self.older, self.memo = memo, {}
                         memo = self.memo
                     memo[piece] = ids
@@ -150,26 +152,26 @@ class Encoder:
         return b"".join(map(self.tokens.__getitem__, ids))
 
 
-_WORKER: dict[tuple[str, str], Encoder] = {}
+_WORKER: dict[tuple[str, str, int], Encoder] = {}
 
 
-def _worker_encoder(vocabulary: str, pattern: str, ranks) -> Encoder:
+def _worker_encoder(vocabulary: str, pattern: str, memo: int, ranks) -> Encoder:
     """The encoder of this Python worker, with what it remembers from task to task."""
-    if (vocabulary, pattern) not in _WORKER:
-        _WORKER[vocabulary, pattern] = Encoder(ranks.value, pattern)
-    return _WORKER[vocabulary, pattern]
+    if (vocabulary, pattern, memo) not in _WORKER:
+        _WORKER[vocabulary, pattern, memo] = Encoder(ranks.value, pattern, memo)
+    return _WORKER[vocabulary, pattern, memo]
 
 
-def encode_documents(docs: DataFrame, vocabulary: str, pattern: str, *, with_ids: bool = False) -> DataFrame:
+def encode_documents(docs: DataFrame, vocabulary: str, pattern: str, *, with_ids: bool = False, memo: int = MEMO) -> DataFrame:
     """One row per document: doc_id, n_tokens, ids_sha256, decoded_sha256 and, if asked for, the ids themselves.
 
-    ``vocabulary``: path of a rank file; it is read on the driver and sent to the tasks (its size is that of a vocabulary).
+    ``memo``: pre-tokens remembered in each of two generations, some 200 bytes each in every Python worker. ``vocabulary``: path of a rank file; it is read on the driver and sent to the tasks (its size is that of a vocabulary).
     """
     ranks = docs.sparkSession.sparkContext.broadcast(read_ranks(vocabulary))
     id_type = docs.schema["doc_id"].dataType.simpleString()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encoder = _worker_encoder(vocabulary, pattern, ranks)
+        encoder = _worker_encoder(vocabulary, pattern, memo, ranks)
         digits = [str(i) for i in range(len(encoder.tokens))]
         for batch in batches:
             counts, hashes, decoded, lists = [], [], [], []
