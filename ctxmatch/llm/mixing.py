@@ -2,13 +2,12 @@
 
 The documents of a source form blocks of ``block`` rows. With weight w, block i (from 0) may not start before slot
 floor(i / w) and must have run by slot ceil((i + 1) / w); earliest deadline first then keeps every source within less than one block of
-w * t after each of the t slots. Weights are rounded to n / frame with whole numbers n that sum to ``frame``, so the schedule
-repeats after ``frame`` slots: one frame is scheduled with a heap on the driver and every block finds its slot by arithmetic,
-
-    slot = start of phase + (i // n) * frame + place of block i mod n in the frame.
+w * t after each of the t slots. Weights are exact: the given numbers as fractions of their sum, never rounded, so the bound holds for any
+number of slots and sources.
 
 When a source ends, the others share its weight and a new phase starts; phases are at most as many as sources. The driver
-sees one row per source and one frame per phase, never blocks or documents. Documents are numbered within a source over hashed chunks, so a
+sees one row per source. One task schedules the blocks (not the documents) with a heap that holds one block of each source, and streams their slots into a
+table, which the documents join by source and block. Documents are numbered within a source over hashed chunks, so a
 source with a third of all rows is numbered by many tasks.
 
 Defined cases: null sources are a source of their own; weights given for missing sources are ignored, sources without a weight (or with 0) come last;
@@ -18,15 +17,20 @@ null ids and repeated rows are mixed like any others; an empty table gives no ro
 from __future__ import annotations
 
 import heapq
-from collections.abc import Callable
+import math
+from collections.abc import Callable, Iterator
+from fractions import Fraction
+from itertools import islice
 
-from pyspark.sql import DataFrame
+import pyarrow as pa
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import parts_for
+from .common import parts_for, written
 from .sharding import numbered
 
-FRAME = 1024
+GROUP = 256  # blocks of a source in one row of the schedule's table
+LAST = (1 << 63) - 1  # the largest slot a column holds; only deadlines of nearly weightless sources reach it
 
 
 def whole_weights(weights: dict[str, float], frame: int) -> dict[str, int]:
@@ -45,44 +49,78 @@ def whole_weights(weights: dict[str, float], frame: int) -> dict[str, int]:
     return out
 
 
-def frame_schedule(shares: dict[str, int]) -> dict[str, list[int]]:
-    """The slots of each source in one frame: earliest deadline first among the released blocks, ties by name."""
-    frame = sum(shares.values())
-    release = {s: [i * frame // n for i in range(n)] for s, n in shares.items()}
-    deadline = {s: [-(-(i + 1) * frame // n) for i in range(n)] for s, n in shares.items()}
-    waiting = [(release[s][0], s, 0) for s in shares]
+def exact_weights(weights: dict[str, float]) -> dict[str, int]:
+    """Whole numbers in exactly the ratio of ``weights``."""
+    exact = {s: Fraction(w) for s, w in weights.items()}
+    unit = math.lcm(*(x.denominator for x in exact.values()))
+    return {s: int(x * unit) for s, x in exact.items()}
+
+
+def earliest_deadlines(shares: dict[str, int]) -> Iterator[tuple[int, str, int, int, int]]:
+    """Rows (slot, source, block, release, deadline) without end: earliest deadline first among the released blocks, ties by name."""
+    total, slot = sum(shares.values()), 0
+    waiting = [(0, s, 0) for s in shares]
     heapq.heapify(waiting)
-    ready: list[tuple[int, str, int]] = []
-    slots: dict[str, list[int]] = {s: [] for s in shares}
-    for slot in range(frame):
+    ready: list[tuple[int, str, int, int]] = []
+    while True:
         while waiting and waiting[0][0] <= slot:
-            _, s, i = heapq.heappop(waiting)
-            heapq.heappush(ready, (deadline[s][i], s, i))
-        due, s, i = heapq.heappop(ready)
+            release, s, i = heapq.heappop(waiting)
+            heapq.heappush(ready, (-(-(i + 1) * total // shares[s]), s, i, release))
+        due, s, i, release = heapq.heappop(ready)
         assert due > slot, "a deadline was missed"
+        yield slot, s, i, release, due
+        heapq.heappush(waiting, ((i + 1) * total // shares[s], s, i + 1))
+        slot += 1
+
+
+def frame_schedule(shares: dict[str, int]) -> dict[str, list[int]]:
+    """The slots of each source in one frame of as many slots as there are shares."""
+    slots: dict[str, list[int]] = {s: [] for s in shares}
+    for slot, s, *_ in islice(earliest_deadlines(shares), sum(shares.values())):
         slots[s].append(slot)
-        if i + 1 < shares[s]:
-            heapq.heappush(waiting, (release[s][i + 1], s, i + 1))
     return slots
 
 
-def phases(blocks: dict[str, int], weights: dict[str, float], frame: int) -> list[tuple]:
-    """Rows (source, first block, shares, offset in a frame's block list, start slot, frame, slots) of each phase."""
-    left, done, start, rows = dict(blocks), dict.fromkeys(blocks, 0), 0, []
-    later = {s for s in left if weights.get(s, 0) <= 0}
+def schedule(blocks: dict[str, int], weights: dict[str, float], frame: int | None = None) -> Iterator[tuple[str, int, int, int, int]]:
+    """Rows (source, block, slot, release, deadline) in order of slots; release and deadline count from the start of the block's phase."""
+    left, start = dict(blocks), 0
+    shares = {s: w for s, w in weights.items() if s in left and w > 0}
+    shares = shares if frame else exact_weights(shares)
     while any(left.values()):
-        live = {s: weights[s] for s in left if left[s] and s not in later} or {s: 1.0 for s in left if left[s]}
-        shares = whole_weights(live, frame)
-        slots, length = frame_schedule(shares), sum(shares.values())
-        # the slot in which the first source runs out
-        end = min((left[s] - 1) // shares[s] * length + slots[s][(left[s] - 1) % shares[s]] for s in live)
-        for s in live:
-            ran = (end + 1) // length * shares[s] + sum(x < (end + 1) % length for x in slots[s])
-            rows.append((s, done[s], done[s] + ran, shares[s], start, length, slots[s]))
-            done[s] += ran
-            left[s] -= ran
-        start += end + 1
-    return rows
+        live = {s: n for s, n in shares.items() if left[s]} or {s: 1 for s in left if left[s]}
+        done = {s: blocks[s] - left[s] for s in live}
+        for slot, s, i, release, due in earliest_deadlines(whole_weights(live, frame) if frame else live):
+            yield s, done[s] + i, start + slot, release, due
+            left[s] -= 1
+            if not left[s]:  # the first source runs out
+                break
+        start += slot + 1
+
+
+def schedule_table(spark: SparkSession, blocks: dict[str, int], weights: dict[str, float], frame: int | None) -> DataFrame:
+    """The schedule with one row for each ``GROUP`` blocks of a source: arrays of slots, releases and deadlines."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for _ in batches:
+            pass
+        some: dict[str, list[tuple[int, int, int]]] = {}
+        full: list[tuple] = []
+        packed = lambda rows: pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), types, strict=True)], names)
+        for s, i, slot, release, due in schedule(blocks, weights, frame):
+            group = some.setdefault(s, [])
+            group.append((slot, min(release, LAST), min(due, LAST)))
+            if len(group) == GROUP or i + 1 == blocks[s]:
+                full.append((s, i // GROUP, *map(list, zip(*some.pop(s), strict=True))))
+            if len(full) == 64:
+                yield packed(full)
+                full = []
+        if full:
+            yield packed(full)
+
+    names = ["_s", "_group", "_slots", "_releases", "_deadlines"]
+    types = [pa.string(), pa.int64()] + [pa.list_(pa.int64())] * 3
+    table = spark.range(0, 1, 1, 1).mapInArrow(run, "_s string, _group long, _slots array<long>, _releases array<long>, _deadlines array<long>")
+    return written(table, "schedule")
 
 
 def tempered(power: float) -> Callable[[dict[str, int]], dict[str, float]]:
@@ -90,26 +128,21 @@ def tempered(power: float) -> Callable[[dict[str, int]], dict[str, float]]:
     return lambda sizes: {s: n**power for s, n in sizes.items()}
 
 
-def mix(docs: DataFrame, weights: dict[str, float] | Callable[[dict[str, int]], dict[str, float]], *, block: int = 16, frame: int = FRAME) -> DataFrame:
-    """``docs`` with block, offset (place in the block), release, deadline (in slots of the block's own phase) and slot."""
+def mix(docs: DataFrame, weights: dict[str, float] | Callable[[dict[str, int]], dict[str, float]], *, block: int = 16, frame: int | None = None) -> DataFrame:
+    """``docs`` with block, offset (place in the block), release, deadline (in slots of the block's own phase) and slot.
+
+    With ``frame`` the weights are first rounded to whole numbers of slots in a frame of that length.
+    """
     docs = docs.withColumn("_source", F.coalesce(F.col("source").cast("string"), F.lit("\0null")))
     sizes = {r["_source"]: r["count"] for r in docs.groupBy("_source").count().collect()}  # one row per source
     chosen = weights(sizes) if callable(weights) else {("\0null" if s is None else s): w for s, w in weights.items()}
-    plan = phases({s: -(-n // block) for s, n in sizes.items()}, chosen, frame)
-    spark = docs.sparkSession
-    table = F.broadcast(spark.createDataFrame(plan, "_source string, _first long, _last long, _n int, _start long, _frame int, _slots array<int>"))
+    table = schedule_table(docs.sparkSession, {s: -(-n // block) for s, n in sizes.items()}, chosen, frame)
     rows = numbered(docs, "_source", "doc_id", parts_for(docs, 4 << 20))
     rows = rows.withColumnsRenamed({"slot": "_rank"}).withColumn("block", F.floor(F.col("_rank") / block)).withColumn("offset", (F.col("_rank") % block).cast("int"))
-    within = [rows["_source"] == table["_source"], rows["block"] >= table["_first"], rows["block"] < table["_last"]]
-    rows = rows.drop("_rank").join(table.withColumnRenamed("_source", "_s"), [rows["_source"] == F.col("_s"), *within[1:]])
-    i = F.col("block") - F.col("_first")
-    place = F.element_at("_slots", (i % F.col("_n") + 1).cast("int"))
-    return (
-        rows.withColumn("release", F.floor(i * F.col("_frame") / F.col("_n")).cast("long"))
-        .withColumn("deadline", F.ceil((i + 1) * F.col("_frame") / F.col("_n")).cast("long"))
-        .withColumn("slot", (F.col("_start") + F.floor(i / F.col("_n")) * F.col("_frame") + place).cast("long"))
-        .drop("_source", "_s", "_first", "_last", "_n", "_start", "_frame", "_slots")
-    )
+    rows = rows.drop("_rank").withColumn("_group", F.floor(F.col("block") / GROUP)).join(table.withColumnRenamed("_s", "_source"), ["_source", "_group"])
+    place = (F.col("block") % GROUP).cast("int")
+    found = {"release": F.get("_releases", place), "deadline": F.get("_deadlines", place), "slot": F.get("_slots", place)}
+    return rows.withColumns(found).drop("_source", "_group", "_slots", "_releases", "_deadlines")
 
 
 def mixed_order(docs: DataFrame, weights, **options) -> DataFrame:

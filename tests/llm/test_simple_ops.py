@@ -4,6 +4,7 @@ import random
 import re
 import zlib
 from collections import Counter, defaultdict
+from fractions import Fraction
 
 import pytest
 
@@ -100,6 +101,21 @@ def test_mix_equals_simulation(spark, docs, none):
     assert ordered.columns == docs.columns and sorted(map(str, ordered.collect())) == sorted(map(str, docs.collect()))
 
 
+@pytest.mark.parametrize("sizes", [[9000, *[900] * 19], [*range(1, 1101)]])
+def test_mix_keeps_its_lag_against_the_exact_weights(spark, sizes):
+    df = spark.createDataFrame([(k * 10_000 + i, f"s{k}") for k, n in enumerate(sizes) for i in range(n if len(sizes) < 1000 else 30)], "doc_id long, source string")
+    weights = {f"s{k}": Fraction(n**0.5) for k, n in enumerate(sizes)}
+    total, slots = sum(weights.values()), defaultdict(list)
+    rows = mixing.mix(df, {s: float(w) for s, w in weights.items()}, block=1).select("source", "slot").collect()
+    for r in rows:
+        slots[r.source].append(r.slot)
+    assert sorted(r.slot for r in rows) == list(range(df.count()))
+    first = min(max(x) for x in slots.values())
+    for s, found in slots.items():
+        for i, x in enumerate(y for y in sorted(found) if y <= first):
+            assert abs(i - x * weights[s] / total) < 1 and abs(i + 1 - (x + 1) * weights[s] / total) < 1, (s, i, x)
+
+
 def tiktoken_encoding():
     tiktoken, tokenizers = pytest.importorskip("tiktoken"), pytest.importorskip("public_tokenizers")
     path = tokenizers.path("byte_bpe_50k.tiktoken")
