@@ -1,7 +1,8 @@
 """A corpus pipeline: toxic documents go, copies and near copies go, sources are mixed, texts become token ids.
 
 Every stage takes (spark, docs, sf_dir) and returns a DataFrame, which is written as Parquet and read again as the next stage's ``docs``.
-All but the last keep the columns of ``documents``. The mixing stage keeps every row: its decision is the order, in which files and the rows in them follow the schedule.
+All but the last keep the columns of ``documents``. The mixing stage keeps every row: its decision is the order, in which files and the rows in them follow the schedule,
+and the last stage returns it as each row's ``position``.
 """
 
 from __future__ import annotations
@@ -33,13 +34,13 @@ def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def tokenize(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Token ids of every document, with digests of the ids and of what they decode to.
+    """Token ids of every document, with digests of the ids and of what they decode to, and its position in the mix.
 
     The memo is small: Python workers live on, and what they remember would take the next run's memory.
     """
     import public_tokenizers
 
-    return bpe.encode_documents(docs, public_tokenizers.path("byte_bpe_50k.tiktoken"), public_tokenizers.PATTERN, with_ids=True, memo=50_000)
+    return bpe.encode_documents(mixing.positions(docs), public_tokenizers.path("byte_bpe_50k.tiktoken"), public_tokenizers.PATTERN, with_ids=True, memo=50_000, carry=("position",))
 
 
 STAGES = [

@@ -162,8 +162,8 @@ def _worker_encoder(vocabulary: str, pattern: str, memo: int, ranks) -> Encoder:
     return _WORKER[vocabulary, pattern, memo]
 
 
-def encode_documents(docs: DataFrame, vocabulary: str, pattern: str, *, with_ids: bool = False, memo: int = MEMO) -> DataFrame:
-    """One row per document: doc_id, n_tokens, ids_sha256, decoded_sha256 and, if asked for, the ids themselves.
+def encode_documents(docs: DataFrame, vocabulary: str, pattern: str, *, with_ids: bool = False, memo: int = MEMO, carry: tuple[str, ...] = ()) -> DataFrame:
+    """One row per document: doc_id, n_tokens, ids_sha256, decoded_sha256 and, if asked for, the ids themselves and the columns of ``carry``.
 
     ``memo``: pre-tokens remembered in each of two generations, some 200 bytes each in every Python worker. ``vocabulary``: path of a rank file; it is read on the driver and sent to the tasks (its size is that of a vocabulary).
     """
@@ -186,10 +186,11 @@ def encode_documents(docs: DataFrame, vocabulary: str, pattern: str, *, with_ids
             names = ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"]
             if with_ids:
                 cols, names = [*cols, pa.array(lists, pa.list_(pa.int32()))], [*names, "ids"]
-            yield pa.RecordBatch.from_arrays(cols, names)
+            yield pa.RecordBatch.from_arrays([*cols, *batch.columns[2:]], [*names, *carry])
 
     schema = f"doc_id {id_type}, n_tokens long, ids_sha256 string, decoded_sha256 string" + (", ids array<int>" if with_ids else "")
-    return docs.select("doc_id", text_of().alias("text")).mapInArrow(run, schema)
+    schema += "".join(f", {c} {docs.schema[c].dataType.simpleString()}" for c in carry)
+    return docs.select("doc_id", text_of().alias("text"), *carry).mapInArrow(run, schema)
 
 
 def decode_documents(encoded: DataFrame, vocabulary: str) -> DataFrame:

@@ -23,7 +23,7 @@ from fractions import Fraction
 from itertools import islice
 
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from .common import parts_for, written
@@ -151,3 +151,16 @@ def mixed_order(docs: DataFrame, weights, **options) -> DataFrame:
     named = docs.withColumnsRenamed({c: f"_own_{c}" for c in clash})
     order = ["slot", "offset"]
     return mix(named, weights, **options).repartitionByRange(parts_for(docs, 16 << 20), *order).sortWithinPartitions(*order).select(*[F.col(f"_own_{c}" if c in clash else c).alias(c) for c in docs.columns])
+
+
+def positions(docs: DataFrame) -> DataFrame:
+    """Rows of :func:`mixed_order` that were written to files and read again, with position: 0, 1, ... in the order of the mix.
+
+    Readers deal files to tasks by size, so the order is told from the number of the file and of the row in it. One row per file is broadcast.
+    """
+    number = lambda pattern: F.regexp_extract("_metadata.file_name", pattern, 1).try_cast("long")
+    named = docs.select("*", F.struct(number(r"^part-(\d+)").alias("part"), number(r"[-.]c(\d+)\.").alias("cut"), F.col("_metadata.file_path").alias("path")).alias("_file"), F.col("_metadata.row_index").alias("_row"))
+    before = Window.orderBy("_file").rowsBetween(Window.unboundedPreceding, -1)
+    starts = named.groupBy("_file").count().select("_file", F.coalesce(F.sum("count").over(before), F.lit(0)).alias("_start"))
+    # files without numbers have nulls in their key
+    return named.join(F.broadcast(starts.withColumnRenamed("_file", "_f")), F.col("_file").eqNullSafe(F.col("_f"))).withColumn("position", F.col("_start") + F.col("_row")).drop("_file", "_f", "_row", "_start")

@@ -7,7 +7,7 @@ import pytest
 from test_near_dup import brute_components, brute_sets
 from test_simple_ops import WS, by_id, tiktoken_encoding
 
-from ctxmatch.llm import toxicity
+from ctxmatch.llm import mixing, toxicity
 
 
 def corpus(seed=4, n=500):
@@ -88,3 +88,23 @@ def test_pipeline_equals_brute_force(spark, tmp_path):
     for _, stage in pipeline.STAGES[:-1]:
         docs = stage(spark, docs, str(tmp_path))
         assert docs.columns == columns
+
+
+def test_pipeline_rows_tell_the_mix(spark, tmp_path, monkeypatch):
+    pipeline = pytest.importorskip("corpus_pipeline")
+    pytest.importorskip("public_tokenizers")
+    rng = random.Random(6)
+    rows = [(i, "word " * rng.choice([1, 3, 400]), f"s{min(2, i % 7)}") for i in range(700)]
+    spark.createDataFrame(rows, "doc_id long, text string, source string").write.parquet(f"{tmp_path}/documents.parquet")
+    docs = spark.read.parquet(f"{tmp_path}/documents.parquet")
+    mixed = [r.doc_id for r in mixing.mix(docs, mixing.tempered(0.5)).orderBy("slot", "offset").collect()]
+    mix, tokens = pipeline.STAGES[-2:]
+    spark.conf.set("spark.sql.files.maxRecordsPerFile", 90)  # several files of unequal sizes
+    try:
+        monkeypatch.setattr(pipeline, "STAGES", [mix, tokens])
+        got = {r.position: r.doc_id for r in pipeline.run(spark, str(tmp_path)).collect()}
+        monkeypatch.setattr(pipeline, "STAGES", [("mixing", lambda spark, docs, sf_dir: docs), tokens])
+        plain = {r.position: r.doc_id for r in pipeline.run(spark, str(tmp_path)).collect()}
+    finally:
+        spark.conf.unset("spark.sql.files.maxRecordsPerFile")
+    assert got == dict(enumerate(mixed)) and sorted(plain) == sorted(got) and plain != got
