@@ -1,10 +1,12 @@
 """Secret scans with character Markov models.
 
 Three base patterns (assignments, access keys, hexadecimal runs) find spans by form. Beside them, two second-order Markov models over
-characters, one trained on random strings and one on ordinary identifiers, score every long token of key-like characters: a
-token is a span of kind ``markov`` if its mean log-likelihood ratio per character exceeds ``threshold`` and it does
-not overlap a base span. Both models are trained from labelled samples: strings drawn from the usual key alphabets by a seeded
-generator, and identifiers composed by rule from common words (snake, camel, kebab and dotted case, with counters and dates); callers can pass their own.
+characters, one trained on random strings and one on ordinary identifiers, score every token of 12 and more key-like characters: a
+token is a span of kind ``markov`` if its mean log-likelihood ratio per character exceeds a limit and no base span holds it
+whole. Letters in the case of prose (small, capital or capitalised) are scored against a third model, of words, as well, and the better of the two counts; the limit
+is ``threshold``, and for such words, where few characters say little, ``threshold`` and a margin of WORD_MARGIN / length. The models are trained from
+labelled samples: strings drawn from the usual key alphabets by a seeded generator, identifiers composed by rule from common words (snake, camel, kebab and
+dotted case, with counters and dates), and words composed from frequent letter groups; callers can pass the first two.
 
 Defined cases: null text counts as empty and has no spans; positions are code points, ends exclusive; texts are scanned whole; an empty table gives an
 empty result; other columns are ignored.
@@ -28,7 +30,9 @@ ASSIGN = re.compile(r"""(password|passwd|secret|token|api_?key)["']?\x20*[:=]\x2
 ACCESS = re.compile(r"AKIA[A-Z0-9]+")
 HEX = re.compile(r"[0-9a-f]{16,}")  # the runs of 16 and more: shorter ones fail anyway
 KINDS = ("assign", "access", "hex", "markov")
-CANDIDATE = re.compile(r"[A-Za-z0-9+/_=-]{16,}")
+CANDIDATE = re.compile(r"[A-Za-z0-9+/_=-]{12,}")
+PROSE = re.compile(r"[A-Z]?[a-z]+|[A-Z]+")
+WORD_MARGIN = 2.0
 ALPHABET = "ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789+/_=-"
 #: Words from which ordinary identifiers are composed; fixed values.
 WORDS = (
@@ -40,6 +44,15 @@ WORDS = (
     "information nombre fecha usuario cuenta valor utilisateur compte valeur adresse benutzer konto wert adresse nachricht"
 ).split()
 
+#: Frequent letter groups of the four languages, from which words are composed; fixed values.
+GROUPS = (
+    "th he in er an re on at en nd ti es or te of ed is it al ar st to nt ng se ha as ou io le ve co me de hi ri ro ic ne ea ra ce li ch ll be ma si om ur "
+    "the and ing ion tion ent for her ter hat tha ere ate his con res ver all ons nce men ith ted ers pro wh sh ly ble ness ment ous ive able ize est "
+    "les que des une est ait aux eur eux ais ant oir ique ette elle ois ien ai oi ui an ou "
+    "der die und sch ein ich den cht gen ung heit keit lich ver be ge zu ei ie au pf tz bau zeit "
+    "os as el la los ado ada ar ar ci ue qu mente dad cion ll rr es do da to ta jo za bo co go gu mi"
+).split()
+
 
 def random_strings(n: int, seed: int = 7) -> list[str]:
     rng = random.Random(seed)
@@ -58,6 +71,12 @@ def identifiers(n: int, seed: int = 8) -> list[str]:
     return out
 
 
+def composed_words(n: int, seed: int = 9) -> list[str]:
+    rng = random.Random(seed)
+    words = ["".join(rng.choices(GROUPS, k=rng.randint(3, 9))) for _ in range(n)]
+    return [rng.choice([w, w, w.capitalize(), w.upper()]) for w in words]
+
+
 class MarkovModel:
     """log P(next | two before), with add-``smooth`` counts backed by the order-1 model."""
 
@@ -85,11 +104,17 @@ class MarkovModel:
 
 class Scanner:
     def __init__(self, positive: list[str], negative: list[str], threshold: float):
-        self.random, self.ordinary, self.threshold = MarkovModel(positive), MarkovModel(negative), threshold
+        self.random, self.ordinary, self.words, self.threshold = MarkovModel(positive), MarkovModel(negative), MarkovModel(composed_words(4000)), threshold
 
     def ratio(self, token: str) -> float:
         """Mean log-likelihood ratio per character, above 0: more like a random string."""
-        return (self.random.log_likelihood(token) - self.ordinary.log_likelihood(token)) / len(token)
+        ordinary = self.ordinary.log_likelihood(token)
+        if PROSE.fullmatch(token):
+            ordinary = max(ordinary, self.words.log_likelihood(token))
+        return (self.random.log_likelihood(token) - ordinary) / len(token)
+
+    def limit(self, token: str) -> float:
+        return self.threshold + (WORD_MARGIN / len(token) if PROSE.fullmatch(token) else 0.0)
 
     def base(self, text: str) -> list[tuple[int, int, int]]:
         spans = [(m.start(), 0, m.end()) for m in ASSIGN.finditer(text) if m.end(2) - m.start(2) >= 12]
@@ -102,11 +127,9 @@ class Scanner:
         out = []
         for m in CANDIDATE.finditer(text):
             token = m.group()
-            if not any(c.isdigit() for c in token) or not any(c.isalpha() for c in token):
-                continue
-            if any(s < m.end() and m.start() < e for s, _, e in base):
+            if any(s <= m.start() and m.end() <= e for s, _, e in base):
                 continue
-            if self.ratio(token) > self.threshold:
+            if self.ratio(token) > self.limit(token):
                 out.append((m.start(), 3, m.end()))
         return out
 

@@ -217,6 +217,16 @@ def test_markov_models_separate_held_out_samples():
     assert hits > 0.95 and false < 0.03
 
 
+def test_secrets_score_letters_short_keys_and_keys_around_base_spans():
+    scanner = secrets.Scanner(secrets.random_strings(4000), secrets.identifiers(4000), 0.5)
+    rng = random.Random(12)
+    whole = lambda token: scanner.added(token, scanner.base(token)) == [(0, 3, len(token))]
+    for letters, lengths, least in ((secrets.ALPHABET[:52], (12, 24), 0.95), (secrets.ALPHABET[:62], (12, 15), 0.95), (secrets.ALPHABET[26:52], (16, 24), 0.75)):
+        assert sum(whole("".join(rng.choices(letters, k=rng.randint(*lengths)))) for _ in range(300)) >= 300 * least
+    assert whole("Zq7XkV2" + "0a1b2c3d4e5f60718" + "QmW9xTz4")
+    assert not any(map(whole, ["internationalization", "Verantwortlichkeit", "CONSIDERATIONS", "intencionadamente", "extraordinairement", "get_user_account_name"]))
+
+
 def test_warc_round_trip(spark, tmp_path):
     same = "<p>" + "y" * 200
     rows = [(1, "http://a/", same), (2, "http://b/\r\nX: y", same), (3, None, None), (4, "u", ""), (5, "u", "short"), (6, "u", "short"), (7, "u", "é\r\n\r\nWARC/1.1\r\n" * 30), (None, "u", same), (9, "u", same)]
