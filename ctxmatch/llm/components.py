@@ -25,4 +25,5 @@ def components(links: DataFrame) -> DataFrame:
         changed = new.filter("component <> old").limit(1).count()
         names = new.select("id", "component")
         if not changed:
+            drop_written(both)
             return names

@@ -7,11 +7,13 @@ number of slots and sources.
 
 When a source ends, the others share its weight and a new phase starts; phases are at most as many as sources. The driver
 sees one row per source. One task schedules the blocks (not the documents) with a heap that holds one block of each source, and streams their slots into a
-table, which the documents join by source and block. Documents are numbered within a source over hashed chunks, so a
-source with a third of all rows is numbered by many tasks.
+table, which the documents join by source and block: earliest deadline first is sequential, so ``block`` should grow where a corpus has billions of
+documents (some 200,000 blocks a second). Documents are numbered within a source by pieces of a hash's range, so a source with a third of all rows is
+numbered by many tasks.
 
 Defined cases: null sources are a source of their own; weights given for missing sources are ignored, sources without a weight (or with 0) come last;
-null ids and repeated rows are mixed like any others; an empty table gives no rows; every row is kept.
+null ids and repeated rows (the same id twice) are mixed like any others, in no set order among themselves; texts are carried along whole, however long;
+columns of the input that are named like one of the schedule's come back as ``own_...``; an empty table gives no rows; every row is kept.
 """
 
 from __future__ import annotations
@@ -30,6 +32,7 @@ from .common import parts_for, written
 from .sharding import numbered
 
 GROUP = 256  # blocks of a source in one row of the schedule's table
+TIMES = ("slot", "release", "deadline", "phase_start")
 LAST = (1 << 63) - 1  # the largest slot a column holds; only deadlines of nearly weightless sources reach it
 
 
@@ -81,8 +84,8 @@ def frame_schedule(shares: dict[str, int]) -> dict[str, list[int]]:
     return slots
 
 
-def schedule(blocks: dict[str, int], weights: dict[str, float], frame: int | None = None) -> Iterator[tuple[str, int, int, int, int]]:
-    """Rows (source, block, slot, release, deadline) in order of slots; release and deadline count from the start of the block's phase."""
+def schedule(blocks: dict[str, int], weights: dict[str, float], frame: int | None = None) -> Iterator[tuple[str, int, int, int, int, int]]:
+    """Rows (source, block, slot, release, deadline, phase's first slot) in order of slots; release and deadline count from that first slot."""
     left, start = dict(blocks), 0
     shares = {s: w for s, w in weights.items() if s in left and w > 0}
     shares = shares if frame else exact_weights(shares)
@@ -90,7 +93,7 @@ def schedule(blocks: dict[str, int], weights: dict[str, float], frame: int | Non
         live = {s: n for s, n in shares.items() if left[s]} or {s: 1 for s in left if left[s]}
         done = {s: blocks[s] - left[s] for s in live}
         for slot, s, i, release, due in earliest_deadlines(whole_weights(live, frame) if frame else live):
-            yield s, done[s] + i, start + slot, release, due
+            yield s, done[s] + i, start + slot, release, due, start
             left[s] -= 1
             if not left[s]:  # the first source runs out
                 break
@@ -98,17 +101,17 @@ def schedule(blocks: dict[str, int], weights: dict[str, float], frame: int | Non
 
 
 def schedule_table(spark: SparkSession, blocks: dict[str, int], weights: dict[str, float], frame: int | None) -> DataFrame:
-    """The schedule with one row for each ``GROUP`` blocks of a source: arrays of slots, releases and deadlines."""
+    """The schedule with one row for each ``GROUP`` blocks of a source: arrays of slots, releases, deadlines and phases' first slots."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for _ in batches:
             pass
-        some: dict[str, list[tuple[int, int, int]]] = {}
+        some: dict[str, list[tuple[int, int, int, int]]] = {}
         full: list[tuple] = []
         packed = lambda rows: pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), types, strict=True)], names)
-        for s, i, slot, release, due in schedule(blocks, weights, frame):
+        for s, i, slot, release, due, start in schedule(blocks, weights, frame):
             group = some.setdefault(s, [])
-            group.append((slot, min(release, LAST), min(due, LAST)))
+            group.append((slot, min(release, LAST), min(due, LAST), start))
             if len(group) == GROUP or i + 1 == blocks[s]:
                 full.append((s, i // GROUP, *map(list, zip(*some.pop(s), strict=True))))
             if len(full) == 64:
@@ -117,9 +120,9 @@ def schedule_table(spark: SparkSession, blocks: dict[str, int], weights: dict[st
         if full:
             yield packed(full)
 
-    names = ["_s", "_group", "_slots", "_releases", "_deadlines"]
-    types = [pa.string(), pa.int64()] + [pa.list_(pa.int64())] * 3
-    table = spark.range(0, 1, 1, 1).mapInArrow(run, "_s string, _group long, _slots array<long>, _releases array<long>, _deadlines array<long>")
+    names = ["_mix_source", "_mix_group", *(f"_mix_{c}" for c in TIMES)]
+    types = [pa.string(), pa.int64()] + [pa.list_(pa.int64())] * len(TIMES)
+    table = spark.range(0, 1, 1, 1).mapInArrow(run, "_mix_source string, _mix_group long, " + ", ".join(f"_mix_{c} array<long>" for c in TIMES))
     return written(table, "schedule")
 
 
@@ -129,28 +132,29 @@ def tempered(power: float) -> Callable[[dict[str, int]], dict[str, float]]:
 
 
 def mix(docs: DataFrame, weights: dict[str, float] | Callable[[dict[str, int]], dict[str, float]], *, block: int = 16, frame: int | None = None) -> DataFrame:
-    """``docs`` with block, offset (place in the block), release, deadline (in slots of the block's own phase) and slot.
+    """``docs`` with block, offset (place in the block), slot, release, deadline and phase_start: slot - phase_start lies in [release, deadline).
 
     With ``frame`` the weights are first rounded to whole numbers of slots in a frame of that length.
     """
-    docs = docs.withColumn("_source", F.coalesce(F.col("source").cast("string"), F.lit("\0null")))
-    sizes = {r["_source"]: r["count"] for r in docs.groupBy("_source").count().collect()}  # one row per source
+    docs = _set_aside(docs).withColumn("_mix_source", F.coalesce(F.col("source").cast("string"), F.lit("\0null")))
+    sizes = {r["_mix_source"]: r["count"] for r in docs.groupBy("_mix_source").count().collect()}  # one row per source
     chosen = weights(sizes) if callable(weights) else {("\0null" if s is None else s): w for s, w in weights.items()}
     table = schedule_table(docs.sparkSession, {s: -(-n // block) for s, n in sizes.items()}, chosen, frame)
-    rows = numbered(docs, "_source", "doc_id", parts_for(docs, 4 << 20))
-    rows = rows.withColumnsRenamed({"slot": "_rank"}).withColumn("block", F.floor(F.col("_rank") / block)).withColumn("offset", (F.col("_rank") % block).cast("int"))
-    rows = rows.drop("_rank").withColumn("_group", F.floor(F.col("block") / GROUP)).join(table.withColumnRenamed("_s", "_source"), ["_source", "_group"])
+    rows = numbered(docs, "_mix_source", "doc_id", "_mix_rank").withColumns({"block": F.floor(F.col("_mix_rank") / block), "offset": (F.col("_mix_rank") % block).cast("int")})
+    rows = rows.withColumn("_mix_group", F.floor(F.col("block") / GROUP)).join(table, ["_mix_source", "_mix_group"])
     place = (F.col("block") % GROUP).cast("int")
-    found = {"release": F.get("_releases", place), "deadline": F.get("_deadlines", place), "slot": F.get("_slots", place)}
-    return rows.withColumns(found).drop("_source", "_group", "_slots", "_releases", "_deadlines")
+    return rows.withColumns({c: F.get(f"_mix_{c}", place) for c in TIMES}).drop("_mix_source", "_mix_rank", "_mix_group", *(f"_mix_{c}" for c in TIMES))
+
+
+def _set_aside(docs: DataFrame) -> DataFrame:
+    return docs.withColumnsRenamed({c: f"own_{c}" for c in docs.columns if c in ("block", "offset", *TIMES)})
 
 
 def mixed_order(docs: DataFrame, weights, **options) -> DataFrame:
     """All rows of ``docs`` with their own columns, in the order of the mix: file after file, row after row."""
-    clash = [c for c in docs.columns if c in ("block", "offset", "release", "deadline", "slot")]
-    named = docs.withColumnsRenamed({c: f"_own_{c}" for c in clash})
-    order = ["slot", "offset"]
-    return mix(named, weights, **options).repartitionByRange(parts_for(docs, 16 << 20), *order).sortWithinPartitions(*order).select(*[F.col(f"_own_{c}" if c in clash else c).alias(c) for c in docs.columns])
+    order, kept = ["slot", "offset"], _set_aside(docs).columns
+    mixed = mix(docs, weights, **options).repartitionByRange(parts_for(docs, 16 << 20), *order).sortWithinPartitions(*order)
+    return mixed.select(*[F.col(c).alias(own) for c, own in zip(kept, docs.columns, strict=True)])
 
 
 def positions(docs: DataFrame) -> DataFrame:

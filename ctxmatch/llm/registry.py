@@ -13,7 +13,7 @@ from .common import table
 def op1_pfair_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Every document with its block, release, deadline and slot under tempered target weights."""
     docs = table(spark, sf_dir, "documents").select("doc_id", "source")
-    return mixing.mix(docs, mixing.tempered(0.5)).select("doc_id", "source", "block", "offset", "release", "deadline", "slot")
+    return mixing.mix(docs, mixing.tempered(0.5)).select("doc_id", "source", "block", "offset", "release", "deadline", "slot", "phase_start")
 
 
 def op2_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

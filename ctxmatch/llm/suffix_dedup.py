@@ -8,10 +8,10 @@ One suffix array over a corpus does not fit any machine, so the corpus is first
 k-gram of smallest hash inside it (its anchor), which depends on nothing but the window, so equal windows name equal anchors at equal
 places. Consecutive windows with one anchor form a unit of about ``(least - k) / 2`` windows. Then
 
-1. units meet by anchor (packed, a row per batch and bucket). Units equal as a whole are settled by their hashes: all but the first go. A batch
-   settles its own first, so a passage in many documents is sent once per batch.
+1. units meet by anchor (packed, a row per batch and bucket). Units equal as a whole (anchor, length and 160 bits of three hashes) are settled: all but
+   the first go. A batch settles its own first, so a passage in many documents is sent once per batch.
 2. Anchors found with different surroundings leave one unit for each surrounding. Their bytes are fetched from the documents, meet by anchor
-   again, and a suffix array with its interval tree settles them exactly.
+   again, and a suffix array with its interval tree settles them exactly: what goes is what left-diverse intervals report.
 3. The spans of a document are gathered and cut out.
 
 Buckets number with the size of the input, so each holds a few megabytes; an anchor with very many different surroundings stays in one bucket, with
@@ -36,6 +36,10 @@ from .common import parts_for, text_of, written
 from .near_dup import _INVERSE, _PRIME, _powers, mixed
 
 CHUNK = 1 << 20
+_SECOND_PRIME = np.uint64(0xD6E8FEB86659FD93)
+_SECOND_INVERSE = np.uint64(pow(0xD6E8FEB86659FD93, -1, 1 << 64))
+#: Other values for the bytes in the second hash of a unit.
+SECOND = mixed(np.arange(1, 257, dtype=np.uint64))
 
 
 # ---- the suffix array and its interval tree
@@ -99,8 +103,8 @@ def enhanced_suffix_array(data: np.ndarray, bounds: np.ndarray, least: int) -> t
     return order, lcp
 
 
-def repeat_intervals(order: np.ndarray, lcp: np.ndarray, before: np.ndarray, least: int) -> Iterator[tuple[int, int, int, list[int]]]:
-    """(length, first, last, starts of its child intervals) of each left-diverse interval of the suffix array, children before parents.
+def repeat_intervals(order: np.ndarray, lcp: np.ndarray, before: np.ndarray, least: int) -> Iterator[tuple[int, int, int, list[int], bool]]:
+    """(length, first, last, starts of its child intervals, left-diverse?) of each interval of the suffix array, children before parents.
 
     A stack holds the open intervals; each carries the byte before its suffixes while that is the same for all, else -1 (diverse).
     ``before``: the byte before each position, a different negative number at each text's start.
@@ -118,8 +122,7 @@ def repeat_intervals(order: np.ndarray, lcp: np.ndarray, before: np.ndarray, lea
             if children[-1] != child:
                 children.append(child)
             own = own if own == byte else -1
-            if own == -1:
-                yield length, first, i - 1, children
+            yield length, first, i - 1, children, own == -1
             child, byte = first, own
         if depth:
             if stack and stack[-1][0] == depth:
@@ -139,7 +142,9 @@ def maximal_repeats(texts: list[bytes], least: int) -> list[tuple[bytes, list[tu
         return []
     order, lcp = enhanced_suffix_array(data, bounds, least)
     out = []
-    for length, lo, hi, _ in repeat_intervals(order, lcp, before, least):
+    for length, lo, hi, _, diverse in repeat_intervals(order, lcp, before, least):
+        if not diverse:
+            continue
         at = np.sort(order[lo : hi + 1])
         which = np.searchsorted(bounds, at, "right") - 1
         out.append((data[at[0] : at[0] + length].tobytes(), list(zip(which.tolist(), (at - bounds[which]).tolist(), strict=True))))
@@ -157,10 +162,12 @@ def _joined(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
 
 
 def later_occurrences(texts: list[bytes], place: np.ndarray, least: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(text number, start, length) of the occurrences that are not the first of their maximal repeat.
+    """(text number, start, length) of occurrences that are not the first of their maximal repeat; they cover all such occurrences.
 
     ``place``: a number for the start of each text; position p of text t comes at place[t] + p, ties of one place being one position given twice.
     In each interval only the smallest position of a child can be new to it, so every suffix is settled once: linear in the suffixes, whatever the nesting.
+    Left-diverse intervals report what they settle. One that is not left-diverse reports nothing: the same occurrences, a byte longer to the left, are an
+    interval too, and the leftmost of these is a maximal repeat that covers them.
     """
     data, bounds, before = _joined(texts)
     order, lcp = enhanced_suffix_array(data, bounds, least)
@@ -168,13 +175,13 @@ def later_occurrences(texts: list[bytes], place: np.ndarray, least: int) -> tupl
     places = (place[which] + (order - bounds[which])).tolist()
     smallest: dict[int, int] = {}  # interval start -> index of its smallest suffix
     hits, lengths = [], []
-    for length, _, _, children, in _all_intervals(order, lcp, least):
+    for length, _, _, children, diverse in repeat_intervals(order, lcp, before, least):
         heads = [smallest.get(c, c) for c in children]
         best = min(heads, key=places.__getitem__)
-        for h in heads:
-            if places[h] != places[best]:
-                hits.append(h)
-                lengths.append(length)
+        if diverse:
+            later = [h for h in heads if places[h] != places[best]]
+            hits += later
+            lengths += [length] * len(later)
         smallest[children[0]] = best
     hit = np.array(hits, np.int64)
     at = order[hit] if len(hit) else hit
@@ -182,32 +189,30 @@ def later_occurrences(texts: list[bytes], place: np.ndarray, least: int) -> tupl
     return own, at - bounds[own], np.array(lengths, np.int64)
 
 
-def _all_intervals(order: np.ndarray, lcp: np.ndarray, least: int):
-    """Every interval, diverse or not: one whose suffixes all follow the same byte still settles suffixes for its parents."""
-    return repeat_intervals(order, lcp, np.arange(len(lcp) and int(order.max()) + 1) * -1 - 2, least)
-
-
 # ---- units
 
 
 def units_of(data: np.ndarray, bounds: np.ndarray, least: int, k: int) -> tuple[np.ndarray, ...]:
-    """(text number, start, windows, anchor hash, unit hash) of every unit of the concatenated texts."""
+    """(text number, start, windows, anchor hash, unit hash, second unit hash) of every unit of the concatenated texts.
+
+    A window's anchor is the k-gram whose hash has the smallest upper half, the leftmost of several: a rule on the window's bytes alone.
+    """
     n, width = len(data), least - k + 1
     if n < least:
-        return tuple(np.zeros(0, t) for t in (np.int64, np.int64, np.int64, np.uint64, np.uint64))
+        return tuple(np.zeros(0, t) for t in (np.int64, np.int64, np.int64, np.uint64, np.uint64, np.uint32))
     inverse = _powers(n, _INVERSE)
     sums = np.zeros(n + 1, np.uint64)
     np.cumsum((data.astype(np.uint64) + np.uint64(1)) * _powers(n, _PRIME), out=sums[1:])
     grams = mixed((sums[k:] - sums[:-k]) * inverse[: n - k + 1])
-    bits = np.uint64(n.bit_length())
-    low = ((grams >> bits) << bits) | np.arange(len(grams), dtype=np.uint64)
+    half = np.uint64(32)
+    low = ((grams >> half) << half) | np.arange(len(grams), dtype=np.uint64)
     span = 1
     while span * 2 <= width:  # sliding minimum by doubling; the position in the low bits makes the leftmost win
         low = np.minimum(low[:-span], low[span:])
         span *= 2
     if width > span:
         low = np.minimum(low[: len(low) - (width - span)], low[width - span :])
-    anchor = (low & ((np.uint64(1) << bits) - np.uint64(1))).astype(np.int64)
+    anchor = (low & np.uint64((1 << 32) - 1)).astype(np.int64)
     windows = len(anchor)
     text = np.repeat(np.arange(len(bounds) - 1), np.diff(bounds))
     inside = text[:windows] == text[least - 1 : least - 1 + windows]
@@ -218,20 +223,26 @@ def units_of(data: np.ndarray, bounds: np.ndarray, least: int, k: int) -> tuple[
     stop[:-1] &= new[1:] | ~inside[1:]
     end = np.flatnonzero(stop) + 1
     count = end - start
-    whole = mixed(((sums[end + least - 1] - sums[start]) * inverse[start]) + mixed((anchor[start] - start).astype(np.uint64) << np.uint64(32) | count.astype(np.uint64)))
-    return text[start], start - bounds[text[start]], count, grams[anchor[start]], whole
+    place = mixed((anchor[start] - start).astype(np.uint64) << np.uint64(32) | count.astype(np.uint64))
+    whole = mixed(((sums[end + least - 1] - sums[start]) * inverse[start]) + place)
+    np.cumsum(SECOND[data] * _powers(n, _SECOND_PRIME), out=sums[1:])
+    check = mixed((sums[end + least - 1] - sums[start]) * _powers(n, _SECOND_INVERSE)[start] + place) >> np.uint64(32)
+    return text[start], start - bounds[text[start]], count, grams[anchor[start]], whole, check.astype(np.uint32)
+
 
+def _settle(doc: np.ndarray, start: np.ndarray, unit: np.ndarray, check: np.ndarray, anchor: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(indices in the order anchor, unit, document, start; index of the first of its unit for each of them).
 
-def _settle(doc: np.ndarray, start: np.ndarray, unit: np.ndarray, anchor: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """(indices in the order anchor, unit, document, start; index of the first of its unit for each of them)."""
-    order = np.lexsort((start, doc, unit, anchor))
+    Units count as equal when the 64 bits of their anchor's hash, the 64 of their own and 32 of a second one with other factors and other values for the bytes agree.
+    """
+    order = np.lexsort((start, doc, check, unit, anchor))
     new = np.ones(len(order), bool)
-    new[1:] = (anchor[order[1:]] != anchor[order[:-1]]) | (unit[order[1:]] != unit[order[:-1]])
+    new[1:] = (anchor[order[1:]] != anchor[order[:-1]]) | (unit[order[1:]] != unit[order[:-1]]) | (check[order[1:]] != check[order[:-1]])
     return order, order[np.flatnonzero(new)[np.cumsum(new) - 1]] if len(order) else order
 
 
 _SPAN = np.dtype([("doc", "<i8"), ("start", "<u4"), ("n", "<u4")])
-_UNIT = [("anchor", "<u8"), ("unit", "<u8"), ("doc", "<i8"), ("start", "<u4"), ("n", "<u1")]
+_UNIT = [("anchor", "<u8"), ("unit", "<u8"), ("check", "<u4"), ("doc", "<i8"), ("start", "<u4"), ("n", "<u2")]
 
 
 def _pack_units(columns: dict[str, np.ndarray]) -> bytes:
@@ -282,8 +293,8 @@ def _unit_rows(docs: DataFrame, least: int, k: int, buckets: int) -> DataFrame:
                 text, *rest = units_of(data[at[t] : at[to]], at[t : to + 1] - at[t], least, k)
                 found.append((ids[t + text], *rest))
                 t = to
-            doc, start, count, anchor, unit = (np.concatenate(x) for x in zip(*found, strict=True)) if found else [np.zeros(0, np.uint64)] * 5
-            order, first = _settle(doc, start, unit, anchor)
+            doc, start, count, anchor, unit, check = (np.concatenate(x) for x in zip(*found, strict=True)) if found else [np.zeros(0, np.uint64)] * 6
+            order, first = _settle(doc, start, unit, check, anchor)
             settled = (doc[order] != doc[first]) | (start[order] != start[first])
             spans = np.zeros(int(settled.sum()), _SPAN)
             gone = order[settled]
@@ -297,7 +308,7 @@ def _unit_rows(docs: DataFrame, least: int, k: int, buckets: int) -> DataFrame:
             for b in np.unique(bucket):
                 own = keep[cuts[b] : cuts[b + 1]]
                 numbers.append(int(b))
-                blobs.append(_pack_units({"anchor": anchor[own], "unit": unit[own], "doc": doc[own], "start": start[own], "n": count[own]}))
+                blobs.append(_pack_units({"anchor": anchor[own], "unit": unit[own], "check": check[own], "doc": doc[own], "start": start[own], "n": count[own]}))
                 covered.append(None)
             if len(spans):
                 numbers.append(int(ids[0]) % buckets)
@@ -337,9 +348,9 @@ def _settled_rows(rows: DataFrame, least: int) -> DataFrame:
         same[1:-1] = anchor[order[1:]] == anchor[order[:-1]]
         again = np.sort(order[same[1:] | same[:-1]])  # units whose anchor is found twice
         anchor = anchor[again]
-        unit, doc, start, n = (np.concatenate([b[c] for b in blobs])[again] for c in ("unit", "doc", "start", "n"))
+        unit, check, doc, start, n = (np.concatenate([b[c] for b in blobs])[again] for c in ("unit", "check", "doc", "start", "n"))
         del blobs, order, same
-        order, first = _settle(doc, start, unit, anchor)
+        order, first = _settle(doc, start, unit, check, anchor)
         later = (doc[order] != doc[first]) | (start[order] != start[first])
         gone = order[later]
         yield spans(doc[gone], start[gone], n[gone].astype(np.int64) + least - 1)
@@ -438,6 +449,8 @@ def covered_runs(blobs: list[bytes] | None, n: int) -> list[tuple[int, int]]:
 
 def repeated_spans(docs: DataFrame, *, least: int = 100, k: int = 32, bucket_bytes: int = 4 << 20) -> DataFrame:
     """doc_id, covered: arrays of packed (start, length) spans to remove; documents without any are absent. ``docs``: doc_id (long), text."""
+    if not 0 < k <= least < 1 << 16:
+        raise ValueError("a gram has at most as many bytes as the shortest repeat, which has fewer than 65,536")
     docs = docs.filter("doc_id is not null")
     buckets = parts_for(docs, bucket_bytes)
     rows = _unit_rows(docs, least, k, buckets)

@@ -6,25 +6,29 @@ each in an index, with which any record can be read alone.
 
 Records whose payloads are equal and of at least ``least`` bytes are written once: the one with the smallest page id is a
 ``response``, the others are ``revisit`` records that carry the digest, the length and the id of the response, without the
-payload. Archives are values of a binary column of a table in the shared folder, since executors share no other disk;
-``normalise_file`` does the same for a file.
+payload. Archives and sidecars are files in the shared folder, written and read by the tasks through Arrow's file systems (local, HDFS, S3, GCS, Azure);
+the tables between the steps hold their names only.
 
 Defined cases: null html is an empty payload; a null url has no target header; null page ids are written as such and never chosen over others
-as the response; repeated page ids give a record each; an archive holds up to ``archive_bytes`` of records, or one record if that is larger; an empty table gives no archives.
+as the response; repeated page ids give a record each, of equal payloads those of the smallest id are all responses; an archive closes at the first record that
+brings it to ``archive_bytes``, so a very large page has one of its own; other columns are ignored; an empty table gives no archives.
 """
 
 from __future__ import annotations
 
 import gzip
+import hashlib
 import io
+import uuid
 import zlib
 from collections.abc import Iterator
 
 import pyarrow as pa
+from pyarrow import fs
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import drop_written, text_of, written
+from .common import drop_folder, drop_written, shared_dir, text_of, written
 
 _NAMES = ["page_id", "payload_bytes", "payload_digest", "record_type", "refers_to"]
 
@@ -74,33 +78,45 @@ def member(data: bytes, level: int = 4) -> bytes:
     return gzip.compress(data, level, mtime=0)
 
 
-def normalise(whole: bytes, level: int = 4) -> tuple[bytes, list[tuple[str, int, int]]]:
-    """(archive with a member per record, index of (record id, offset, length))."""
-    out, index, at = [], [], 0
-    for found, data in records_in(io.BufferedReader(gzip.GzipFile(fileobj=io.BytesIO(whole)), 1 << 20)):
-        packed = member(data, level)
-        out.append(packed)
-        index.append((found["warc-record-id"], at, len(packed)))
-        at += len(packed)
-    return b"".join(out), index
+def _at(path: str) -> tuple[fs.FileSystem, str]:
+    """The file system that a URI (or an absolute local path) names, and the path in it."""
+    return fs.FileSystem.from_uri(path)
 
 
 def normalise_file(source: str, target: str, level: int = 4) -> int:
-    """The same from file to file, one record in memory; the index goes to ``target + '.idx'``, a tab-separated line per record."""
-    at = n = 0
-    with gzip.open(source, "rb") as stream, open(target, "wb") as out, open(target + ".idx", "w") as side:
-        for found, data in records_in(io.BufferedReader(stream, 1 << 20)):
-            packed = member(data, level)
-            out.write(packed)
-            side.write(f"{found['warc-record-id']}\t{at}\t{len(packed)}\n")
-            at, n = at + len(packed), n + 1
+    """Rewrite a monolithic archive with a member per record; returns the number of records. One record is in memory at a time.
+
+    The index goes to ``target + '.idx'``, a tab-separated line (record id, offset, length) per record. Paths are local ones or URIs of a store that Arrow knows.
+    """
+    (store, path), (into, out_path), at, n = _at(source), _at(target), 0, 0
+    with store.open_input_stream(path, compression=None) as packed, into.open_output_stream(out_path, compression=None) as out, into.open_output_stream(out_path + ".idx", compression=None) as side:
+        for found, data in records_in(io.BufferedReader(gzip.GzipFile(fileobj=packed), 1 << 20)):
+            one = member(data, level)
+            out.write(one)
+            side.write(f"{found['warc-record-id']}\t{at}\t{len(one)}\n".encode())
+            at, n = at + len(one), n + 1
     return n
 
 
+def index_of(archive: str) -> list[tuple[str, int, int]]:
+    """(record id, offset, length) from the sidecar of a normalised archive."""
+    store, path = _at(archive + ".idx")
+    with store.open_input_stream(path, compression=None) as side:
+        lines = (line.rsplit("\t", 2) for line in side.read().decode().splitlines())
+        return [(name, int(at), int(n)) for name, at, n in lines]
+
+
+def records_at(archive: str, index: list[tuple[str, int, int]]) -> Iterator[bytes]:
+    """The members that the index points to, each read alone."""
+    store, path = _at(archive)
+    with store.open_input_file(path) as data:
+        for _, at, n in index:
+            data.seek(at)
+            yield data.read(n)
+
+
 def read_record(data: bytes) -> tuple[int | None, int, str, str, int | None]:
     """page_id, payload_bytes, payload_digest, record_type, refers_to of one member; a response's digest is computed from its payload."""
-    import hashlib
-
     found, whole = next(records_in(io.BufferedReader(io.BytesIO(zlib.decompress(data, 31)))))
     page = lambda name: None if (x := found.get(name, "<urn:page:None>")[10:-1]) == "None" else int(x)
     body = whole.split(b"\r\n\r\n", 1)[1][:-4]
@@ -113,76 +129,94 @@ def read_record(data: bytes) -> tuple[int | None, int, str, str, int | None]:
     return page("warc-record-id"), length, digest, found["warc-type"], page("warc-refers-to")
 
 
+SALTS = 32
+
+
 def typed(pages: DataFrame, least: int = 100) -> DataFrame:
-    """page_id, url, payload, digest, refers_to: null for a response."""
+    """page_id, url, payload, digest, refers_to: null for a response.
+
+    Digests meet their first page in ``SALTS`` places each, so the payloads of a page with very many copies do not follow its digest into one task.
+    """
     payload = text_of("html")
     rows = pages.select(F.col("page_id").cast("long").alias("page_id"), F.col("url").cast("string").alias("url"), payload.cast("binary").alias("payload"), F.sha2(payload, 256).alias("digest"))
     large = F.octet_length("payload") >= least
-    first = rows.filter(large).groupBy("digest").agg(F.min("page_id").alias("first"), F.count("*").alias("n")).filter("n > 1").select("digest", "first")
-    return rows.join(first, "digest", "left").select("page_id", "url", "payload", "digest", F.when(~F.col("page_id").eqNullSafe(F.col("first")), F.col("first")).alias("refers_to"))
+    first = rows.filter(large).groupBy("digest").agg(F.min("page_id").alias("first"), F.count("*").alias("n")).filter("n > 1").select("digest", "first", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))).alias("salt"))
+    rows = rows.withColumn("salt", F.pmod(F.xxhash64("page_id", "url"), F.lit(SALTS)).cast("int")).join(first, ["digest", "salt"], "left")
+    return rows.select("page_id", "url", "payload", "digest", F.when(~F.col("page_id").eqNullSafe(F.col("first")), F.col("first")).alias("refers_to"))
+
 
+def write_archives(rows: DataFrame, folder: str, archive_bytes: int = 4 << 20) -> DataFrame:
+    """archive: URIs of the monolithic gzip archives below ``folder`` to which the tasks write typed rows, record by record.
 
-def write_archives(rows: DataFrame, archive_bytes: int = 4 << 20) -> DataFrame:
-    """archive, gz: monolithic gzip archives of typed rows."""
+    Names differ from attempt to attempt: those of a lost attempt are never listed, and an archive that is listed is whole.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyspark import TaskContext
 
-        part, count, pending, size = TaskContext.get().partitionId(), 0, [], 0
+        part, count, open_one = TaskContext.get().partitionId(), 0, None
+        store, path = _at(folder)
+        store.create_dir(path, recursive=True)
 
-        def packed() -> pa.RecordBatch:
-            nonlocal count, pending, size
-            packer = zlib.compressobj(1, wbits=31)
-            data = b"".join([*map(packer.compress, pending), packer.flush()])
-            count, pending, size = count + 1, [], 0
-            return pa.RecordBatch.from_arrays([pa.array([f"pages-{part:06d}-{count:06d}.warc.gz"]), pa.array([data], pa.binary())], ["archive", "gz"])
+        def closed() -> pa.RecordBatch:
+            name, out, packer, _ = open_one
+            out.write(packer.flush())
+            out.close()
+            return pa.RecordBatch.from_arrays([pa.array([f"{folder}/{name}"])], ["archive"])
 
         for batch in batches:
             for row in zip(*(batch.column(k) for k in range(5)), strict=True):
-                pending.append(record(*(x.as_py() for x in row)))
-                size += len(pending[-1])
-                if size >= archive_bytes:
-                    yield packed()
-        if pending:
-            yield packed()
+                if open_one is None:
+                    name = f"pages-{part:06d}-{count:06d}-{uuid.uuid4().hex[:8]}.warc.gz"
+                    open_one = [name, store.open_output_stream(f"{path}/{name}", compression=None), zlib.compressobj(1, wbits=31), 0]
+                data = record(*(x.as_py() for x in row))
+                open_one[1].write(open_one[2].compress(data))
+                open_one[3] += len(data)
+                if open_one[3] >= archive_bytes:
+                    yield closed()
+                    count, open_one = count + 1, None
+        if open_one is not None:
+            yield closed()
 
-    return rows.mapInArrow(run, "archive string, gz binary")
+    return rows.mapInArrow(run, "archive string")
 
 
-def normalised(archives: DataFrame) -> DataFrame:
-    """archive, gz (a member per record), index (the sidecar)."""
+def normalised(archives: DataFrame, folder: str) -> DataFrame:
+    """archive, n_records: the archives rewritten below ``folder``, a member per record, each with its sidecar index beside it."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        kind = pa.list_(pa.struct([("record_id", pa.string()), ("offset", pa.int64()), ("length", pa.int64())]))
+        store, path = _at(folder)
+        store.create_dir(path, recursive=True)
         for batch in batches:
-            for name, whole in zip(batch.column(0), batch.column(1), strict=True):
-                data, index = normalise(whole.as_py())
-                side = [{"record_id": r, "offset": o, "length": n} for r, o, n in index]
-                yield pa.RecordBatch.from_arrays([pa.array([name.as_py()]), pa.array([data], pa.binary()), pa.array([side], kind)], ["archive", "gz", "index"])
+            for source in batch.column(0).to_pylist():
+                target = f"{folder}/{uuid.uuid4().hex[:8]}-{source.rsplit('/', 1)[1]}"
+                yield pa.RecordBatch.from_arrays([pa.array([target]), pa.array([normalise_file(source, target)], pa.int64())], ["archive", "n_records"])
 
-    return archives.mapInArrow(run, "archive string, gz binary, index array<struct<record_id:string,offset:long,length:long>>")
+    return archives.mapInArrow(run, "archive string, n_records long")
 
 
 def read_archives(archives: DataFrame) -> DataFrame:
-    """A row per record, read through the index."""
+    """A row per record of normalised archives, read through their sidecars."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         types = [pa.int64(), pa.int64(), pa.string(), pa.string(), pa.int64()]
         for batch in batches:
-            for whole, index in zip(batch.column(1), batch.column(2), strict=True):
-                data = memoryview(whole.as_buffer())
-                rows = [read_record(data[x["offset"] : x["offset"] + x["length"]]) for x in index.as_py()]
+            for archive in batch.column(0).to_pylist():
+                rows = [read_record(data) for data in records_at(archive, index_of(archive))]
                 yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), types, strict=True)], _NAMES)
 
     return archives.mapInArrow(run, "page_id long, payload_bytes long, payload_digest string, record_type string, refers_to long")
 
 
-def archive_pages(pages: DataFrame, *, least: int = 100, archive_bytes: int = 4 << 20) -> DataFrame:
-    """Write all pages, normalise the archives, and read them back: a row per record."""
-    whole = written(write_archives(typed(pages, least), archive_bytes), "warc-whole")
-    members = written(normalised(whole), "warc-members")
+def archive_pages(pages: DataFrame, *, least: int = 100, archive_bytes: int = 4 << 20, folder: str | None = None) -> DataFrame:
+    """Write all pages, normalise the archives, and read them back: a row per record. The normalised archives stay in ``folder`` (one of the shared folder's own)."""
+    folder = folder or f"{shared_dir(pages.sparkSession)}/warc-{uuid.uuid4().hex}"
+    whole = written(write_archives(typed(pages, least), f"{folder}/whole", archive_bytes), "warc-whole")
+    width = int(pages.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    members = written(normalised(whole.repartition(width), f"{folder}/members"), "warc-members")
     drop_written(whole)
-    return read_archives(members)
+    drop_folder(pages.sparkSession, f"{folder}/whole")
+    return read_archives(members.select("archive").repartition(width))
 
 
 ORACLE = """

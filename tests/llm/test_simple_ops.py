@@ -45,26 +45,51 @@ def test_lanes_cover_partitions():
         assert fan_in**rounds >= n and fan_in <= 33
 
 
-def test_lpt_balances_and_keeps_groups(docs, none):
-    assert sharding.schedule([("a", 7), ("b", 6), ("c", 5), ("d", 4), ("e", 3)], 2) == {"a": 0, "b": 1, "c": 1, "d": 0, "e": 0}
-    rows = sharding.assign_shards(docs).collect()
-    texts = {r.doc_id: r.text or "" for r in docs.collect()}
+def plain_lpt(sizes, shards):
+    loads = [0] * shards
+    for size in sorted(sizes, reverse=True):
+        loads[min(range(shards), key=lambda s: (loads[s], s))] += size
+    return loads
+
+
+def test_lpt_in_rounds_equals_plain_lpt():
+    rng = random.Random(8)
+    for _ in range(200):
+        counts = Counter({rng.randint(1, 40): rng.choice([1, 2, 7, 60, 500]) for _ in range(rng.randint(0, 9))} | ({rng.randint(500, 4000): 1} if rng.random() < 0.5 else {}))
+        loads = [0] * (shards := rng.randint(1, 9))
+        for size, given in sharding.schedule(sorted(counts.items(), reverse=True), shards):
+            assert sum(given) == counts[size]
+            loads = [x + size * k for x, k in zip(loads, given, strict=True)]
+        assert loads == plain_lpt(counts.elements(), shards)
+
+
+def test_lpt_balances_and_keeps_groups(spark, docs, none):
+    docs = docs.union(docs.filter("doc_id = 6")).union(docs.filter("doc_id = 9").selectExpr("cast(null as long)", *docs.columns[1:]))  # a row given twice, a null id
+    given = docs.collect()
+    rows = sharding.assign_shards(docs.withColumns({c: sharding.F.lit(7) for c in ("size", "shard", "bytes", "_group", "law")})).collect()
+    text_at = {r.doc_id: r.text or "" for r in given}
     shard_of, slots = {}, defaultdict(list)
     for r in rows:
-        assert shard_of.setdefault(texts[r.doc_id], r.shard) == r.shard and 0 <= r.shard < 8 and r.grown_shard is None and r.law == "bytes"
-        assert r.size == len(texts[r.doc_id].encode()) + 1 and r.text_crc32 == zlib.crc32(texts[r.doc_id].encode())
+        text = text_at[r.doc_id]
+        assert shard_of.setdefault(text, r.shard) == r.shard and 0 <= r.shard < 8 and r.grown_shard is None and r.law == "bytes"
+        assert r.size == len(text.encode()) + 1 and r.text_crc32 == zlib.crc32(text.encode())
         slots[r.shard].append(r.slot)
-    assert len(rows) == len(texts) and all(sorted(x) == list(range(len(x))) for x in slots.values())
+    assert len(rows) == len(given) and all(sorted(x) == list(range(len(x))) for x in slots.values())
     assert sharding.assign_shards(none).count() == 0
 
 
-def test_lpt_is_near_equal_on_many_groups(spark):
+def test_lpt_of_a_table_equals_plain_lpt(spark):
     rng = random.Random(3)
-    df = spark.createDataFrame([(i, "x" * int(rng.paretovariate(1.5) * 20) + str(i)) for i in range(3000)], "doc_id long, text string")
-    loads = Counter()
-    for r in sharding.assign_shards(df, bundles=256).collect():
+    texts = ["x" * int(rng.paretovariate(1.5) * 20) + str(i % 2000) for i in range(3000)] + ["same"] * 500
+    rows = sharding.assign_shards(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")).collect()
+    groups, loads = Counter(), Counter({s: 0 for s in range(8)})
+    for t in texts:
+        groups[t] += len(t) + 1
+    for r in rows:
         loads[r.shard] += r.size
-    assert max(loads.values()) - min(loads.values()) <= sum(loads.values()) / 256 * 2
+    assert sorted(loads.values()) == sorted(plain_lpt(groups.values(), 8))
+    numbers = [r.slot for r in rows if r.shard == rows[0].shard]
+    assert sorted(numbers) == list(range(len(numbers)))
 
 
 @pytest.mark.parametrize("weights", [{"a": 5, "b": 3, "c": 2}, {"a": 1, "b": 1, "c": 1, "d": 1}, {"a": 0.001, "b": 0.9}])
@@ -176,6 +201,32 @@ def test_quality_verdict_uses_the_distance(spark):
     assert all(got[i].kept for i in range(20)) and not got[100].base_failed and not got[100].kept
 
 
+def prose(rng, n):
+    """Words of which a third are common English ones, most of them the commonest, as in any text."""
+    common = quality.COMMON["en"]
+    return " ".join(rng.choices(common, [1 / (k + 1) for k in range(20)])[0] if rng.random() < 0.35 else "".join(rng.choices("abdegilmnorstu", k=rng.randint(3, 9))) for _ in range(n))
+
+
+def test_quality_rejects_by_words_and_abstains_on_short_texts(spark):
+    rng = random.Random(17)
+    word = lambda: "".join(rng.choices("abdegilmnorstu", k=rng.randint(2, 9)))
+    rows = [(i, prose(rng, 300) + ".", "en") for i in range(200)]
+    rows += [(1000 + n, " ".join(word() for _ in range(n)), "en") for n in (60, 79, 80, 150, 1500)]  # no common word at all
+    rows += [(3000, prose(rng, 20) + " of with this " * 40, "en"), (3001, " ".join(x.upper() + "," for x in prose(rng, 300).split()), None), (None, prose(rng, 300), "en"), (5, rows[5][1], "en")]
+    got = defaultdict(list)
+    for r in quality.judge(spark.createDataFrame(rows, "doc_id long, text string, lang string"), most_chars=1.0).collect():
+        got[r.doc_id].append(r)
+    assert all(r.kept and r.word_distance < 0.25 for i in range(200) for r in got[i]) and len(got[5]) == 2 and got[None][0].kept
+    assert all(got[1000 + n][0].kept and got[1000 + n][0].word_distance is None for n in (60, 79))
+    assert all(not got[1000 + n][0].base_failed and not got[1000 + n][0].kept for n in (80, 150, 1500))
+    assert got[3001][0].word_distance < 0.25, "points and capitals do not hide a word"
+    # the character test alone: symbols in place of letters, with a guard of its own
+    rows = rows[:200] + [(4000, " ".join("#%7&*31" for _ in range(30)), "en"), (4001, " ".join("#%7&*31" + "x" * (k % 3) for k in range(28)), "en")]
+    one = by_id(quality.judge(spark.createDataFrame(rows, "doc_id long, text string, lang string"), most_words=1.0, least_chars=205))
+    assert one[4000].char_distance > 0.3 and not one[4000].kept and one[4001].word_distance is None
+    assert by_id(quality.judge(spark.createDataFrame(rows, "doc_id long, text string, lang string").drop("lang")))[3].kept, "without references only the base rules count"
+
+
 def brute_secrets(text):
     out = []
     for m in re.finditer(r"""((?:[pP][aA][sS][sS][wW][oO][rR][dD])|(?:[pP][aA][sS][sS][wW][dD])|(?:[sS][eE][cC][rR][eE][tT])|(?:[tT][oO][kK][eE][nN])|(?:[aA][pP][iI]_?[kK][eE][yY]))["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", text):
@@ -229,20 +280,31 @@ def test_secrets_score_letters_short_keys_and_keys_around_base_spans():
 
 def test_warc_round_trip(spark, tmp_path):
     same = "<p>" + "y" * 200
-    rows = [(1, "http://a/", same), (2, "http://b/\r\nX: y", same), (3, None, None), (4, "u", ""), (5, "u", "short"), (6, "u", "short"), (7, "u", "é\r\n\r\nWARC/1.1\r\n" * 30), (None, "u", same), (9, "u", same)]
-    pages = spark.createDataFrame(rows, "page_id long, url string, html string").repartition(3)
-    got = sorted(map(tuple, warc.archive_pages(pages, archive_bytes=400).collect()), key=str)
+    rows = [(1, "http://a/", same), (2, "http://b/\r\nX: y", same), (3, None, None), (4, "u", ""), (5, "u", "short"), (6, "u", "short"), (7, "u", "é\r\n\r\nWARC/1.1\r\n" * 30), (None, "u", same), (9, "u", same), (10, "u", "<b>long" * 50_000)]
+    pages = spark.createDataFrame([(*r, "x", 1) for r in rows], "page_id long, url string, html string, payload string, archive long").repartition(3)
+    got = sorted(map(tuple, warc.archive_pages(pages, archive_bytes=400, folder=f"file://{tmp_path}/own").collect()), key=str)
     size = lambda h: len((h or "").encode())
     want = [(i, size(h), hashlib.sha256((h or "").encode()).hexdigest(), "revisit" if h == same and i != 1 else "response", 1 if h == same and i != 1 else None) for i, _, h in rows]
     assert got == sorted(want, key=str)
     assert warc.archive_pages(pages.filter("false")).count() == 0
+    # real files: every archive is plain gzip whose sidecar tells where each record starts; the monolithic ones are gone
+    assert not (tmp_path / "own" / "whole").exists()
+    archives = sorted((tmp_path / "own" / "members").glob("*.warc.gz"))
+    assert len(archives) > 2 and sum(len(warc.index_of(str(a))) for a in archives) == len(rows)
+    assert sum(gzip.decompress(a.read_bytes()).count(b"WARC-Type: ") for a in archives) == len(rows)
     data = b"".join(warc.record(i or 0, u, (h or "").encode(), hashlib.sha256((h or "").encode()).hexdigest(), None) for i, u, h in rows)
     (tmp_path / "whole.gz").write_bytes(gzip.compress(data))
     assert warc.normalise_file(str(tmp_path / "whole.gz"), str(tmp_path / "out.gz")) == len(rows)
-    packed, members = (tmp_path / "out.gz").read_bytes(), warc.normalise(gzip.compress(data))
-    assert gzip.decompress(packed) == data and packed == members[0]
-    for line, (i, _, h) in zip((tmp_path / "out.gz.idx").read_text().splitlines(), rows, strict=True):
-        _, at, n = line.split("\t")
-        assert warc.read_record(packed[int(at) : int(at) + int(n)])[:2] == (i or 0, size(h))
+    packed, index = (tmp_path / "out.gz").read_bytes(), warc.index_of(str(tmp_path / "out.gz"))
+    assert gzip.decompress(packed) == data and [n for n, _, _ in index] == [f"<urn:page:{i or 0}>" for i, _, _ in rows]
+    for one, (i, _, h) in zip(warc.records_at(str(tmp_path / "out.gz"), index), rows, strict=True):
+        assert warc.read_record(one)[:2] == (i or 0, size(h))
+    (tmp_path / "cut.gz").write_bytes(gzip.compress(data[:-500]))
     with pytest.raises(ValueError):
-        warc.normalise(gzip.compress(data[:-500]))
+        warc.normalise_file(str(tmp_path / "cut.gz"), str(tmp_path / "bad.gz"))
+
+
+def test_warc_repeated_page_ids(spark):
+    same = "z" * 300
+    pages = spark.createDataFrame([(1, "a", same), (1, "a", same), (2, "b", same)], "page_id long, url string, html string")
+    assert sorted((r.page_id, r.record_type, r.refers_to) for r in warc.archive_pages(pages).collect()) == [(1, "response", None), (1, "response", None), (2, "revisit", 1)]

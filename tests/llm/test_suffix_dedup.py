@@ -35,7 +35,7 @@ def passages(seed, n=60, alphabet="abcdefgh é\n"):
     return rows
 
 
-@pytest.mark.parametrize("seed,least,k,chunk", [(1, 100, 32, 1 << 20), (2, 40, 8, 700), (3, 100, 32, 100), (4, 25, 20, 1 << 20)])
+@pytest.mark.parametrize("seed,least,k,chunk", [(1, 100, 32, 1 << 20), (2, 40, 8, 700), (3, 100, 32, 100), (4, 25, 20, 1 << 20), (5, 400, 16, 1 << 20)])
 def test_removal_equals_brute_force(spark, monkeypatch, seed, least, k, chunk):
     monkeypatch.setattr(S, "CHUNK", chunk)
     texts = passages(seed)
@@ -72,3 +72,36 @@ def test_maximal_repeats_equal_brute_force():
             if len(places) > 1 and len(left) > 1 and len(right) > 1:
                 want[s] = sorted(places)
         assert {s: sorted(p) for s, p in S.maximal_repeats(texts, least)} == want
+
+
+def test_anchors_do_not_depend_on_what_stands_beside_a_text():
+    rng = random.Random(12)
+    text = "".join(rng.choice("ab") for _ in range(3000)).encode()
+    other = "".join(rng.choice("abc") for _ in range(1 << 17)).encode()
+    alone = S.units_of(np.frombuffer(text, np.uint8), np.array([0, 3000]), 100, 8)
+    beside = S.units_of(np.frombuffer(other + text, np.uint8), np.array([0, 1 << 17, (1 << 17) + 3000]), 100, 8)
+    own = beside[0] == 1
+    for a, b in zip(alone[1:], beside[1:], strict=True):
+        assert (a == b[own]).all()
+
+
+def test_later_occurrences_are_those_of_maximal_repeats():
+    rng = random.Random(13)
+    for _ in range(60):
+        texts = ["".join(rng.choice("ab") for _ in range(rng.randint(0, 60))).encode() for _ in range(rng.randint(1, 5))]
+        least = rng.choice([2, 3, 5, 8])
+        place = np.arange(len(texts)) * 1000
+        want, got = set(), set()
+        for s, found in S.maximal_repeats(texts, least):
+            first = min(found)
+            want |= {(t, i + j) for t, i in found if (t, i) != first for j in range(len(s))}
+        for t, i, n in zip(*S.later_occurrences(texts, place, least), strict=True):
+            got |= {(t, i + j) for j in range(n)}
+        assert got == want
+
+
+def test_lengths_that_do_not_fit_are_refused(docs):
+    with pytest.raises(ValueError):
+        S.repeated_spans(docs, least=1 << 16)
+    with pytest.raises(ValueError):
+        S.repeated_spans(docs, least=20, k=32)
