@@ -26,7 +26,9 @@ def op3_weak_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op4_markov_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return secrets.find_secrets(table(spark, sf_dir, "documents"))
+    import public_tokenizers
+
+    return secrets.find_secrets(table(spark, sf_dir, "documents"), words=secrets.words_of(public_tokenizers.path("byte_bpe_50k.tiktoken")))
 
 
 def op5_repeat_removal(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -69,13 +69,13 @@ def scheduled(sizes: DataFrame, shards: int) -> DataFrame:
 def numbered(df: DataFrame, group: str, key: str, slot: str = "slot", *, few: bool = True) -> DataFrame:
     """Adds ``slot``, 0, 1, ... without gaps in each ``group`` in the order of a hash of ``key``, without bringing a group into one task.
 
-    The hash's range is cut into pieces, in proportion to the group's rows: some 16 pieces for each shuffle partition over all groups, so a group with a
+    The hash's range is cut into pieces, in proportion to the group's rows: some three pieces for each shuffle partition over all groups, so a group with a
     third of all rows is dealt to many tasks. A piece starts where the pieces before it end. The numbers do not depend on how many pieces there are.
     With ``few`` a row for each group is broadcast; where groups number with the data, the join is left to the engine, which splits hot keys.
     """
     sizes = df.groupBy(group).agg(F.count("*").alias("_nr_size"))
     total = sizes.agg(F.sum("_nr_size")).first()[0] or 0
-    each = max(1, total // (16 * int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))))
+    each = max(1, total // (3 * int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))))
     sizes = F.broadcast(sizes) if few else sizes
     high = F.shiftrightunsigned(F.xxhash64(key), 33)  # 31 bits
     cut = df.join(sizes, group).withColumn("_nr_piece", F.shiftright(high * F.ceil(F.col("_nr_size") / each), 31).cast("long")).drop("_nr_size")
