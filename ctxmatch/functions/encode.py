@@ -8,6 +8,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
@@ -37,8 +38,20 @@ def word_buckets(df: DataFrame, key: list[str], text: str, dim: int = 64) -> Dat
     return cells.join(norms, key).select(*key, "bucket", F.when(F.col("norm") > 0, F.col("raw") / F.col("norm")).otherwise(0.0).alias("value"))
 
 
+def word_vectors(df: DataFrame, key: list[str], text: str, dim: int = 64) -> DataFrame:
+    """key, x (array<double>): the same vectors whole, in one Arrow pass without a shuffle. A text without words is all zeros."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            x = [_unit(_signed(_counts(_TOKEN.findall((t or "").lower())), dim)) for t in batch.column(len(key)).to_pylist()]
+            yield pa.RecordBatch.from_arrays([*batch.columns[: len(key)], pa.array(x, pa.list_(pa.float64()))], [*key, "x"])
+
+    kinds = ", ".join(f"{c} {df.schema[c].dataType.simpleString()}" for c in key)
+    return df.select(*key, text).mapInArrow(run, f"{kinds}, x array<double>")
+
+
 class WordHash(Encoder):
-    """The same vectors as arrays, inside one projection."""
+    """The same vectors as a column of floats."""
 
     def __init__(self, dim: int = 64):
         self.dim = dim
@@ -64,13 +77,21 @@ def _counts(features: list[str], weight: float = 1.0) -> dict[str, float]:
     return {f: weight * n**0.5 for f, n in out.items()}
 
 
-def hashed(weights: dict[str, float], dim: int) -> np.ndarray:
+def _signed(weights: dict[str, float], dim: int) -> np.ndarray:
     out = np.zeros(dim)
     for feature, w in weights.items():
         digest = hashlib.md5(feature.encode()).hexdigest()
         out[int(digest[:8], 16) % dim] += w if digest[8] < "8" else -w
-    norm = np.sqrt((out * out).sum())
-    return (out / norm if norm else out).astype(np.float32)
+    return np.round(out, 9)
+
+
+def _unit(x: np.ndarray) -> np.ndarray:
+    norm = np.sqrt((x * x).sum())
+    return x / norm if norm else x
+
+
+def hashed(weights: dict[str, float], dim: int) -> np.ndarray:
+    return _unit(_signed(weights, dim)).astype(np.float32)
 
 
 class HashedNgram(Encoder):

@@ -51,6 +51,23 @@ def masked_mean(loss: np.ndarray, mask: np.ndarray) -> float:
     return float(((loss * mask).sum(1) / mask.sum(1)).mean())
 
 
+class Adam:
+    """Updates parameters in place; the decay is added to the gradient."""
+
+    def __init__(self, config: TrainConfig):
+        self.config, self.n, self.m, self.v = config, 0, None, None
+
+    def step(self, params: list[np.ndarray], slopes: list[np.ndarray]) -> None:
+        if self.m is None:
+            self.m, self.v = [np.zeros_like(a) for a in params], [np.zeros_like(a) for a in params]
+        self.n += 1
+        for m, v, param, g in zip(self.m, self.v, params, slopes, strict=True):
+            g = g + self.config.decay * param
+            m += 0.1 * (g - m)
+            v += 0.001 * (g * g - v)
+            param -= self.config.rate * (m / (1 - 0.9**self.n)) / (np.sqrt(v / (1 - 0.999**self.n)) + 1e-8)
+
+
 class Mlp:
     def __init__(self, dims: tuple[int, ...], seed: int = 0):
         rng = np.random.default_rng(seed)
@@ -90,21 +107,14 @@ class Mlp:
         return masked_mean(focal(p, y, config.alpha, config.gamma) if config.loss == "focal" else bce(p, y), mask)
 
     def fit(self, x, y, mask, config: TrainConfig, seed: int = 0, held: tuple | None = None) -> Mlp:
-        rng = np.random.default_rng(seed)
-        m = [np.zeros_like(a) for a in self.w + self.b]
-        v = [np.zeros_like(a) for a in self.w + self.b]
-        step, best, waited, saved = 0, np.inf, 0, None
+        rng, adam = np.random.default_rng(seed), Adam(config)
+        best, waited, saved = np.inf, 0, None
         for _ in range(config.epochs):
             order = rng.permutation(len(x))
             for i in range(0, len(x), config.batch):
                 at = order[i : i + config.batch]
                 dw, db = self.gradients(x[at], y[at], mask[at], config, rng)
-                step += 1
-                for k, (param, g) in enumerate(zip(self.w + self.b, dw + db, strict=True)):
-                    g = g + config.decay * param
-                    m[k] = 0.9 * m[k] + 0.1 * g
-                    v[k] = 0.999 * v[k] + 0.001 * g * g
-                    param -= config.rate * (m[k] / (1 - 0.9**step)) / (np.sqrt(v[k] / (1 - 0.999**step)) + 1e-8)
+                adam.step(self.w + self.b, dw + db)
             if held is not None:
                 now = self.loss(*held, config)
                 if now < best - 1e-5:

@@ -11,7 +11,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from .mlp import Mlp, TrainConfig
+from ..plans.cut import cut
+from .mlp import Adam, Mlp, TrainConfig
 
 KINDS = ("SINGLE", "PAIR", "HOLO")
 MODEL = "model_id string, fold int, run int, dims array<int>, outputs array<string>, weights binary, score double"
@@ -91,41 +92,57 @@ def load(spark, path: str) -> DataFrame:
     return spark.read.schema(MODEL).parquet(path)
 
 
-def gradient_step(rac: DataFrame, net: Mlp, outputs: list[str], config: TrainConfig) -> tuple[list[np.ndarray], list[np.ndarray]]:
-    """The full-batch gradient over a distributed table: partial sums of each partition, added in a tree. For catalogs too large for one task."""
-    shared = rac.sparkSession.sparkContext.broadcast(net)
-    total = rac.count()
+def gradient_step(rows: DataFrame, net: Mlp, outputs: list[str], config: TrainConfig) -> tuple[list[np.ndarray], list[np.ndarray]] | None:
+    """The gradient over a distributed table (schema_id, x, y), None if it is empty: sums of each partition, added again by fewer tasks before the driver adds the rest."""
+    shared = rows.sparkSession.sparkContext.broadcast(net)
 
     def partial(batches):
-        sums = None
+        total, n = 0.0, 0
         for pdf in batches:
-            if not len(pdf):
-                continue
-            pdf = pdf.assign(y=pdf["y"].map(lambda e: {p["key"]: p["value"] for p in e}))
-            x, y, mask = matrices(pdf, outputs)
-            dw, db = shared.value.gradients(x, y, mask, config)
-            flat = np.concatenate([a.ravel() for a in dw + db]) * len(pdf) / total
-            sums = flat if sums is None else sums + flat
-        if sums is not None:
-            yield pd.DataFrame({"g": [sums.tobytes()]})
-
-    pieces = rac.select("schema_id", F.col("x").cast("array<double>").alias("x"), F.map_entries("y").alias("y")).mapInPandas(partial, "g binary")
-    flat = pieces.rdd.map(lambda r: np.frombuffer(r.g)).treeReduce(lambda a, b: a + b)
-    out, at = [], 0
+            if len(pdf):
+                pdf = pdf.assign(y=pdf["y"].map(lambda e: {p["key"]: p["value"] for p in e}))
+                dw, db = shared.value.gradients(*matrices(pdf, outputs), config)
+                total, n = total + np.concatenate([a.ravel() for a in dw + db]) * len(pdf), n + len(pdf)
+        if n:
+            yield pd.DataFrame({"g": [total.tobytes()], "n": [n]})
+
+    def added(batches):
+        found = [(np.frombuffer(g), n) for pdf in batches for g, n in zip(pdf["g"], pdf["n"], strict=True)]
+        if found:
+            yield pd.DataFrame({"g": [sum(g for g, _ in found).tobytes()], "n": [sum(n for _, n in found)]})
+
+    pieces = rows.select("schema_id", F.col("x").cast("array<double>").alias("x"), F.map_entries("y").alias("y")).mapInPandas(partial, "g binary, n long")
+    fewer = max(1, int(int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions")) ** 0.5))
+    found = pieces.repartition(fewer).mapInPandas(added, "g binary, n long").collect()  # a gradient from each of few tasks
+    shared.unpersist()
+    if not found:
+        return None
+    flat, out, at = sum(np.frombuffer(r.g) for r in found) / sum(r.n for r in found), [], 0
     for a in net.w + net.b:
         out.append(flat[at : at + a.size].reshape(a.shape))
         at += a.size
     return out[: len(net.w)], out[len(net.w) :]
 
 
-def train_distributed(rac: DataFrame, outputs: list[str], config: TrainConfig, steps: int = 20, rate: float = 0.5, seed: int = 0) -> Mlp:
-    """Full-batch descent with distributed gradients: another optimiser than the batch-16 trainer, for the same loss."""
-    dim = len(rac.select("x").first()[0])
-    net = Mlp((dim, *config.hidden, len(outputs)), seed)
-    for _ in range(steps):
-        dw, db = gradient_step(rac, net, outputs, config)
-        for p, g in zip(net.w + net.b, dw + db, strict=True):
-            p -= rate * g
+def batch_of(epoch: int, batches: int):
+    """Which batch of an epoch a row is in, by a hash: the same rows meet others in every epoch."""
+    return F.pmod(F.xxhash64(F.lit(epoch), "schema_id", "view_id", "column_id"), F.lit(batches))
+
+
+def train_distributed(rac: DataFrame, outputs: list[str], config: TrainConfig, *, epochs: int = 1, seed: int = 0) -> Mlp:
+    """Mini-batch Adam over a table that no task could hold: the rows of a batch stay where they are, and their gradients are added.
+
+    A step is a job, so ``config.batch`` should be thousands of rows; dropout and early stopping are left to the trainer in one task. The driver holds the weights.
+    """
+    rows = cut(rac.select("schema_id", "view_id", "column_id", "x", "y"))
+    size = rows.agg(F.count("*"), F.max(F.size("x"))).first()
+    batches = max(1, -(-size[0] // config.batch))
+    net, adam = Mlp((size[1], *config.hidden, len(outputs)), seed), Adam(config)
+    for epoch in range(epochs):
+        for number in range(batches):
+            found = gradient_step(rows.filter(batch_of(epoch, batches) == number), net, outputs, config)
+            if found is not None:
+                adam.step(net.w + net.b, found[0] + found[1])
     return net
 
 

@@ -5,15 +5,18 @@ from __future__ import annotations
 from collections.abc import Iterator
 
 import numpy as np
-import pandas as pd
+import pyarrow as pa
+import pyarrow.compute  # noqa: F401
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from ..functions import vectors
 
-#: Queries held by a task at once; more are taken in further passes over the targets.
-QUERY_BLOCK = 20_000
+#: Bytes of query vectors that are sent to every task; beyond them, queries and targets meet in tiles.
+BROADCAST_BYTES = 64 << 20
+#: Queries and targets of a tile, and cells of a distance matrix held at once.
+TILE, CELLS = (4096, 16384), 1 << 22
 
 
 def ranked(pairs: DataFrame, by: list[str], order: list, k: int | None, name: str = "rank") -> DataFrame:
@@ -22,47 +25,98 @@ def ranked(pairs: DataFrame, by: list[str], order: list, k: int | None, name: st
     return out.filter(F.col(name) <= k) if k is not None else out
 
 
-def knn(src: DataFrame, tgt: DataFrame, k: int, *, metric: str = "l2", digits: int = 6) -> DataFrame:
-    """query, neighbour, dist, rank: the exact k nearest targets of every source row. ``src``: query, x; ``tgt``: neighbour, x.
+def knn(src: DataFrame, tgt: DataFrame, k: int | None, *, metric: str = "l2", digits: int = 6, across: str | None = None, broadcast_bytes: int = BROADCAST_BYTES) -> DataFrame:
+    """query, neighbour, dist, rank: the exact k nearest targets (all without k) of every source row, ties by neighbour. ``src``: query, x; ``tgt``: neighbour, x.
 
-    The query set is stated and goes to the tasks in blocks of ``QUERY_BLOCK`` vectors; every target batch is one matrix product and sends on k rows a query.
+    With ``across``, a column of both sides, neighbours have another value in it than the query and are ranked within each value; it is returned with the neighbour's value.
+    A query set of up to ``broadcast_bytes`` goes to the tasks, which multiply it with every batch of targets; a larger one is cut into blocks like the targets, and every
+    pair of blocks meets in a task of its own. Either way a batch or tile sends on k rows a query (and value), and the engine merges these.
     """
-    numbered = src.select("query", F.col("x").cast("array<double>").alias("x")).toPandas()
-    parts = [_one_block(numbered.iloc[i : i + QUERY_BLOCK], tgt, k, metric, digits, src.schema["query"].dataType.simpleString(), tgt.schema["neighbour"].dataType.simpleString()) for i in range(0, max(len(numbered), 1), QUERY_BLOCK)]
-    out = parts[0]
-    for p in parts[1:]:
-        out = out.union(p)
-    order = F.col("dist").asc() if metric == "l2" else F.col("dist").desc()
-    return ranked(out, ["query"], [order, F.col("neighbour")], k)
-
-
-def _one_block(block: pd.DataFrame, tgt: DataFrame, k: int, metric: str, digits: int, query_type: str, tgt_type: str) -> DataFrame:
-    ids = block["query"].to_numpy()
-    matrix = np.array(block["x"].tolist()).reshape(len(block), -1)
-    shared = tgt.sparkSession.sparkContext.broadcast((ids, matrix))
-
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        names, q = shared.value
-        for batch in batches:
-            if not len(batch) or not len(names):
-                continue
-            t = np.array(batch["x"].tolist())
-            product = q @ t.T
-            if metric == "l2":
-                score = np.sqrt(np.maximum((q * q).sum(1)[:, None] + (t * t).sum(1)[None] - 2 * product, 0))
-                exact = np.sqrt
-            else:
-                length = np.sqrt((q * q).sum(1))[:, None] * np.sqrt((t * t).sum(1))[None]
-                score = -np.divide(product, length, out=np.zeros_like(product), where=length > 0)
-                exact = None
-            keep = min(k + 8, len(batch))  # a margin, since ties are decided after rounding
-            best = np.argpartition(score, keep - 1, axis=1)[:, :keep] if keep < len(batch) else np.tile(np.arange(len(batch)), (len(q), 1))
-            rows = np.repeat(np.arange(len(q)), keep)
-            cols = best.ravel()
-            dist = np.sqrt(((q[rows] - t[cols]) ** 2).sum(1)) if exact else -score[rows, cols]
-            yield pd.DataFrame({"query": names[rows], "neighbour": batch["neighbour"].to_numpy()[cols], "dist": np.round(dist, digits)})
-
-    return tgt.select("neighbour", F.col("x").cast("array<double>").alias("x")).mapInPandas(run, f"query {query_type}, neighbour {tgt_type}, dist double")
+    group = [across] if across else []
+    src, tgt = (df.select(*group, name, F.col("x").cast("array<double>").alias("x")) for df, name in ((src, "query"), (tgt, "neighbour")))
+    kinds = [f"{c} {tgt.schema[c].dataType.simpleString()}" for c in group] + [f"query {src.schema['query'].dataType.simpleString()}", f"neighbour {tgt.schema['neighbour'].dataType.simpleString()}", "dist double"]
+    size = src.agg(F.count("*"), F.coalesce(F.max(F.size("x")), F.lit(0))).first()
+    if size[0] * size[1] * 8 <= broadcast_bytes:
+        shared = src.sparkSession.sparkContext.broadcast(src.toArrow())
+
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for batch in batches:
+                yield from _nearest(shared.value, pa.Table.from_batches([batch]), k, metric, digits, across).to_batches()
+
+        pairs = tgt.mapInArrow(run, ", ".join(kinds))
+    else:
+        blocks = [max(1, -(-n // each)) for n, each in zip((size[0], tgt.count()), TILE, strict=True)]
+        dealt = lambda df, name, own, n, other, m: df.withColumn(own, F.pmod(F.xxhash64(name), F.lit(n)).cast("int")).withColumn(other, F.explode(F.sequence(F.lit(0), F.lit(m - 1))))
+        left = dealt(src, "query", "_q", blocks[0], "_t", blocks[1]).groupBy("_q", "_t")
+        right = dealt(tgt, "neighbour", "_t", blocks[1], "_q", blocks[0]).groupBy("_q", "_t")
+
+        def tile(q: pa.Table, t: pa.Table) -> pa.Table:
+            return _nearest(q, t, k, metric, digits, across)
+
+        pairs = left.cogroup(right).applyInArrow(tile, ", ".join(kinds))
+    return ranked(pairs, [*group, "query"], [F.col("dist").asc() if metric == "l2" else F.col("dist").desc(), F.col("neighbour")], k)
+
+
+def _matrix(table: pa.Table) -> np.ndarray:
+    x = table.column("x").combine_chunks()
+    x = x.combine_chunks() if isinstance(x, pa.ChunkedArray) else x
+    return np.asarray(x.flatten(), float).reshape(len(x), -1)
+
+
+def _nearest(q: pa.Table, t: pa.Table, k: int | None, metric: str, digits: int, across: str | None) -> pa.Table:
+    """The k best of the targets for every query (and value of ``across``): [across,] query, neighbour, dist."""
+    names = [*([across] if across else []), "query", "neighbour", "dist"]
+    parts = []
+    if len(q) and len(t):
+        t = t.sort_by("neighbour")  # a lower column of the matrix wins a tie
+        values = t.column(across).unique() if across else [None]
+        for value in values:
+            own_q, own_t = q, t
+            if across:
+                own_t = t.filter(pa.compute.equal(t.column(across), value))
+                own_q = q.filter(pa.compute.not_equal(q.column(across), value))
+            a, b = _matrix(own_q), _matrix(own_t)
+            step = max(1, CELLS // max(len(own_t), 1))
+            for i in range(0, len(own_q), step):
+                rows, cols, dist = _best(a[i : i + step], b, k, metric, digits)
+                cells = [own_q.column("query").take(pa.array(rows + i)), own_t.column("neighbour").take(pa.array(cols)), pa.array(dist)]
+                parts.append(pa.table([*([pa.array([value.as_py()] * len(rows), t.schema.field(across).type)] if across else []), *cells], names=names))
+    if parts:
+        return pa.concat_tables(parts)
+    types = [*([t.schema.field(across).type] if across else []), q.schema.field("query").type, t.schema.field("neighbour").type, pa.float64()]
+    return pa.table([pa.array([], x) for x in types], names=names)
+
+
+def _best(q: np.ndarray, t: np.ndarray, k: int | None, metric: str, digits: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(row of q, row of t, rounded distance) of the k best. A matrix product finds who can be among them, however many tie; they are then computed one by one."""
+    size_q, size_t = (q * q).sum(1), (t * t).sum(1)
+    product = q @ t.T
+    if metric == "l2":
+        score = np.maximum(size_q[:, None] + size_t[None] - 2 * product, 0)
+    else:
+        length = np.sqrt(size_q)[:, None] * np.sqrt(size_t)[None]
+        score = -np.divide(product, length, out=np.zeros_like(product), where=length > 0)
+    if k is not None and k < len(t):
+        last, slack = np.partition(score, k - 1, axis=1)[:, k - 1], 10.0**-digits
+        noise = 1e-12 * (1 + size_q + size_t.max())
+        last = (np.sqrt(last + noise) + slack) ** 2 + noise if metric == "l2" else last + slack + 1e-12
+        rows, cols = np.nonzero(score <= last[:, None])
+    else:
+        rows, cols = np.repeat(np.arange(len(q)), len(t)), np.tile(np.arange(len(t)), len(q))
+    dist = np.empty(len(rows))
+    for i in range(0, len(rows), 1 << 16):
+        x, y = q[rows[i : i + (1 << 16)]], t[cols[i : i + (1 << 16)]]
+        if metric == "l2":
+            dist[i : i + len(x)] = np.sqrt(((x - y) ** 2).sum(1))
+        else:
+            length = np.sqrt((x * x).sum(1)) * np.sqrt((y * y).sum(1))
+            dist[i : i + len(x)] = np.divide((x * y).sum(1), length, out=np.zeros(len(x)), where=length > 0)
+    dist = np.round(dist, digits) + 0.0
+    order = np.lexsort((cols, dist if metric == "l2" else -dist, rows))
+    rows, cols, dist = rows[order], cols[order], dist[order]
+    place = np.arange(len(rows)) - np.searchsorted(rows, rows)
+    keep = place < (k if k is not None else len(t))
+    return rows[keep], cols[keep], dist[keep]
 
 
 def knn_within(src: DataFrame, tgt: DataFrame, allowed: DataFrame, k: int, *, metric: str = "l2", digits: int = 6) -> DataFrame:
@@ -73,18 +127,32 @@ def knn_within(src: DataFrame, tgt: DataFrame, allowed: DataFrame, k: int, *, me
     return ranked(rows, ["query"], [F.col("dist").asc() if metric == "l2" else F.col("dist").desc(), F.col("neighbour")], k)
 
 
-def lsh(src: DataFrame, tgt: DataFrame, k: int, *, planes: int = 8, tables: int = 16, seed: int = 5, digits: int = 6) -> DataFrame:
-    """Approximate: rows that share the sign pattern of ``planes`` random hyperplanes in any of ``tables`` tables are candidates, ranked exactly."""
+def lsh(src: DataFrame, tgt: DataFrame, k: int, *, planes: int = 8, tables: int = 32, probes: int = 8, seed: int = 5, digits: int = 6) -> DataFrame:
+    """Approximate: rows that share the sign pattern of ``planes`` random hyperplanes in any of ``tables`` tables are candidates, ranked exactly.
+
+    A query also looks into the buckets across each of the ``probes`` planes nearest to it, and across the two nearest at once.
+    """
     dim = src.select(F.size("x")).first()[0]
     normals = np.random.default_rng(seed).standard_normal((tables, planes, dim))
-    keys = F.array(*[F.concat_ws("", F.lit(f"{t}:"), *[F.when(vectors.dot(F.col("x"), F.array(*map(F.lit, normals[t, p].tolist()))) > 0, "1").otherwise("0") for p in range(planes)]) for t in range(tables)])
-    s = src.select("query", F.col("x").alias("x_src"), F.explode(keys).alias("bucket"))
-    t = tgt.select("neighbour", F.col("x").alias("x_tgt"), F.explode(keys).alias("bucket"))
-    pairs = s.join(t, "bucket").dropDuplicates(["query", "neighbour"])
-    return ranked(pairs.select("query", "neighbour", F.round(vectors.l2(F.col("x_src"), F.col("x_tgt")), digits).alias("dist")), ["query"], [F.col("dist"), F.col("neighbour")], k)
 
-
-def sparse_cosine(src: DataFrame, tgt: DataFrame, keys: list[str] | None = None, digits: int = 6) -> DataFrame:
-    """query, candidate, score of sparse unit vectors (id, bucket, value): pairs without a common bucket are absent. ``keys``: columns both sides must share."""
-    on = ["bucket", *(keys or [])]
-    return src.join(tgt, on).groupBy("query", "candidate", *(keys or [])).agg(F.round(F.sum(F.col("value_src") * F.col("value_tgt")), digits).alias("score"))
+    def hashed(batches: Iterator[pa.RecordBatch], near: int) -> Iterator[pa.RecordBatch]:
+        powers = 1 << np.arange(planes)
+        for batch in batches:
+            side = np.einsum("tpd,nd->ntp", normals, _matrix(pa.Table.from_batches([batch])))
+            own = ((side > 0) * powers).sum(2)
+            keys = [own]
+            if near:
+                flip = powers[np.argsort(abs(side), axis=2, kind="stable")[:, :, : max(near, 2)]]
+                keys += [own ^ flip[:, :, j] for j in range(near)] + [own ^ flip[:, :, 0] ^ flip[:, :, 1]]
+            keys = np.stack([key + np.arange(tables) * (1 << planes) for key in keys], 2).reshape(len(own), -1)
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(list(keys), pa.list_(pa.int64()))], [*batch.schema.names, "keys"])
+
+    def bucketed(df: DataFrame, name: str, near: int) -> DataFrame:
+        df = df.select(name, F.col("x").cast("array<double>").alias("x"))
+        return df.mapInArrow(lambda batches: hashed(batches, near), f"{name} {df.schema[name].dataType.simpleString()}, x array<double>, keys array<long>")
+
+    s, t = bucketed(src, "query", probes), bucketed(tgt, "neighbour", 0)
+    # ids meet by bucket, each pair goes on once, and only then are vectors joined
+    pairs = s.select("query", F.explode("keys").alias("bucket")).join(t.select("neighbour", F.explode("keys").alias("bucket")), "bucket").select("query", "neighbour").distinct()
+    pairs = pairs.join(s.select("query", F.col("x").alias("x_src")), "query").join(t.select("neighbour", F.col("x").alias("x_tgt")), "neighbour")
+    return ranked(pairs.select("query", "neighbour", F.round(vectors.l2(F.col("x_src"), F.col("x_tgt")), digits).alias("dist")), ["query"], [F.col("dist"), F.col("neighbour")], k)

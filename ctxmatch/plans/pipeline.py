@@ -10,7 +10,7 @@ from ..functions.vectors import cosine
 from ..models import predict, train
 from ..models.mlp import TrainConfig
 from ..operators import metrics
-from ..operators.block import ranked
+from ..operators.block import knn, ranked
 from ..sources.catalog import Catalog
 from . import augment
 from .cut import cut
@@ -38,22 +38,29 @@ def predict_tables(cat: Catalog, models: DataFrame, kind: str, *, encoder: Encod
     return predict.top_tables(predict.scores(cols, models, kind, pairs))
 
 
-def column_cosines(cat: Catalog, *, kind: str = "VALS", encoder: Encoder | None = None, allowed: DataFrame | None = None) -> DataFrame:
-    """source_schema, column_id, target_schema, target_column, cosine; with ``allowed`` (column_id, target_schema, table_id, ...) only within those tables, whose other columns stay."""
+def column_cosines(cat: Catalog, allowed: DataFrame, *, kind: str = "VALS", encoder: Encoder | None = None) -> DataFrame:
+    """source_schema, column_id, target_schema, target_column, cosine within the tables of ``allowed`` (column_id, target_schema, table_id, ...), whose other columns stay."""
     rows = augment.build(cat, d_max=1, kind=kind, encoder=encoder or HashedNgram(256)).select("schema_id", "origin_table", "column_id", "x")
     src = rows.select(F.col("schema_id").alias("source_schema"), "column_id", F.col("x").alias("a"))
     tgt = rows.select(F.col("schema_id").alias("target_schema"), F.col("origin_table").alias("table_id"), F.col("column_id").alias("target_column"), F.col("x").alias("b"))
-    pairs = src.join(allowed.drop("source_schema"), "column_id").join(tgt, ["target_schema", "table_id"]) if allowed is not None else src.join(tgt, src["source_schema"] != tgt["target_schema"])
-    return pairs.withColumn("cosine", F.round(cosine(F.col("a"), F.col("b")), 6)).drop("a", "b", "x")
+    pairs = src.join(allowed.drop("source_schema"), "column_id").join(tgt, ["target_schema", "table_id"])
+    return pairs.withColumn("cosine", F.round(cosine(F.col("a"), F.col("b")), 6) + 0.0).drop("a", "b", "x")
+
+
+def full_search(cat: Catalog, k: int | None, *, kind: str = "VALS", encoder: Encoder | None = None) -> DataFrame:
+    """source_schema, column_id, target_schema, target_column, cosine, rank: the k best columns of every other schema, by blocks of vectors."""
+    rows = augment.build(cat, d_max=1, kind=kind, encoder=encoder or HashedNgram(256)).select("schema_id", "column_id", "x")
+    found = knn(rows.withColumnRenamed("column_id", "query"), rows.withColumnRenamed("column_id", "neighbour"), k, metric="cosine", across="schema_id")
+    return found.select(F.split("query", "[.]")[0].alias("source_schema"), F.col("query").alias("column_id"), F.col("schema_id").alias("target_schema"), F.col("neighbour").alias("target_column"), F.col("dist").alias("cosine"), "rank")
 
 
 def run(cat: Catalog, *, t: int | None = 4, k: int = 10, kind: str = "HOLO", depth: int = 2, table_ser: str = "REF", column_ser: str = "VALS", **options) -> DataFrame:
     """source_schema, column_id, target_schema, target_column, cosine, rank: the k best columns within the t predicted tables (all tables if t is None)."""
-    allowed = None
-    if t is not None:
-        tables = predict_tables(cat, learn(cat, kind, depth, table_ser=table_ser, **options), kind, table_ser=table_ser)
-        allowed = tables.filter((F.col("rank") <= t) & (F.col("run") == 0)).select("column_id", "target_schema", "table_id")
-    found = column_cosines(cat, kind=column_ser, allowed=allowed)
+    if t is None:
+        return full_search(cat, k, kind=column_ser)
+    tables = predict_tables(cat, learn(cat, kind, depth, table_ser=table_ser, **options), kind, table_ser=table_ser)
+    allowed = tables.filter((F.col("rank") <= t) & (F.col("run") == 0)).select("column_id", "target_schema", "table_id")
+    found = column_cosines(cat, allowed, kind=column_ser)
     return ranked(found.select("source_schema", "column_id", "target_schema", "target_column", "cosine"), ["column_id", "target_schema"], [F.col("cosine").desc(), F.col("target_column")], k)
 
 
@@ -73,7 +80,7 @@ def table_prediction(cat: Catalog, truth: DataFrame, methods: list[tuple[str, in
 def ablation(cat: Catalog, truth: DataFrame, *, ts: list[int], ks: list[int], kind: str = "HOLO", depth: int = 2, **options) -> DataFrame:
     """source_schema, target_schema, t, k, recall, map of the constrained pipeline; t of all tables is the full search."""
     tables = predict_tables(cat, learn(cat, kind, depth, **options), kind).filter("run = 0").select("column_id", "target_schema", "table_id", F.col("rank").alias("near"))
-    found = cut(column_cosines(cat, allowed=tables).withColumn("t", F.explode(F.array(*map(F.lit, ts)))).filter("near <= t"))
+    found = cut(column_cosines(cat, tables).withColumn("t", F.explode(F.array(*map(F.lit, ts)))).filter("near <= t"))
     found = ranked(found, ["t", "column_id", "target_schema"], [F.col("cosine").desc(), F.col("target_column")], max(ks))
     every = truth.drop("kind").withColumn("t", F.explode(F.array(*map(F.lit, ts))))
     how = {"query": "column_id", "item": "target_column", "by": ["source_schema", "target_schema", "t"]}

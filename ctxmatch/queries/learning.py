@@ -3,13 +3,12 @@
 from __future__ import annotations
 
 import numpy as np
-import pandas as pd
 from pyspark.sql import functions as F
 
 from ..functions.encode import HashedNgram
 from ..models import predict, train
-from ..models.mlp import sigmoid
-from ..operators import block, metrics
+from ..models.mlp import Mlp
+from ..operators import metrics
 from ..plans import augment, pipeline
 from ..plans.cut import cut
 from ..sources.scenarios import LARGE
@@ -20,57 +19,64 @@ TS = list(range(1, 16))
 WIDTHS = (64, 8, 4, 10)
 
 
-def fixed_weight(layer: int, i, j):
-    """The closed-form weights of the tiny network."""
-    return ((31 * i + 17 * j + 7 * layer) % 13 - 6) / 10
+def fixed_weight(layer: int, i, j, fold: int = 0):
+    """The closed-form weights of the tiny network: eighths, which models store exactly."""
+    return ((31 * i + 17 * j + 7 * layer + 5 * fold) % 13 - 6) / 8
 
 
-_LAYERS = []
-for _l, (_a, _b) in enumerate(zip(WIDTHS, WIDTHS[1:], strict=False)):
-    _prev = "SELECT vec_id, generate_subscripts(embedding, 1) - 1 AS i, unnest(embedding)::DOUBLE AS v FROM embeddings" if _l == 0 else f"SELECT vec_id, j AS i, greatest(z, 0) AS v FROM z{_l - 1}"
-    _LAYERS.append(f"a{_l} AS ({_prev}), z{_l} AS (SELECT vec_id, j.j, sum(v * (((31 * i + 17 * j.j + 7 * {_l}) % 13 - 6) / 10.0::DOUBLE)) AS z FROM a{_l}, range(0, {_b}) AS j(j) GROUP BY vec_id, j.j)")
-_FORWARD = ", ".join(_LAYERS) + ", out AS (SELECT vec_id, j::INT AS table_id, round(1 / (1 + exp(-z)), 6) AS p FROM z2)"
+def _forward_sql(folds: int = 1) -> str:
+    """CTEs up to out(vec_id, target_schema, table_id, p): outputs 0 to 5 are tables of the schema ``low``, the others of ``high``."""
+    parts = [f"folds AS (SELECT f.f FROM range(0, {folds}) AS f(f))"]
+    for layer, width in enumerate(WIDTHS[1:]):
+        before = "SELECT f, vec_id, generate_subscripts(embedding, 1) - 1 AS i, unnest(embedding)::DOUBLE AS v FROM embeddings, folds" if layer == 0 else f"SELECT f, vec_id, j AS i, greatest(z, 0) AS v FROM z{layer - 1}"
+        parts.append(f"a{layer} AS ({before}), z{layer} AS (SELECT f, vec_id, j.j, sum(v * (((31 * i + 17 * j.j + 7 * {layer} + 5 * f) % 13 - 6) / 8.0::DOUBLE)) AS z FROM a{layer}, range(0, {width}) AS j(j) GROUP BY f, vec_id, j.j)")
+    return ", ".join(parts) + ", out AS (SELECT vec_id, CASE WHEN j < 6 THEN 'low' ELSE 'high' END AS target_schema, 't' || j AS table_id, round(avg(1 / (1 + exp(-z))), 6) AS p FROM z2 GROUP BY vec_id, j)"
 
 
-def _forward(spark, sf_dir):
-    def run(batches):
-        for pdf in batches:
-            h = np.array(pdf["x"].tolist()).reshape(len(pdf), -1)
-            for layer, (a, b) in enumerate(zip(WIDTHS, WIDTHS[1:], strict=False)):
-                z = h @ fixed_weight(layer, np.arange(a)[:, None], np.arange(b)[None])
-                h = np.maximum(z, 0)
-            p = sigmoid(z)
-            yield pd.DataFrame({"vec_id": np.repeat(pdf["vec_id"].to_numpy(), WIDTHS[-1]), "table_id": np.tile(np.arange(WIDTHS[-1]), len(pdf)), "p": np.round(p.ravel(), 6)})
+def _forward(spark, sf_dir, folds: int = 1, targets: tuple[str, ...] = ("low", "high")):
+    """The tiny network through the predictor: embeddings are the columns of a schema ``vec``."""
+    outputs = [f"{'low' if j < 6 else 'high'}.t{j}" for j in range(WIDTHS[-1])]
+    rows = []
+    for fold in range(folds):
+        net = Mlp(WIDTHS)
+        net.w = [fixed_weight(layer, np.arange(a)[:, None], np.arange(b)[None], fold) for layer, (a, b) in enumerate(zip(WIDTHS, WIDTHS[1:], strict=False))]
+        net.b = [np.zeros(b) for b in WIDTHS[1:]]
+        rows.append(("HOLO", fold, 0, list(WIDTHS), outputs, net.to_bytes(), 0.0))
+    models = spark.createDataFrame(rows, train.MODEL)
+    columns = spark.read.parquet(f"{sf_dir}/embeddings.parquet").select(F.lit("vec").alias("schema_id"), F.col("vec_id").cast("string").alias("column_id"), F.col("embedding").alias("x"))
+    found = predict.scores(columns, models, "HOLO", spark.createDataFrame([("vec", t) for t in targets], "source_schema string, target_schema string"))
+    return found.withColumn("p", F.round("p", 6))
 
-    return spark.read.parquet(f"{sf_dir}/embeddings.parquet").select("vec_id", F.col("embedding").cast("array<double>").alias("x")).mapInPandas(run, "vec_id long, table_id int, p double")
 
+def _named(found):
+    return found.withColumn("vec_id", F.col("column_id").cast("long")).drop("run", "source_schema", "column_id")
 
-@query(f"WITH {_FORWARD} SELECT vec_id, table_id, p FROM out")
+
+@query(f"WITH {_forward_sql()} SELECT vec_id, target_schema, table_id, p FROM out")
 def mlp_forward(spark, sf_dir):
-    return _forward(spark, sf_dir)
+    return _named(_forward(spark, sf_dir))
 
 
-@query(f"WITH {_FORWARD} SELECT * FROM (SELECT vec_id, table_id, p, row_number() OVER (PARTITION BY vec_id ORDER BY p DESC, table_id)::INT AS rank FROM out) WHERE rank <= 4")
+@query(f"WITH {_forward_sql()} SELECT * FROM (SELECT vec_id, target_schema, table_id, p, row_number() OVER (PARTITION BY vec_id, target_schema ORDER BY p DESC, table_id)::INT AS rank FROM out) WHERE rank <= 4")
 def mlp_topt(spark, sf_dir):
-    return block.ranked(_forward(spark, sf_dir), ["vec_id"], [F.col("p").desc(), F.col("table_id")], 4)
+    return _named(predict.top_tables(_forward(spark, sf_dir), 4))
 
 
-@query(f"WITH {_FORWARD} SELECT vec_id, table_id, p FROM out WHERE table_id >= 6")
+@query(f"WITH {_forward_sql()} SELECT vec_id, target_schema, table_id, p FROM out WHERE target_schema = 'high'")
 def slice_target(spark, sf_dir):
     """Outputs of one schema only."""
-    return _forward(spark, sf_dir).filter("table_id >= 6")
+    return _named(_forward(spark, sf_dir, targets=("high",)))
 
 
-@query(f"WITH {_FORWARD} SELECT vec_id, table_id, p FROM out WHERE p >= 0.5")
+@query(f"WITH {_forward_sql()} SELECT vec_id, target_schema, table_id, p FROM out WHERE p >= 0.5")
 def threshold_tables(spark, sf_dir):
-    return predict.above(_forward(spark, sf_dir), 0.5)
+    return _named(predict.above(_forward(spark, sf_dir), 0.5))
 
 
-@query(f"WITH {_FORWARD}, f AS (SELECT vec_id, table_id, p, unnest([0.9, 1.0, 1.1])::DOUBLE AS s FROM out) SELECT vec_id, table_id, round(avg(least(1.0::DOUBLE, p * s)), 6) AS p FROM f GROUP BY ALL")
+@query(f"WITH {_forward_sql(3)} SELECT vec_id, target_schema, table_id, p FROM out")
 def ensemble_mean(spark, sf_dir):
-    """The mean of three fold models (here: one scaled three ways)."""
-    folds = _forward(spark, sf_dir).withColumn("s", F.explode(F.array(F.lit(0.9), F.lit(1.0), F.lit(1.1))))
-    return folds.groupBy("vec_id", "table_id").agg(F.round(F.avg(F.least(F.lit(1.0), F.col("p") * F.col("s"))), 6).alias("p"))
+    """The mean of three fold models of different weights."""
+    return _named(_forward(spark, sf_dir, folds=3))
 
 
 def _recall(kind: str, depth: int):

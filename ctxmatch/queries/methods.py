@@ -29,11 +29,16 @@ def joined(c: str) -> F.Column:
     return F.array_join(c, ",").alias(c)
 
 
-def valued(spark: SparkSession, sf_dir: str, specs=None) -> catalog.Catalog:
-    """The four scenario catalogs with sampled values."""
-    scenarios.register(spark, sf_dir)
-    specs = specs or sql.FOUR
-    return catalog.with_values(catalog.load(spark, specs), cut(catalog.sample_values(spark, specs, RESIDUE)))
+_SNAPSHOTS: dict[tuple[str, str], DataFrame] = {}
+
+
+def valued(spark: SparkSession, sf_dir: str) -> catalog.Catalog:
+    """The four scenario catalogs with sampled values: a snapshot, taken once for the tables of a folder in an application and reused by its queries."""
+    key = (spark.sparkContext.applicationId, sf_dir)
+    if key not in _SNAPSHOTS:
+        scenarios.register(spark, sf_dir)
+        _SNAPSHOTS[key] = cut(catalog.sample_values(spark, sql.FOUR, RESIDUE))
+    return catalog.with_values(catalog.load(spark, sql.FOUR), _SNAPSHOTS[key])
 
 
 # ---- catalog and graph
@@ -500,29 +505,30 @@ def folds(spark, sf_dir):
 _COLHASH = f"{_SIM}, {sql.TRUTH}, {sql.values_cte(sql.FOUR)}, {sql.NEIGHBOURS}, {sql.CONTEXT}, "
 
 
-def _column_hash(kind: str) -> str:
-    return f"vt AS (SELECT schema_id, column_id, {sql.sentence(kind)} AS text {_FROM}), " + sql.buckets("vt", "schema_id, column_id", name="vh") + ", cs AS (SELECT a.schema_id AS source_schema, a.column_id, b.schema_id AS target_schema, b.column_id AS target_column, round(sum(a.value * b.value), 6) AS cosine FROM vh a JOIN vh b ON a.bucket = b.bucket AND a.schema_id <> b.schema_id GROUP BY ALL)"
+def _column_hash(kind: str, tag: str = "") -> str:
+    """CTEs up to cs: the cosine of every two columns of different schemas, 0 where they share no bucket."""
+    vt, vh, cs = f"vt{tag}", f"vh{tag}", f"cs{tag}"
+    return (
+        f"{vt} AS (SELECT schema_id, column_id, {sql.sentence(kind)} AS text {_FROM}), " + sql.buckets(vt, "schema_id, column_id", name=vh) + f", {vh}_dot AS (SELECT a.column_id AS q, b.column_id AS c, sum(a.value * b.value) AS s FROM {vh} a JOIN {vh} b ON a.bucket = b.bucket AND a.schema_id <> b.schema_id GROUP BY ALL),"
+        f" {cs} AS (SELECT a.schema_id AS source_schema, a.column_id, b.schema_id AS target_schema, b.column_id AS target_column, {sql.cosine('s')} AS cosine FROM {vt} a JOIN {vt} b ON a.schema_id <> b.schema_id LEFT JOIN {vh}_dot ON q = a.column_id AND c = b.column_id)"
+    )
 
 
 def column_vectors(spark, sf_dir, kind: str, cat=None) -> DataFrame:
-    rac = augment.build(cat or valued(spark, sf_dir), d_max=1, kind=kind)
-    return encode.word_buckets(rac, ["schema_id", "column_id"], "text")
-
-
-def column_scores(vecs: DataFrame) -> DataFrame:
-    """source_schema, column_id, target_schema, target_column, cosine of all columns of different schemas."""
-    a = vecs.select(F.col("schema_id").alias("source_schema"), "column_id", "bucket", F.col("value").alias("a"))
-    b = vecs.select(F.col("schema_id").alias("target_schema"), F.col("column_id").alias("target_column"), "bucket", F.col("value").alias("b"))
-    return a.join(b, "bucket").filter("source_schema <> target_schema").groupBy("source_schema", "column_id", "target_schema", "target_column").agg(F.round(F.sum(F.col("a") * F.col("b")), 6).alias("cosine"))
+    """schema_id, table_id, column_id, x."""
+    rac = augment.build(cat or valued(spark, sf_dir), d_max=1, kind=kind).withColumnRenamed("origin_table", "table_id")
+    return cut(encode.word_vectors(rac, ["schema_id", "table_id", "column_id"], "text"))
 
 
-def rank_columns(scores: DataFrame, k: int | None) -> DataFrame:
-    return block.ranked(scores, ["column_id", "target_schema"], [F.col("cosine").desc(), F.col("target_column")], k)
+def full_search(vecs: DataFrame, k: int | None) -> DataFrame:
+    """source_schema, column_id, target_schema, target_column, cosine, rank: the k nearest columns of every other schema."""
+    found = block.knn(vecs.select("schema_id", F.col("column_id").alias("query"), "x"), vecs.select("schema_id", F.col("column_id").alias("neighbour"), "x"), k, metric="cosine", across="schema_id")
+    return found.select(F.split("query", "[.]")[0].alias("source_schema"), F.col("query").alias("column_id"), F.col("schema_id").alias("target_schema"), F.col("neighbour").alias("target_column"), F.col("dist").alias("cosine"), "rank")
 
 
 @query(f"{_COLHASH}{_column_hash('VALS')} SELECT column_id, target_schema, target_column, cosine, rank FROM (SELECT *, row_number() OVER (PARTITION BY column_id, target_schema ORDER BY cosine DESC, target_column)::INT AS rank FROM cs) WHERE rank <= 20")
 def fullsearch(spark, sf_dir):
-    return rank_columns(column_scores(column_vectors(spark, sf_dir, "VALS")), 20).select("column_id", "target_schema", "target_column", "cosine", "rank")
+    return full_search(column_vectors(spark, sf_dir, "VALS"), 20).drop("source_schema")
 
 
 _SWEEP = (
@@ -531,16 +537,22 @@ _SWEEP = (
 )
 
 
-def constrained(scores: DataFrame, tables: DataFrame, ts: list[int]) -> DataFrame:
-    """t, source_schema, column_id, target_schema, target_column, cosine: candidates within the first t predicted tables, an equi-join on the table."""
-    keyed = scores.withColumn("table_id", F.split("target_column", "[.]")[1])
-    near = tables.select("column_id", "target_schema", "table_id", F.col("rank").alias("_r"))
-    return keyed.join(near, ["column_id", "target_schema", "table_id"]).withColumn("t", F.explode(F.array(*map(F.lit, ts)))).filter("_r <= t").drop("_r", "table_id")
+def constrained(vecs: DataFrame, tables: DataFrame, ts: list[int], k: int) -> DataFrame:
+    """t, source_schema, column_id, target_schema, target_column, cosine, rank: the k best candidates within the first t predicted tables.
+
+    An equi-join on the table: columns of tables that no t reaches are never compared.
+    """
+    near = tables.filter(F.col("rank") <= max(ts)).select("column_id", "target_schema", "table_id", F.col("rank").alias("_r"))
+    src = vecs.select(F.col("schema_id").alias("source_schema"), "column_id", F.col("x").alias("a"))
+    tgt = vecs.select(F.col("schema_id").alias("target_schema"), "table_id", F.col("column_id").alias("target_column"), F.col("x").alias("b"))
+    scored = near.join(src, "column_id").join(tgt, ["target_schema", "table_id"]).withColumn("cosine", F.round(vectors.cosine(F.col("a"), F.col("b")), 6) + 0.0)
+    rows = scored.withColumn("t", F.explode(F.array(*map(F.lit, ts)))).filter("_r <= t").select("t", "source_schema", "column_id", "target_schema", "target_column", "cosine")
+    return block.ranked(rows, ["t", "column_id", "target_schema"], [F.col("cosine").desc(), F.col("target_column")], k)
 
 
-def sweep(scores: DataFrame, tables: DataFrame, truth: DataFrame, ts: list[int], ks: list[int]) -> DataFrame:
+def sweep(vecs: DataFrame, tables: DataFrame, truth: DataFrame, ts: list[int], ks: list[int]) -> DataFrame:
     """source_schema, target_schema, t, k, recall, map: one scoring, filters after."""
-    found = block.ranked(constrained(scores, tables, ts), ["t", "column_id", "target_schema"], [F.col("cosine").desc(), F.col("target_column")], max(ks))
+    found = constrained(vecs, tables, ts, max(ks))
     every = truth.drop("kind").withColumn("t", F.explode(F.array(*map(F.lit, ts))))
     how = {"query": "column_id", "item": "target_column", "by": ["source_schema", "target_schema", "t"]}
     return metrics.recall_at(found, every, ks, cutoff="k", **how).join(metrics.map_at(found, every, ks, **how), ["source_schema", "target_schema", "t", "k"])
@@ -554,23 +566,26 @@ def sweep(scores: DataFrame, tables: DataFrame, truth: DataFrame, ts: list[int],
 )
 def pipeline_sweep(spark, sf_dir):
     cat = valued(spark, sf_dir)
-    return sweep(column_scores(column_vectors(spark, sf_dir, "VALS", cat)), baseline.table_retrieval(cat), directed_truth(spark), _TS, K_GRID)
+    return sweep(column_vectors(spark, sf_dir, "VALS", cat), baseline.table_retrieval(cat), directed_truth(spark), _TS, K_GRID)
 
 
 @query(f"{_COLHASH}{_column_hash('VALS')}, {_SWEEP} SELECT a.column_id AS column_a, a.target_column AS column_b FROM got a JOIN got b ON b.column_id = a.target_column AND b.target_column = a.column_id AND a.t = 4 AND b.t = 4 AND a.rank <= 2 AND b.rank <= 2 WHERE a.source_schema < a.target_schema")
 def symmetric_matches(spark, sf_dir):
     cat = valued(spark, sf_dir)
-    found = block.ranked(constrained(column_scores(column_vectors(spark, sf_dir, "VALS", cat)), baseline.table_retrieval(cat), [4]), ["column_id", "target_schema"], [F.col("cosine").desc(), F.col("target_column")], 2)
+    found = constrained(column_vectors(spark, sf_dir, "VALS", cat), baseline.table_retrieval(cat, t=4), [4], 2)
     down, up = found.filter("source_schema < target_schema"), found.filter("source_schema > target_schema")
     return match.symmetric(*[x.select(F.col("column_id").alias("query"), F.col("target_column").alias("target")) for x in (down, up)], how="intersect")
 
 
-@query()
+@query(
+    f"{_COLHASH}{_column_hash('VALS')}, {_SWEEP}, sug AS (SELECT column_id, target_schema, string_agg(table_id || ' ' || CAST(score AS VARCHAR), ', ' ORDER BY rank) AS suggested FROM simdoc WHERE rank <= 4 GROUP BY ALL)"
+    " SELECT g.column_id || '>' || g.target_schema AS query, g.target_column AS target, c.cosine, true AS within, s.suggested FROM got g JOIN cs c USING (column_id, target_schema, target_column) JOIN sug s USING (column_id, target_schema) WHERE g.t = 4 AND g.rank = 1"
+)
 def explain_matches(spark, sf_dir):
     """Matches with the tables suggested for their query."""
     cat = valued(spark, sf_dir)
-    tables = baseline.table_retrieval(cat)
-    found = block.ranked(constrained(column_scores(column_vectors(spark, sf_dir, "VALS", cat)), tables, [4]), ["column_id", "target_schema"], [F.col("cosine").desc(), F.col("target_column")], 1)
+    tables = cut(baseline.table_retrieval(cat, t=4))
+    found = constrained(column_vectors(spark, sf_dir, "VALS", cat), tables, [4], 1)
     name = F.concat_ws(">", "column_id", "target_schema").alias("query")
     out = match.explain(found.select(name, F.col("target_column").alias("target"), "cosine"), tables.filter("rank <= 4").select(name, "rank", "table_id", F.col("score").alias("p")))
     return out.select("query", "target", "cosine", "within", F.array_join(F.transform("suggested", lambda s: F.concat(s["table_id"], F.lit(" "), s["p"].cast("string"))), ", ").alias("suggested"))
@@ -580,7 +595,7 @@ def serialization_rows(spark, sf_dir) -> DataFrame:
     cat, truth, out = valued(spark, sf_dir), directed_truth(spark), None
     how = {"query": "column_id", "item": "target_column", "by": ["source_schema", "target_schema"]}
     for kind in serialize.KINDS:
-        found = rank_columns(column_scores(column_vectors(spark, sf_dir, kind, cat)), 20)
+        found = full_search(column_vectors(spark, sf_dir, kind, cat), 20)
         rows = metrics.recall_at(found, truth, K_GRID, cutoff="k", **how).join(metrics.map_at(found, truth, K_GRID, **how), ["source_schema", "target_schema", "k"]).withColumn("kind", F.lit(kind))
         out = rows if out is None else out.union(rows)
     return out
@@ -589,7 +604,7 @@ def serialization_rows(spark, sf_dir) -> DataFrame:
 _STUDY = " UNION ALL ".join(
     f"SELECT '{k}' AS kind, source_schema, target_schema, column_id, target_column, row_number() OVER (PARTITION BY column_id, target_schema ORDER BY cosine DESC, target_column) AS rank FROM cs_{k}" for k in serialize.KINDS
 )
-_STUDY_HASH = ", ".join(_column_hash(k).replace("vt AS", f"vt_{k} AS").replace("FROM vt)", f"FROM vt_{k})").replace("vh", f"vh_{k}").replace("cs AS", f"cs_{k} AS") for k in serialize.KINDS)
+_STUDY_HASH = ", ".join(_column_hash(k, f"_{k}") for k in serialize.KINDS)
 
 
 @query(
@@ -603,11 +618,11 @@ def serialization_study(spark, sf_dir):
     return serialization_rows(spark, sf_dir).groupBy("kind", "k").agg(F.round(F.avg("recall"), 5).alias("recall"), F.round(F.avg("map"), 5).alias("map"), F.round(F.stddev_samp("recall"), 5).alias("recall_std"), F.round(F.stddev_samp("map"), 5).alias("map_std"))
 
 
-def _pair_cosine(scores: DataFrame, wanted: list[tuple[str, str]], kind: str) -> DataFrame:
-    cond = F.lit(False)
-    for a, b in wanted:
-        cond = cond | ((F.col("column_id") == a) & (F.col("target_column") == b))
-    return scores.filter(cond).select(F.concat_ws("~", "column_id", "target_column").alias("pair"), F.lit(kind).alias("kind"), "cosine")
+def _pair_cosine(vecs: DataFrame, wanted: list[tuple[str, str]], kind: str) -> DataFrame:
+    """The cosines of named pairs of columns."""
+    pairs = F.broadcast(vecs.sparkSession.createDataFrame(wanted, "left string, right string"))
+    rows = pairs.join(vecs.select(F.col("column_id").alias("left"), F.col("x").alias("a")), "left").join(vecs.select(F.col("column_id").alias("right"), F.col("x").alias("b")), "right")
+    return rows.select(F.concat_ws("~", "left", "right").alias("pair"), F.lit(kind).alias("kind"), (F.round(vectors.cosine(F.col("a"), F.col("b")), 6) + 0.0).alias("cosine"))
 
 
 def _cosine_sql(wanted, kinds):
@@ -622,22 +637,21 @@ SHIFT = [("desk.goods.good_title", "star.part.p_name"), ("dealer.products.produc
 @query(_cosine_sql(LOOKALIKE, ("META", "REF")))
 def lookalike_tables(spark, sf_dir):
     cat = valued(spark, sf_dir)
-    return _pair_cosine(column_scores(column_vectors(spark, sf_dir, "META", cat)), LOOKALIKE, "META").union(_pair_cosine(column_scores(column_vectors(spark, sf_dir, "REF", cat)), LOOKALIKE, "REF"))
+    return _pair_cosine(column_vectors(spark, sf_dir, "META", cat), LOOKALIKE, "META").union(_pair_cosine(column_vectors(spark, sf_dir, "REF", cat), LOOKALIKE, "REF"))
 
 
 @query(_cosine_sql(SHIFT, ("META", "VALS")))
 def value_shift(spark, sf_dir):
     cat = valued(spark, sf_dir)
-    return _pair_cosine(column_scores(column_vectors(spark, sf_dir, "META", cat)), SHIFT, "META").union(_pair_cosine(column_scores(column_vectors(spark, sf_dir, "VALS", cat)), SHIFT, "VALS"))
+    return _pair_cosine(column_vectors(spark, sf_dir, "META", cat), SHIFT, "META").union(_pair_cosine(column_vectors(spark, sf_dir, "VALS", cat), SHIFT, "VALS"))
 
 
 _TEXTS = "b AS (SELECT item_id, text FROM benchmark), d AS (SELECT doc_id, coalesce(text, '') AS text FROM documents)"
 
 
-@query(f"WITH {_TEXTS}, {sql.buckets('b', 'item_id', 256, 'bh')}, {sql.buckets('d', 'doc_id', 256, 'dh')} SELECT * FROM (SELECT item_id, doc_id, score, row_number() OVER (PARTITION BY item_id ORDER BY score DESC, doc_id)::INT AS rank FROM (SELECT item_id, doc_id, round(sum(x.value * y.value), 6) AS score FROM bh x JOIN dh y ON x.bucket = y.bucket GROUP BY ALL)) WHERE rank <= 5")
+@query(f"WITH {_TEXTS}, {sql.buckets('b', 'item_id', 256, 'bh')}, {sql.buckets('d', 'doc_id', 256, 'dh')} SELECT * FROM (SELECT item_id, doc_id, score, row_number() OVER (PARTITION BY item_id ORDER BY score DESC, doc_id)::INT AS rank FROM (SELECT item_id, doc_id, {sql.cosine('s')} AS score FROM b CROSS JOIN d LEFT JOIN (SELECT item_id, doc_id, sum(x.value * y.value) AS s FROM bh x JOIN dh y ON x.bucket = y.bucket GROUP BY ALL) USING (item_id, doc_id))) WHERE rank <= 5")
 def text_retrieval(spark, sf_dir):
     """The five documents nearest to each benchmark passage; passages are a stated query set, whole texts."""
-    b = encode.word_buckets(spark.read.parquet(f"{sf_dir}/benchmark.parquet"), ["item_id"], "text", 256).select(F.col("item_id").alias("query"), "bucket", F.col("value").alias("value_src"))
-    d = encode.word_buckets(spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", F.coalesce("text", F.lit("")).alias("text")), ["doc_id"], "text", 256).select(F.col("doc_id").alias("candidate"), "bucket", F.col("value").alias("value_tgt"))
-    rows = block.ranked(block.sparse_cosine(b, d), ["query"], [F.col("score").desc(), F.col("candidate")], 5)
-    return rows.select(F.col("query").alias("item_id"), F.col("candidate").alias("doc_id"), "score", "rank")
+    b = encode.word_vectors(spark.read.parquet(f"{sf_dir}/benchmark.parquet"), ["item_id"], "text", 256).withColumnRenamed("item_id", "query")
+    d = encode.word_vectors(spark.read.parquet(f"{sf_dir}/documents.parquet"), ["doc_id"], "text", 256).withColumnRenamed("doc_id", "neighbour")
+    return block.knn(b, d, 5, metric="cosine").select(F.col("query").alias("item_id"), F.col("neighbour").alias("doc_id"), F.col("dist").alias("score"), "rank")

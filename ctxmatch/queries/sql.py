@@ -77,7 +77,7 @@ def values_cte(specs: list[Schema]) -> str:
         for t in s.tables:
             cols, order = columns_of(s.name, t), ", ".join(f"{c} ASC NULLS LAST" for c in order_of(s.name, t))
             shown = {"double": "printf('%.2f', {c})", "timestamp": "strftime({c}, '%Y-%m-%d')", "array<float>": "array_to_string([printf('%.2f', x::DOUBLE) for x in {c}[1:3]], ' ')"}
-            items = ", ".join(f"{{'c': '{s.name}.{t}.{c}', 'v': {shown.get(d, 'substr(CAST({c} AS VARCHAR), 1, 2000)').format(c=c)}}}" for c, d in cols)
+            items = ", ".join(f"{{'c': '{s.name}.{t}.{c}', 'v': {shown.get(d, "array_to_string(string_split(CAST({c} AS VARCHAR), ' ')[1:300], ' ')").format(c=c)}}}" for c, d in cols)
             parts.append(f"SELECT unnest([{items}]) AS x, _n FROM (SELECT *, row_number() OVER (ORDER BY {order}) AS _n FROM ({derived_sql(s.name, t)}) WHERE _key IS NULL OR _key % 4 = {RESIDUE[s.name]} QUALIFY _n <= 5)")
     return "cells AS (" + " UNION ALL ".join(parts) + "),\nvals AS (SELECT x.c AS column_id, list(x.v ORDER BY _n) AS v FROM cells WHERE x.v IS NOT NULL GROUP BY 1)"
 
@@ -113,12 +113,17 @@ def buckets(source: str, key: str, dim: int = 64, name: str = "hash") -> str:
     )
 
 
+def cosine(s: str) -> str:
+    """A rounded score; null (no common bucket) and minus zero are zero."""
+    return f"CASE WHEN round({s}, 6) <> 0 THEN round({s}, 6) ELSE 0::DOUBLE END"
+
+
 SIMDOC = (
     f"{catalog_cte(FOUR)},\n{views_cte(1)},\n{RAC},\n{TABDOC},\n"
     f"coltext AS (SELECT schema_id, column_id, {sentence('META')} AS text FROM rac),\n"
     + buckets("coltext", "schema_id, column_id", name="ch") + ",\n" + buckets("tabdoc", "schema_id, table_id", name="th") + ",\n"
     "sim AS (SELECT c.schema_id AS source_schema, c.column_id, t.schema_id AS target_schema, t.table_id, sum(c.value * t.value) AS s FROM ch c JOIN th t ON c.bucket = t.bucket AND c.schema_id <> t.schema_id GROUP BY ALL),\n"
-    "simdoc AS (SELECT c.schema_id AS source_schema, c.column_id, t.schema_id AS target_schema, t.table_id, round(coalesce(s, 0), 6) AS score,"
+    f"simdoc AS (SELECT c.schema_id AS source_schema, c.column_id, t.schema_id AS target_schema, t.table_id, {cosine('s')} AS score,"
     " row_number() OVER (PARTITION BY c.column_id, t.schema_id ORDER BY round(coalesce(s, 0), 6) DESC, t.table_id) AS rank"
     " FROM cols c JOIN tabs t ON c.schema_id <> t.schema_id LEFT JOIN sim x ON x.column_id = c.column_id AND x.target_schema = t.schema_id AND x.table_id = t.table_id)"
 )

@@ -11,9 +11,10 @@ from pyspark.sql.streaming.state import GroupStateTimeout
 from ..functions import encode
 from ..operators import block
 from ..plans import augment, serialize
+from ..plans.cut import cut
 from ..sources.io import shared_dir
 from ..streaming.runs import each_batch, finished, replay
-from . import query
+from . import query, sql
 from .methods import four
 
 
@@ -81,16 +82,19 @@ def st_state(spark, sf_dir):
     return finished(rows, "update")
 
 
-@query()
+@query(
+    f"WITH RECURSIVE {sql.SIMDOC}, dots AS (SELECT c.column_id AS query, t.schema_id || '.' || t.table_id AS candidate, sum(c.value * t.value) AS s FROM ch c JOIN th t ON c.bucket = t.bucket GROUP BY ALL)"
+    f" SELECT query, candidate, score, rank FROM (SELECT *, row_number() OVER (PARTITION BY query ORDER BY score DESC, candidate)::INT AS rank FROM (SELECT c.column_id AS query, t.schema_id || '.' || t.table_id AS candidate, {sql.cosine('s')} AS score FROM cols c CROSS JOIN tabs t LEFT JOIN dots d ON d.query = c.column_id AND d.candidate = t.schema_id || '.' || t.table_id)) WHERE rank <= 2"
+)
 def st_foreach_batch(spark, sf_dir):
     """Columns announced in a stream: every micro-batch is encoded and its two nearest tables are stored under the batch's number."""
     cat, folder = four(spark), f"{shared_dir(spark)}/announced-{uuid.uuid4().hex}"
     augment.build(cat, d_max=1, kind="META").select("schema_id", "column_id", "text").repartition(2).write.parquet(f"{folder}/in")
-    docs = encode.word_buckets(serialize.table(cat), ["schema_id", "table_id"], "text").select(F.col("schema_id").alias("target_schema"), F.concat_ws(".", "schema_id", "table_id").alias("candidate"), "bucket", F.col("value").alias("value_tgt"))
+    docs = cut(encode.word_vectors(serialize.table(cat).select(F.concat_ws(".", "schema_id", "table_id").alias("neighbour"), "text"), ["neighbour"], "text"))
 
     def step(batch, number):
-        cols = encode.word_buckets(batch, ["schema_id", "column_id"], "text").select(F.col("column_id").alias("query"), "bucket", F.col("value").alias("value_src"))
-        top = block.ranked(block.sparse_cosine(cols, docs), ["query"], [F.col("score").desc(), F.col("candidate")], 2)
+        cols = encode.word_vectors(batch, ["column_id"], "text").withColumnRenamed("column_id", "query")
+        top = block.knn(cols, docs, 2, metric="cosine").withColumnsRenamed({"neighbour": "candidate", "dist": "score"})
         top.write.mode("overwrite").parquet(f"{folder}/out/batch={number}")
 
     each_batch(spark.readStream.schema("schema_id string, column_id string, text string").option("maxFilesPerTrigger", 1).parquet(f"{folder}/in"), step)

@@ -72,14 +72,14 @@ def from_ddl(spark: SparkSession, schema_id: str, ddl: str) -> Catalog:
 
 
 def shown(col, dtype: str):
-    """A value as text: two decimals, days of timestamps, long texts cut before they travel."""
+    """A value as text: two decimals, days of timestamps; of long texts the tokens that a sentence can hold at most."""
     if dtype == "double":
         return F.format_string("%.2f", col)
     if dtype == "timestamp":
         return F.date_format(col, "yyyy-MM-dd")
     if dtype == "array<float>":
         return F.array_join(F.transform(F.slice(col, 1, 3), lambda x: F.format_string("%.2f", x.cast("double"))), " ")
-    return F.substring(col.cast("string"), 1, 2000)
+    return F.array_join(F.slice(F.split(col.cast("string"), " ", -1), 1, 300), " ")
 
 
 def sample_rows(df: DataFrame, schema: str, table: str, residue: int | None, k: int = 5) -> DataFrame:

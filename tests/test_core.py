@@ -185,13 +185,34 @@ def test_training_is_deterministic_and_scores_cover_the_target(spark, tmp_path):
     dw, _ = train.gradient_step(rac.repartition(3), net, outputs, CONFIG)
     x, y, mask = train.matrices(rac.select("schema_id", "x", "y").toPandas(), outputs)
     assert np.allclose(dw[0], net.gradients(x, y, mask, CONFIG)[0][0], atol=1e-9)
+    # models too large to be sent to every task meet blocks of columns
+    every = lambda df: sorted((r.run, r.column_id, r.target_schema, r.table_id, round(r.p, 9)) for r in df.collect())
+    assert every(predict.scores(cols, saved, "PAIR", pairs, broadcast_bytes=0)) == every(predict.scores(cols, saved, "PAIR", pairs))
+
+
+def test_distributed_training_equals_local_steps(spark):
+    c = catalog.load(spark, [SPECS["desk"]])
+    rac = augment.build(c, d_max=2, kind="META", encoder=encode.HashedNgram(16))
+    outputs, config = sorted(f"desk.{r.table_id}" for r in c.tables.collect()), replace(CONFIG, batch=40)
+    net = train.train_distributed(rac.repartition(3), outputs, config, epochs=2, seed=5)
+    n = rac.count()
+    batches = -(-n // 40)
+    rows = rac.select("schema_id", "x", "y", *[train.batch_of(e, batches).alias(f"b{e}") for e in (0, 1)]).toPandas()
+    local, adam = mlp.Mlp((16, 7, 5, len(outputs)), 5), mlp.Adam(config)
+    before = local.loss(*train.matrices(rows, outputs), config)
+    for e in (0, 1):
+        for b in range(batches):
+            dw, db = local.gradients(*train.matrices(rows[rows[f"b{e}"] == b], outputs), config)
+            adam.step(local.w + local.b, dw + db)
+    assert all(np.allclose(x, y, atol=1e-7) for x, y in zip(net.w + net.b, local.w + local.b, strict=True))
+    assert net.loss(*train.matrices(rows, outputs), config) < before
 
 
 def test_model_counts():
     assert [train.count(k, 4) for k in train.KINDS] == [4, 6, 1] and [len(train.specs(k, list(SCENARIO))) for k in train.KINDS] == [4, 6, 1]
 
 
-def test_knn_equals_brute_force_and_unit_vectors_agree_on_cosine(spark):
+def test_knn_equals_brute_force_and_unit_vectors_agree_on_cosine(spark, monkeypatch):
     rng = np.random.default_rng(4)
     v = rng.standard_normal((60, 8))
     v /= np.linalg.norm(v, axis=1, keepdims=True)
@@ -203,10 +224,43 @@ def test_knn_equals_brute_force_and_unit_vectors_agree_on_cosine(spark):
         assert [got[q, k] for k in range(1, 6)] == order
     assert got == {(r.query, r.rank): r.neighbour for r in block.knn(src, tgt, 5, metric="cosine").collect()}
     every = spark.createDataFrame([(q, 0) for q in range(20)], "query long, table_id int")
+    monkeypatch.setattr(block, "TILE", (7, 9))
+    tiles = block.knn(src, tgt, 5, broadcast_bytes=0)
+    assert got == {(r.query, r.rank): r.neighbour for r in tiles.collect()}
     within = block.knn_within(src, tgt.withColumn("table_id", F.lit(0)), every, 5)
     assert got == {(r.query, r.rank): r.neighbour for r in within.collect()}
 
 
+@pytest.mark.parametrize("metric", ["l2", "cosine"])
+@pytest.mark.parametrize("limit", [block.BROADCAST_BYTES, 0])
+def test_knn_breaks_ties_by_neighbour(spark, metric, limit):
+    order = np.random.default_rng(2).permutation(400).tolist()
+    tgt = spark.createDataFrame([(i, [1.0, 2.0]) for i in order], "neighbour long, x array<double>").repartition(5)
+    src = spark.createDataFrame([(1, [2.0, 1.0]), (2, [1.0, 2.0]), (3, [0.0, 0.0])], "query long, x array<double>")
+    got = {}
+    for r in block.knn(src, tgt, 3, metric=metric, broadcast_bytes=limit).collect():
+        got.setdefault(r.query, []).append((r.rank, r.neighbour, r.dist))
+    assert {q: [n for _, n, _ in sorted(v)] for q, v in got.items()} == {1: [0, 1, 2], 2: [0, 1, 2], 3: [0, 1, 2]}
+    assert got[2][0][2] == (0 if metric == "l2" else 1)
+    assert block.knn(src, tgt.filter("false"), 3, metric=metric, broadcast_bytes=limit).count() == 0 == block.knn(src.filter("false"), tgt, 3, broadcast_bytes=limit).count()
+
+
+def test_knn_across_keeps_unlike_and_orthogonal_neighbours(spark):
+    rows = [("s", "s.a", [1.0, 0.0]), ("s", "s.b", [0.0, 1.0]), ("t", "t.a", [0.0, 1.0]), ("t", "t.b", [-1.0, 0.0]), ("u", "u.a", [0.0, 0.0])]
+    df = spark.createDataFrame(rows, "schema_id string, id string, x array<double>").repartition(3)
+    found = block.knn(df.withColumnRenamed("id", "query"), df.withColumnRenamed("id", "neighbour"), None, metric="cosine", across="schema_id")
+    got = {(r.query, r.schema_id, r.rank): (r.neighbour, r.dist) for r in found.collect()}
+    assert got["s.a", "t", 1] == ("t.a", 0.0) and got["s.a", "t", 2] == ("t.b", -1.0) and got["s.a", "u", 1] == ("u.a", 0.0)
+    assert len(got) == 2 * 3 + 2 * 3 + 4
+
+
+def test_hashed_blocking_finds_nine_in_ten(spark):
+    from ctxmatch.queries.methods import K_GRID, lsh_recall
+
+    recall = {r.k: r.recall for r in lsh_recall(spark, "/root/testdata/sf0.01").collect()}
+    assert sorted(recall) == K_GRID and min(recall.values()) >= 0.9
+
+
 def test_recall_units_and_average_precision(spark):
     truth_rows = spark.createDataFrame([(1, "a", "t1"), (1, "a", "t2"), (1, "b", "t3")], "g int, q string, item string")
     ranked = spark.createDataFrame([(1, "a", "t1", 1), (1, "a", "t9", 2), (1, "a", "t2", 3), (1, "b", "t9", 1), (1, "b", "t3", 2)], "g int, q string, item string, rank int")
@@ -227,7 +281,7 @@ def test_full_search_equals_all_tables_and_learning_beats_chance(spark, tmp_path
     tables = pipeline.predict_tables(cat, pipeline.learn(cat, "HOLO", 2), "HOLO")
     every = tables.select("column_id", "target_schema", "table_id")
     key = lambda df: sorted((r.column_id, r.target_column, r.cosine) for r in df.collect())
-    assert key(pipeline.column_cosines(cat, allowed=every)) == key(pipeline.column_cosines(cat))
+    assert key(pipeline.column_cosines(cat, every)) == key(pipeline.full_search(cat, None))
     from ctxmatch.queries.methods import directed_truth
 
     wanted = metrics.table_truth(directed_truth(spark))
