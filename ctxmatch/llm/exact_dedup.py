@@ -2,10 +2,10 @@
 
 Every input partition sorts its digests into a run in which equal digests are already combined. The runs then meet in
 rounds: the partitions ("lanes") are numbered in base ``fan_in``, and in round r each lane trades with the lanes that
-differ from it in digit r only, giving each of them the digests whose r-th digit is theirs. What a lane receives is merged
-multiway and combined again, so after the last round each lane owns a range of digests, fully merged. A group of copies,
-however large, shrinks to at most one entry per lane before it travels, and no task ever sees more than one entry per
-sender for it.
+differ from it in digit r only, giving each of them the digests whose r-th digit is theirs (binomial rounds with a fan-in of 2; more lanes meet at once by default). What a lane
+receives is merged multiway and combined again, so after the last round each lane owns a range of digests, fully merged. The engine's exchange keeps no order of its senders, so its
+sort, which spills, stands in for a heap over the received runs. A group of copies, however large, shrinks to at most one entry per lane before it travels, and no task ever sees
+more than one entry per sender for it. Documents then find their group by a join on the digest, whose hot keys the engine's adaptive execution splits.
 
 An entry is (digest, bytes, second hash, smallest id, count). Entries are combined only when the SHA-256 digest, the
 length and an independent 64-bit hash all agree, so the smallest id is verified at every level.

@@ -213,7 +213,7 @@ def confirmed(pairs: DataFrame, docs: DataFrame, words: int, percent: int) -> Da
     return links
 
 
-TILE = 1024
+TILE = 512
 
 
 def _tiles(parts: DataFrame) -> DataFrame:

@@ -3,14 +3,15 @@
 Voters (lexicons, word stems and patterns) each say toxic, clean or nothing about a document. A generative label model explains
 their votes over the whole corpus: each voter has an accuracy per class, and correlated voters are tied in a tree, so that what one voter
 merely repeats is not counted twice. The model is fitted by expectation maximisation on the counts of vote vectors (all
-documents; a handful of numbers at any corpus size). Its posteriors are the soft labels on which a logistic regression over words, stems and
-surface measures is trained; that classifier gives the scores.
+documents; a handful of numbers at any corpus size), which the votes of the labelled sample, their classes fixed, anchor with a weight of ``anchor`` times the corpus (0:
+not at all). Its posteriors are the soft labels on which a logistic regression over words, stems and surface measures is trained; that classifier gives the scores.
 
 Lexicons are mined from a bounded sample of labelled rows (``sample`` rows in hash order, ``crc32(doc_id) mod folds`` not 0), beside a short
 public list of insults. The same sample, with its posteriors, trains the classifier. Everything else covers all documents and whole texts.
 
 Defined cases: null text counts as empty; empty texts get the score of a document without any word; an empty table gives no rows; without labelled rows the
-voters fall back to the public list; labels of rows that are repeated or not in the documents are harmless; other columns are ignored.
+voters fall back to the public list and patterns; labels that are repeated or not in the documents change nothing, nor do repeated rows of a labelled document (the smallest of
+their texts is used); rows with a null id are scored like any others, are never held out and never learnt from; equal texts get equal scores; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -36,7 +37,14 @@ INSULTS = frozenset(
 SECOND_PERSON = frozenset("you your youre tu te vous toi du dich dir ihr usted tú ti".split())
 WORD = re.compile(r"\w+")
 STEMS = (4, 5, 6, 7, 8)
-VOTERS = ("public list", "mined words", "mined stems", "weak words", "two or more", "dense", "addressed", "repeated", "no sign")
+#: Patterns of abuse that need no lexicon: fixed values.
+PATTERNS = {
+    "told off": re.compile(r"\b(shut up|get lost|go to hell|drop dead|screw you|hate you|ta gueule|ferme[- ]la|va te faire|halt die klappe|halt's maul|verpiss dich|cállate|vete a la|te odio)\b"),
+    "called names": re.compile(r"\b(you|you're|your|tu es|espèce de|du bist|ihr|eres|sois)\s+(\w+\s+)?(" + "|".join(sorted(INSULTS)) + r")\b"),
+    "masked": re.compile(r"\b[a-z]\*+[a-z]+\b|\b[a-z]{1,2}[@#$]{2,}[a-z]+\b"),
+    "wished away": re.compile(r"\b(people|women|men|they|you|all)\s+(like\s+you\s+)?(should|must|deserve\s+to)\s+(die|rot|suffer|disappear)\b"),
+}
+VOTERS = ("public list", "mined words", "mined stems", "weak words", "two or more", "dense", "addressed", "repeated", *PATTERNS, "no sign")
 
 
 def held_out(doc_id: Column, folds: int = 5) -> Column:
@@ -114,7 +122,8 @@ class Lexicons:
 
     def look(self, text: str) -> tuple[list[int], list[int], list[float]]:
         """(votes, signs of the vocabulary, surface measures) of a text."""
-        words = WORD.findall(text.lower())
+        text = text.lower()
+        words = WORD.findall(text)
         found = set(words)
         public, mined, weak = found & INSULTS, found & self.words, found & self.weak
         rooted = {(n, x) for n, stems in self.stems.items() for x in stems & {w[:n] for w in found if len(w) > n}}
@@ -125,7 +134,9 @@ class Lexicons:
         kinds = len(public | mined) + len(rooted)
         addressed = bool(strong) and any(w in SECOND_PERSON and any(x in strong for x in words[k + 1 : k + 4]) for k, w in enumerate(words))
         share = hits / len(words) if words else 0.0
-        votes = [int(bool(public)), int(bool(mined)), int(bool(rooted)), int(bool(weak)), int(kinds >= 2), int(share > 0.004), int(addressed), int(hits >= 2), -int(not kinds)]
+        votes = [int(bool(public)), int(bool(mined)), int(bool(rooted)), int(bool(weak)), int(kinds >= 2), int(share > 0.004), int(addressed), int(hits >= 2)]
+        matched = [int(pattern.search(text) is not None) for pattern in PATTERNS.values()]
+        votes += [*matched, -int(not kinds and not any(matched))]
         signs = [self.vocabulary[s] for s in [*((0, w) for w in mined | weak), *rooted]]
         return votes, signs, [min(share, 0.1) * 50, float(kinds > 0), math.log1p(kinds)]
 
@@ -139,11 +150,11 @@ class LabelModel:
     def __init__(self, prior: float = 0.1, rounds: int = 30, smooth: float = 1.0):
         self.prior, self.rounds, self.smooth = prior, rounds, smooth
 
-    def fit(self, votes: np.ndarray, counts: np.ndarray, known_votes: np.ndarray | None = None, known: np.ndarray | None = None) -> LabelModel:
+    def fit(self, votes: np.ndarray, counts: np.ndarray, known_votes: np.ndarray | None = None, known: np.ndarray | None = None, anchor: float = 1.0) -> LabelModel:
         counts, free = counts.astype(float), len(votes)
-        if known is not None and len(known):
+        if known is not None and len(known) and anchor:
             votes = np.concatenate([votes, known_votes])
-            counts = np.concatenate([counts, np.full(len(known), counts.sum() / len(known))])
+            counts = np.concatenate([counts, np.full(len(known), anchor * counts.sum() / len(known))])
         else:
             known = np.zeros(0)
         states = votes + 1
@@ -237,8 +248,8 @@ def vote_counts(docs: DataFrame, lexicons: Lexicons) -> tuple[np.ndarray, np.nda
 
 def labelled_sample(docs: DataFrame, labels: DataFrame, sample: int, folds: int) -> tuple[list[str], np.ndarray]:
     """Texts and labels of at most ``sample`` rows outside the held-out fold, in the order of a hash of the id."""
-    chosen = labels.filter(F.col("toxic").isNotNull() & F.col("doc_id").isNotNull() & ~held_out(F.col("doc_id"), folds)).select("doc_id", "toxic").orderBy(F.xxhash64("doc_id"), "doc_id", "toxic").limit(sample)
-    rows = docs.select("doc_id", text_of().alias("text")).join(F.broadcast(chosen), "doc_id").select("doc_id", "text", "toxic").collect()
+    chosen = labels.filter(F.col("toxic").isNotNull() & F.col("doc_id").isNotNull() & ~held_out(F.col("doc_id"), folds)).select("doc_id", "toxic").distinct().orderBy(F.xxhash64("doc_id"), "doc_id", "toxic").limit(sample)
+    rows = docs.select("doc_id", text_of().alias("text")).join(F.broadcast(chosen), "doc_id").groupBy("doc_id", "toxic").agg(F.min("text").alias("text")).collect()
     rows.sort(key=lambda r: (r["doc_id"], r["toxic"], r["text"]))
     return [r["text"] for r in rows], np.array([int(r["toxic"] == 1) for r in rows], int)
 
@@ -254,14 +265,14 @@ class ToxicityModel:
         return 1 / (1 + math.exp(-max(-30.0, min(30.0, z))))
 
 
-def fit(docs: DataFrame, labels: DataFrame, *, sample: int = 8000, folds: int = 5) -> ToxicityModel:
+def fit(docs: DataFrame, labels: DataFrame, *, sample: int = 8000, folds: int = 5, anchor: float = 1.0) -> ToxicityModel:
     texts, toxic = labelled_sample(docs, labels, sample, folds)
     lexicons = Lexicons(texts, toxic)
     votes, counts = vote_counts(docs, lexicons)
     model = LabelModel(prior=float(np.clip(toxic.mean(), 0.01, 0.5)) if len(toxic) else 0.1)
     looks = [lexicons.look(t) for t in texts]
     own = np.array([v for v, _, _ in looks], int).reshape(-1, len(VOTERS))
-    model.fit(votes if len(votes) else np.zeros((1, len(VOTERS)), int), counts if len(counts) else np.ones(1), own, toxic)
+    model.fit(votes if len(votes) else np.zeros((1, len(VOTERS)), int), counts if len(counts) else np.ones(1), own, toxic, anchor)
     if looks:
         target = model.posterior(own)
         weights = fit_logistic([s for _, s, _ in looks], np.array([d for _, _, d in looks]), target, len(lexicons.vocabulary))

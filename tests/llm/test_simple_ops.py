@@ -120,8 +120,12 @@ def test_mix_equals_simulation(spark, docs, none):
         for t in range(first + 1):
             assert abs(sum(str(owner[k][0]) == s for k in range(t)) - w * t) < 1
     for r in got:
-        assert r.release < r.deadline and 0 <= r.offset < 4
+        assert r.release <= r.slot - r.phase_start < r.deadline and 0 <= r.offset < 4
     assert mixing.mix(none.drop("slot"), {"a": 1}).count() == 0
+    # columns named like the schedule's, a row given twice and null ids
+    odd = df.withColumns({"slot": mixing.F.lit(99), "block": mixing.F.lit(98)}).union(df.filter("doc_id < 5").selectExpr("doc_id", "source", "99", "98")).union(df.filter("doc_id < 3").selectExpr("cast(null as long)", "source", "99", "98"))
+    rows = mixing.mix(odd, {"a": 0.5, "b": 0.3, None: 0.2}, block=4).collect()
+    assert len(rows) == 908 and {(r.own_slot, r.own_block) for r in rows} == {(99, 98)} and len({(r.slot, r.offset) for r in rows}) == 908
     ordered = mixing.mixed_order(docs, {"a": 1, "b": 1})
     assert ordered.columns == docs.columns and sorted(map(str, ordered.collect())) == sorted(map(str, docs.collect()))
 

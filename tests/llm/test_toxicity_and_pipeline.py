@@ -42,6 +42,37 @@ def test_label_model_recovers_accuracies_of_correlated_voters():
     assert ((post > 0.5) == y).mean() > 0.93
 
 
+def test_expectation_maximisation_equals_loops():
+    rng = np.random.default_rng(3)
+    votes, counts = np.unique(rng.integers(-1, 2, (400, 4)) * (rng.random((400, 4)) < 0.7), axis=0, return_counts=True)
+    votes = votes.astype(int)
+    known_votes, known = votes[:6], np.array([1, 0, 1, 0, 1, 0])
+    first, second = (toxicity.LabelModel(rounds=n).fit(votes, counts, known_votes, known) for n in (14, 15))
+    assert first.parent == second.parent, "the tree is settled"
+    rows = [(v, c, p) for v, c, p in zip(votes.tolist(), counts.tolist(), first.posterior(votes).tolist(), strict=True)] + [(v, counts.sum() / 6, y) for v, y in zip(known_votes.tolist(), known.tolist(), strict=True)]
+    for j, parent in enumerate(first.parent):
+        for y in (0, 1):
+            for above in (-1, 0, 1):
+                seen = [sum(c * (p if y else 1 - p) for v, c, p in rows if v[j] == state and (v[parent] if parent >= 0 else -1) == above) + 1 / 3 for state in (-1, 0, 1)]
+                assert np.allclose(second.table[j][y][above + 1], np.log(np.array(seen) / sum(seen)))
+    prior = sum(c * p for _, c, p in rows) / sum(c for _, c, _ in rows)
+    assert abs(second.prior - np.clip(prior, 1e-3, 0.6)) < 1e-12
+    for v, p in zip(votes.tolist(), second.posterior(votes), strict=True):
+        odds = prior / (1 - prior)
+        for j, parent in enumerate(second.parent):
+            above = v[parent] + 1 if parent >= 0 else 0
+            odds *= np.exp(second.table[j][1][above][v[j] + 1] - second.table[j][0][above][v[j] + 1])
+        assert abs(p - odds / (1 + odds)) < 1e-9
+
+
+def test_patterns_vote_without_a_lexicon():
+    lexicons, at = toxicity.Lexicons([], np.zeros(0, int)), {name: k for k, name in enumerate(toxicity.VOTERS)}
+    for name, text in {"told off": "oh SHUT UP now", "called names": "You total moron, go", "masked": "what the f**k is it", "wished away": "people like you should die"}.items():
+        assert lexicons.look(text)[0][at[name]] == 1, name
+    quiet = lexicons.look("the meeting *** starts at 9, you should come")[0]
+    assert not any(quiet[at[name]] for name in toxicity.PATTERNS) and quiet[-1] == -1
+
+
 def test_toxicity_held_out_accuracy(spark, docs, none):
     rows, labels = corpus()
     df = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long")
@@ -54,6 +85,16 @@ def test_toxicity_held_out_accuracy(spark, docs, none):
     # labels of the held-out fold are never looked at
     other = spark.createDataFrame([(i, q, 1 - t if zlib.crc32(str(i).encode()) % 5 == 0 else t) for i, q, t in labels], "doc_id long, quality int, toxic int")
     assert by_id(toxicity.score_documents(df, toxicity.fit(df, other))) == got
+    # without gold anchors the label model still learns the voters
+    free = by_id(toxicity.score_documents(df, toxicity.fit(df, lab, anchor=0)))
+    assert np.mean([free[i].predicted == labels[i][2] for i in held]) > 0.9
+    # labels given twice, a labelled document given twice, a null id, labels of no document
+    again = df.union(df.filter("doc_id < 40")).union(df.filter("doc_id = 6").selectExpr("cast(null as long)", *df.columns[1:]))
+    more = lab.union(lab).union(lab.filter("doc_id < 9").selectExpr("doc_id + 100000", "quality", "toxic"))
+    assert toxicity.labelled_sample(again, more, 8000, 5)[0] == toxicity.labelled_sample(df, lab, 8000, 5)[0]
+    scored = toxicity.score_documents(again, toxicity.fit(again, more)).collect()
+    assert len(scored) == 541 and [(r.held_out, r.predicted) for r in scored if r.doc_id is None] == [(False, 1)]
+    assert {r.score for r in scored if r.doc_id == 6} == {r.score for r in scored if r.doc_id is None}
     # defined cases
     awkward = by_id(toxicity.score_documents(docs, toxicity.fit(docs, lab.filter("false"))))
     assert len(awkward) == docs.count() and all(r.predicted == 0 for r in awkward.values())
@@ -90,6 +131,23 @@ def test_pipeline_equals_brute_force(spark, tmp_path):
         assert docs.columns == columns
 
 
+def test_pipeline_on_awkward_tables(spark, tmp_path, docs):
+    """An empty table, null ids, a row given twice, texts that are null or empty and columns named like the stages' own, through all stages."""
+    pipeline = pytest.importorskip("corpus_pipeline")
+    pytest.importorskip("public_tokenizers")
+    _, labels = corpus(n=40)
+    own = docs.withColumns({"block": mixing.F.lit(1), "kept": mixing.F.lit("x"), "position": mixing.F.lit(9), "digest": mixing.F.lit(2)})
+    rows = own.union(own.filter("doc_id = 6")).union(own.filter("doc_id = 15").withColumn("doc_id", mixing.F.lit(None).cast("long")))
+    for name, table, count in (("some", rows, None), ("none", own.filter("false"), 0)):
+        table.write.parquet(f"{tmp_path}/{name}/documents.parquet")
+        spark.createDataFrame(labels, "doc_id long, quality int, toxic int").write.parquet(f"{tmp_path}/{name}/labels.parquet")
+        got = pipeline.run(spark, f"{tmp_path}/{name}").collect()
+        assert sorted(r.position for r in got) == list(range(len(got))) and (count is None or len(got) == count)
+    got = pipeline.run(spark, f"{tmp_path}/some").collect()
+    left = sorted(str(r.doc_id) for r in got)
+    assert {"1", "3", "6", "7"} <= set(left) and not {"2", "4", "8", "14"} & set(left)  # copies go, one empty text stays
+
+
 def test_pipeline_rows_tell_the_mix(spark, tmp_path, monkeypatch):
     pipeline = pytest.importorskip("corpus_pipeline")
     pytest.importorskip("public_tokenizers")
