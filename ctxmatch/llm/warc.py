@@ -74,7 +74,7 @@ def records_in(stream: io.BufferedIOBase) -> Iterator[tuple[dict[str, str], byte
         yield found, head + b"\r\n" + body + b"\r\n\r\n"
 
 
-def member(data: bytes, level: int = 4) -> bytes:
+def member(data: bytes, level: int = 6) -> bytes:
     return gzip.compress(data, level, mtime=0)
 
 
@@ -83,7 +83,7 @@ def _at(path: str) -> tuple[fs.FileSystem, str]:
     return fs.FileSystem.from_uri(path)
 
 
-def normalise_file(source: str, target: str, level: int = 4) -> int:
+def normalise_file(source: str, target: str, level: int = 6) -> int:
     """Rewrite a monolithic archive with a member per record; returns the number of records. One record is in memory at a time.
 
     The index goes to ``target + '.idx'``, a tab-separated line (record id, offset, length) per record. Paths are local ones or URIs of a store that Arrow knows.
@@ -168,7 +168,7 @@ def write_archives(rows: DataFrame, folder: str, archive_bytes: int = 4 << 20) -
             for row in zip(*(batch.column(k) for k in range(5)), strict=True):
                 if open_one is None:
                     name = f"pages-{part:06d}-{count:06d}-{uuid.uuid4().hex[:8]}.warc.gz"
-                    open_one = [name, store.open_output_stream(f"{path}/{name}", compression=None), zlib.compressobj(1, wbits=31), 0]
+                    open_one = [name, store.open_output_stream(f"{path}/{name}", compression=None), zlib.compressobj(6, wbits=31), 0]
                 data = record(*(x.as_py() for x in row))
                 open_one[1].write(open_one[2].compress(data))
                 open_one[3] += len(data)
