@@ -24,6 +24,12 @@ def l2(a: Column, b: Column) -> Column:
     return F.sqrt(F.aggregate(F.zip_with(a, b, lambda x, y: (x.cast("double") - y.cast("double")) * (x.cast("double") - y.cast("double"))), F.lit(0.0), lambda s, x: s + x))
 
 
+def vector_sum(df: DataFrame, keys: list[str], vector: str, out: str) -> DataFrame:
+    """Element-wise sum of a group, partially aggregated by position."""
+    cells = df.select(*keys, F.posexplode(vector).alias("pos", "v")).groupBy(*keys, "pos").agg(F.sum(F.col("v").cast("double")).alias("m"))
+    return cells.groupBy(*keys).agg(F.transform(F.sort_array(F.collect_list(F.struct("pos", "m"))), lambda x: x["m"]).alias(out))
+
+
 def vector_mean(df: DataFrame, keys: list[str], vector: str, out: str) -> DataFrame:
     """Element-wise mean of a group: positions are exploded and aggregated partially, so no group is gathered in one task."""
     cells = df.select(*keys, F.posexplode(vector).alias("pos", "v")).groupBy(*keys, "pos").agg(F.avg(F.col("v").cast("double")).alias("m"))

@@ -25,7 +25,7 @@ def base_of(kind: str, source: str, target: str) -> str:
     return "HOLO" if kind == "HOLO" else f"SINGLE:{target}" if kind == "SINGLE" else "PAIR:" + "+".join(sorted((source, target)))
 
 
-class _Folds:
+class Folds:
     """Models of one base name, ready to run: for each run the outputs of a target schema, averaged over folds."""
 
     def __init__(self, rows: list[dict]):
@@ -43,7 +43,7 @@ class _Folds:
             yield run, tables, total / n
 
 
-def _answers(models: dict[str, _Folds], kind: str, asked: dict[str, list[str]], columns: pa.Table) -> Iterator[pa.RecordBatch]:
+def _answers(models: dict[str, Folds], kind: str, asked: dict[str, list[str]], columns: pa.Table) -> Iterator[pa.RecordBatch]:
     names = ["run", "source_schema", "column_id", "target_schema", "table_id", "p"]
     flat = columns.column("x").combine_chunks()
     x = np.asarray(flat.flatten(), float).reshape(len(columns), -1)
@@ -72,7 +72,7 @@ def scores(columns: DataFrame, models: DataFrame, kind: str, pairs: DataFrame, *
         grouped: dict[str, list[dict]] = {}
         for r in models.select("base", "run", "fold", "dims", "outputs", "weights").collect():  # checked above
             grouped.setdefault(r["base"], []).append(r.asDict())
-        shared = columns.sparkSession.sparkContext.broadcast({base: _Folds(rows) for base, rows in grouped.items()})
+        shared = columns.sparkSession.sparkContext.broadcast({base: Folds(rows) for base, rows in grouped.items()})
 
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for batch in batches:
@@ -88,7 +88,7 @@ def scores(columns: DataFrame, models: DataFrame, kind: str, pairs: DataFrame, *
     def forward(key: tuple, cols: pa.Table, rows: pa.Table) -> pa.Table:
         found = []
         if len(cols) and len(rows):
-            models = {key[0].as_py(): _Folds(rows.to_pylist())}
+            models = {key[0].as_py(): Folds(rows.to_pylist())}
             for target in cols.column("target_schema").unique().to_pylist():
                 part = cols.filter(pa.compute.equal(cols.column("target_schema"), target))
                 found += _answers(models, kind, {s: [target] for s in asked}, part)

@@ -15,7 +15,9 @@ from ..plans.cut import cut
 from .mlp import Adam, Mlp, TrainConfig
 
 KINDS = ("SINGLE", "PAIR", "HOLO")
-MODEL = "model_id string, fold int, run int, dims array<int>, outputs array<string>, weights binary, score double"
+MODEL = "model_id string, fold int, run int, dims array<int>, outputs array<string>, weights binary, score double, recalls array<double>"
+#: Cutoffs t of the validation recalls.
+VALIDATION = (1, 2, 3, 4, 5)
 
 
 def specs(kind: str, schemas: list[str]) -> dict[str, tuple[str, ...]]:
@@ -52,6 +54,13 @@ def matrices(rows: pd.DataFrame, outputs: list[str]) -> tuple[np.ndarray, np.nda
     return np.array(rows["x"].tolist(), float).reshape(len(rows), -1), y, mask
 
 
+def validation(p: np.ndarray, mask: np.ndarray, origin: np.ndarray) -> list[float]:
+    """Share of held-out rows whose origin table is among the first t of their own schema's outputs, for each t of ``VALIDATION``; ties by output."""
+    order = np.argsort(-np.where(mask > 0, p, -1.0), axis=1, kind="stable")
+    place = (order == origin[:, None]).argmax(1)
+    return [float(np.mean(place < t)) for t in VALIDATION]
+
+
 def train(rac: DataFrame, tables: DataFrame, kind: str, *, config: TrainConfig = TrainConfig(), runs: int = 1, group_by_column: bool = False, tag: str = "") -> DataFrame:
     """A row per trained model: MODEL. ``rac``: schema_id, view_id, column_id, origin_table, x, y; ``tables``: schema_id, table_id (metadata, read on the driver).
 
@@ -75,11 +84,11 @@ def train(rac: DataFrame, tables: DataFrame, kind: str, *, config: TrainConfig =
         seed = zlib.crc32(f"{model}|{fold}|{run}".encode())
         other = matrices(held, own) if len(held) else None
         net = Mlp(dims, seed).fit(*x_y_m, config, seed, other)
-        score = 0.0
+        recalls = [0.0] * len(VALIDATION)
         if other is not None:
-            p = net.forward(other[0])[0] * other[2]
-            score = float(np.mean([own[i] == f"{s}.{t}" for i, s, t in zip(p.argmax(1), held["schema_id"], held["origin_table"], strict=True)]))
-        return pd.DataFrame({"model_id": [model], "fold": [fold], "run": [run], "dims": [list(dims)], "outputs": [own], "weights": [net.to_bytes()], "score": [score]})
+            origin = np.array([own.index(f"{s}.{t}") for s, t in zip(held["schema_id"], held["origin_table"], strict=True)])
+            recalls = validation(net.forward(other[0])[0], other[2], origin)
+        return pd.DataFrame({"model_id": [model], "fold": [fold], "run": [run], "dims": [list(dims)], "outputs": [own], "weights": [net.to_bytes()], "score": [recalls[0]], "recalls": [recalls]})
 
     return tasks.join(rows, "schema_id").groupBy("model_id", "task_fold", "run").applyInPandas(fit, MODEL)
 

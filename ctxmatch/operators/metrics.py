@@ -91,9 +91,22 @@ def break_even_t(results: DataFrame, by: list[str]) -> DataFrame:
     return below.groupBy(*by).agg((F.coalesce(F.max("bad"), F.lit(0)) + 1).cast("int").alias("t"))
 
 
-def kind_effect(recalls: DataFrame, shares: DataFrame) -> DataFrame:
-    """Correlation over scenarios between the share of direct matches and ``value``; both keyed by ``scenario``."""
-    return recalls.join(shares, "scenario").agg(F.round(F.corr("direct_share", "value"), 6).alias("correlation"))
+def kind_effect(values: DataFrame, shares: DataFrame, by: tuple[str, ...] = ()) -> DataFrame:
+    """Correlation over scenarios between the ``share`` of a kind of matches and ``value``; both keyed by ``scenario``."""
+    return values.join(shares, "scenario").groupBy(*by).agg(F.round(F.corr("share", "value"), 6).alias("correlation"))
+
+
+def only_constrained(results: DataFrame, by: list[str]) -> DataFrame:
+    """Rows of ``by`` (which tells k) with full recall at some t though the full search, the value at the largest t, has not; ``t``: the smallest such."""
+    rows = results.groupBy(*by).agg(F.max_by("value", "t").alias("full"), F.min(F.when(F.col("value") >= 1, F.col("t"))).alias("t"))
+    return rows.filter((F.col("full") < 1) & F.col("t").isNotNull()).drop("full")
+
+
+def column_reduction(ranked: DataFrame, widths: DataFrame, ts: list[int]) -> DataFrame:
+    """target_schema, t, reduction: the share of the target's columns outside the first t tables, mean over the query columns. ``widths``: target_schema, table_id, n_cols."""
+    total = widths.groupBy("target_schema").agg(F.sum("n_cols").alias("total"))
+    per = _cuts(ranked.join(widths, ["target_schema", "table_id"]), ts, "t").groupBy("column_id", "target_schema", "t").agg(F.sum(F.when(F.col("rank") <= F.col("t"), F.col("n_cols")).otherwise(0)).alias("kept"), F.count("*").alias("tables"))
+    return per.filter("t <= tables").join(total, "target_schema").groupBy("target_schema", "t").agg(F.round(F.avg(1 - F.col("kept") / F.col("total")), 6).alias("reduction"))
 
 
 def sparsity(labels: DataFrame, tables: DataFrame) -> DataFrame:

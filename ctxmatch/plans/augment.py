@@ -33,11 +33,12 @@ def context(views: DataFrame, cat: Catalog) -> DataFrame:
     return gathered.select("schema_id", "view_id", outside("w").alias("weak"), outside("s").alias("strong"))
 
 
-def build(cat: Catalog, *, mode: str = "directed", d_max: int = 2, decay: float = 0.5, kind: str = "REF", options: serialize.Options | None = None, encoder=None) -> DataFrame:
-    """Augmented columns with ``text``, soft labels ``y`` and, given an encoder, the vector ``x``. ``d_max=1``: the original columns."""
+def build(cat: Catalog, *, mode: str = "directed", d_max: int = 2, decay: float = 0.5, kind: str = "REF", options: serialize.Options | None = None, encoder=None, label: str = "soft") -> DataFrame:
+    """Augmented columns with ``text``, labels ``y`` (``soft``, ``onehot`` or ``multihot``) and, given an encoder, the vector ``x``. ``d_max=1``: the original columns."""
     found = paths.views(graph.edges(cat, mode), cat.tables, d_max)
     rows = expand(found, cat).join(context(found, cat), ["schema_id", "view_id"])
-    rows = rows.withColumn("text", serialize.column(kind, options or serialize.Options())).withColumn("y", labels.soft(F.col("path"), F.col("position"), decay))
+    rows = rows.withColumn("text", serialize.column(kind, options or serialize.Options()))
+    rows = rows.withColumn("y", labels.soft(F.col("path"), F.col("position"), decay) if label == "soft" else labels.onehot(F.col("path"), F.col("position")) if label == "onehot" else labels.multihot(F.col("path")))
     return encoder.transform(rows, "text", "x") if encoder is not None else rows
 
 

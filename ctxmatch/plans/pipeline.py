@@ -24,9 +24,9 @@ def default_t(k: int) -> int:
     return 2 if k <= 2 else 3 if k <= 3 else 4 if k <= 10 else 5
 
 
-def learn(cat: Catalog, kind: str, depth: int, *, config: TrainConfig = QUICK, encoder: Encoder | None = None, table_ser: str = "REF", runs: int = 1, decay: float = 0.5, mode: str = "directed") -> DataFrame:
-    rac = augment.build(cat, mode=mode, d_max=depth, decay=decay, kind=table_ser, encoder=encoder or HashedNgram(256))
-    return cut(train.train(rac, cat.tables, kind, config=config, runs=runs))
+def learn(cat: Catalog, kind: str, depth: int, *, config: TrainConfig = QUICK, encoder: Encoder | None = None, table_ser: str = "REF", runs: int = 1, decay: float = 0.5, mode: str = "directed", label: str = "soft") -> DataFrame:
+    rac = augment.build(cat, mode=mode, d_max=depth, decay=decay, kind=table_ser, encoder=encoder or HashedNgram(256), label=label)
+    return cut(train.train(cut(rac), cat.tables, kind, config=config, runs=runs))
 
 
 def predict_tables(cat: Catalog, models: DataFrame, kind: str, *, encoder: Encoder | None = None, table_ser: str = "REF", schemas: tuple[str, ...] | None = None) -> DataFrame:

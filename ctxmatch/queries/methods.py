@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from itertools import combinations
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -9,7 +11,7 @@ from ..functions import encode, labels, losses, vectors
 from ..operators import baseline, block, match, metrics
 from ..plans import augment, graph, paths, serialize
 from ..plans.cut import cut
-from ..sources import catalog, scenarios
+from ..sources import catalog, profile, scenarios
 from ..sources.scenarios import LARGE, MINI, RESIDUE, SCENARIO, SPECS
 from . import query, sql
 
@@ -54,54 +56,59 @@ def catalog_valid_refs(spark, sf_dir):
     return all_five(spark).refs
 
 
-def _profile_sql(pairs: list[tuple[str, str]]) -> str:
-    return " UNION ALL ".join(f"SELECT '{t}' AS table_id, '{c}' AS column_name, count({c}) AS n_rows, count(DISTINCT {c}) AS n_distinct, count(*) = count(DISTINCT {c}) AS is_key FROM {t}" for t, c in pairs)
+def _given(spark, sf_dir, names) -> dict[str, DataFrame]:
+    return {t: spark.read.parquet(f"{sf_dir}/{t}.parquet") for t in names}
 
 
-PROFILED = {"region": ["r_regionkey", "r_name"], "nation": ["n_nationkey", "n_name", "n_regionkey"], "customer": ["c_custkey", "c_name", "c_nationkey", "c_mktsegment"], "orders": ["o_orderkey", "o_custkey", "o_orderstatus"], "lineitem": ["l_orderkey", "l_partkey", "l_suppkey"]}
+#: All columns of the retail tables.
+STAR = {t: [c for x, c, *_ in SPECS["star"].columns if x == t] for t in SPECS["star"].tables}
 
 
-@query(_profile_sql([(t, c) for t, cs in PROFILED.items() for c in cs]))
+@query(" UNION ALL ".join(f"SELECT '{t}' AS table_id, '{c}' AS column_name, count({c}) AS n_rows, count(DISTINCT {c}) AS n_distinct, count(*) = count(DISTINCT {c}) AS is_key FROM {t}" for t, cs in STAR.items() for c in cs))
 def profile_keys(spark, sf_dir):
     out = None
-    for t, cs in PROFILED.items():
-        rows = catalog_profile(spark.read.parquet(f"{sf_dir}/{t}.parquet").select(*cs), t)
+    for t, df in _given(spark, sf_dir, STAR).items():
+        rows = profile.unique_counts(df.select(*STAR[t]), t)
         out = rows if out is None else out.union(rows)
     return out
 
 
-def catalog_profile(df: DataFrame, table: str) -> DataFrame:
-    """table_id, column_name, n_rows, n_distinct, is_key: exact counts of all columns from one scan.
+def _pairs_sql() -> str:
+    single = " UNION ALL ".join(f"SELECT '{t}' AS t, '{c}' AS c, count(*) = count(DISTINCT {c}) AS k, count(*) = count({c}) AS whole FROM {t}" for t, cs in STAR.items() for c in cs)
+    double = " UNION ALL ".join(f"SELECT '{t}' AS t, '{x}' AS a, '{y}' AS b, count(*) = count(DISTINCT ({x}, {y})) AS k FROM {t}" for t, cs in STAR.items() for x, y in combinations(cs, 2))
+    return f"WITH s AS ({single}), d AS ({double}) SELECT t AS table_id, c AS columns, 1 AS arity FROM s WHERE k AND whole UNION ALL SELECT d.t, a || ',' || b, 2 FROM d JOIN s x ON x.t = d.t AND x.c = a AND x.whole AND NOT x.k JOIN s y ON y.t = d.t AND y.c = b AND y.whole AND NOT y.k WHERE d.k"
 
-    Cells are counted by (column, value), partially before the exchange, so no value's rows meet in one task and columns share the shuffle.
-    """
-    n = F.count("*").alias("_n")
-    cells = df.select(F.explode(F.array(*[F.struct(F.lit(c).alias("column_name"), F.col(c).cast("string").alias("v")) for c in df.columns])).alias("x")).select("x.*")
-    rows = cells.groupBy("column_name", "v").agg(n).groupBy("column_name").agg(F.sum("_n").alias("all_rows"), F.sum(F.when(F.col("v").isNotNull(), F.col("_n")).otherwise(0)).alias("n_rows"), F.count("v").alias("n_distinct"))
-    return rows.select(F.lit(table).alias("table_id"), "column_name", "n_rows", "n_distinct", (F.col("all_rows") == F.col("n_distinct")).alias("is_key"))
+
+@query(_pairs_sql())
+def profile_key_sets(spark, sf_dir):
+    """Minimal keys of one or two columns of the retail tables."""
+    out = None
+    for t, df in _given(spark, sf_dir, STAR).items():
+        rows = profile.candidate_keys(df.select(*STAR[t])).select(F.lit(t).alias("table_id"), F.array_join("columns", ",").alias("columns"), "arity")
+        out = rows if out is None else out.union(rows)
+    return out
 
 
 KEYS = [("nation", "n_nationkey"), ("region", "r_regionkey"), ("customer", "c_custkey"), ("orders", "o_orderkey"), ("supplier", "s_suppkey"), ("part", "p_partkey")]
 WEAK = [("nation", "n_regionkey"), ("customer", "c_nationkey"), ("supplier", "s_nationkey"), ("orders", "o_custkey"), ("lineitem", "l_orderkey"), ("lineitem", "l_partkey"), ("lineitem", "l_suppkey"), ("events", "user_id")]
 _INCLUSION = [(wt, wc, st, sc) for wt, wc in WEAK for st, sc in KEYS if wt != st]
+_WHOLE = [(t, c) for t, cs in STAR.items() for c in cs if next(x[3] for x in SPECS["star"].columns if x[0] == t and x[1] == c) in ("int", "bigint")] + [("events", "event_id"), ("events", "user_id")]
+
+
+def _orphans_sql(wt: str, wc: str, st: str, sc: str) -> str:
+    return f"(SELECT count(DISTINCT {wc}) FROM {wt} WHERE {wc} NOT IN (SELECT {sc} FROM {st}))"
 
 
-@query(" UNION ALL ".join(f"SELECT '{wt}' AS weak_table, '{wc}' AS weak_column, '{st}' AS strong_table, '{sc}' AS strong_column, (SELECT count(DISTINCT {wc}) FROM {wt} WHERE {wc} NOT IN (SELECT {sc} FROM {st})) AS orphans" for wt, wc, st, sc in _INCLUSION))
+@query(" UNION ALL ".join(f"SELECT '{wt}' AS weak_table, '{wc}' AS weak_column, '{st}' AS strong_table, '{sc}' AS strong_column, {_orphans_sql(wt, wc, st, sc)} AS orphans" for wt, wc, st, sc in _INCLUSION))
 def profile_inclusions(spark, sf_dir):
-    return inclusion_dependencies(spark, sf_dir, _INCLUSION)
+    return profile.orphans(_given(spark, sf_dir, {t for pair in _INCLUSION for t in pair[::2]}), _INCLUSION)
 
 
-def inclusion_dependencies(spark: SparkSession, sf_dir: str, pairs: list[tuple[str, str, str, str]]) -> DataFrame:
-    """weak/strong table and column, orphans: distinct weak values without a key. All pairs share one exchange: values are tagged by column and meet by value."""
-    columns = sorted({(wt, wc) for wt, wc, _, _ in pairs} | {(st, sc) for _, _, st, sc in pairs})
-    cells = None
-    for t, c in columns:
-        rows = spark.read.parquet(f"{sf_dir}/{t}.parquet").select(F.col(c).cast("long").alias("v")).filter("v is not null").distinct().select("v", F.lit(f"{t}.{c}").alias("owner"))
-        cells = rows if cells is None else cells.union(rows)
-    owners = cells.groupBy("v").agg(F.collect_set("owner").alias("owners"))  # at most as many as columns
-    listed = spark.createDataFrame(pairs, "weak_table string, weak_column string, strong_table string, strong_column string").withColumns({"w": F.concat_ws(".", "weak_table", "weak_column"), "s": F.concat_ws(".", "strong_table", "strong_column")})
-    missing = owners.select("owners", F.explode("owners").alias("w")).join(F.broadcast(listed.select("w", "s")), "w").filter(~F.array_contains("owners", F.col("s"))).groupBy("w", "s").agg(F.count("*").alias("orphans"))
-    return listed.join(missing, ["w", "s"], "left").select("weak_table", "weak_column", "strong_table", "strong_column", F.coalesce("orphans", F.lit(0)).cast("long").alias("orphans"))
+@query("SELECT weak_table, weak_column, strong_table, strong_column FROM (" + " UNION ALL ".join(f"SELECT '{wt}' AS weak_table, '{wc}' AS weak_column, '{st}' AS strong_table, '{sc}' AS strong_column, {_orphans_sql(wt, wc, st, sc)} AS orphans" for wt, wc in _WHOLE for st, sc in KEYS if wt != st) + ") WHERE orphans = 0")
+def profile_references(spark, sf_dir):
+    """Columns that could refer to a key: among all whole-numbered columns of the retail tables and the events."""
+    wanted = {t: [c for x, c in _WHOLE if x == t] for t in dict.fromkeys(t for t, _ in _WHOLE)}
+    return profile.references({t: df.select(*wanted[t]) for t, df in _given(spark, sf_dir, wanted).items()}, KEYS)
 
 
 def _samples(schema: str, table: str):
@@ -157,7 +164,7 @@ def views_undirected_dedup(spark, sf_dir):
 @query(f"WITH RECURSIVE {_ALL}, {sql.views_cte(4)} SELECT schema_id, len(path)::INT AS depth, count(*) AS pairs FROM views GROUP BY ALL")
 def view_estimate(spark, sf_dir):
     c = all_five(spark)
-    return paths.estimate(paths.views(graph.edges(c), c.tables, 4))
+    return paths.estimate(graph.edges(c), c.tables, 4)
 
 
 def _materialised(path: list[str]):
@@ -431,7 +438,7 @@ def truth_by_kind(spark, sf_dir):
 
 
 _TS = list(range(1, 16))
-_RECALL_T = (
+RECALL_T = (
     "found AS (SELECT m.*, s.rank FROM truth_tables m LEFT JOIN simdoc s USING (source_schema, column_id, target_schema, table_id)),"
     " recall AS (SELECT source_schema, target_schema, t.t::INT AS t, round(avg(CASE WHEN rank <= t.t THEN 1.0::DOUBLE ELSE 0 END), 6) AS recall FROM found JOIN range(1, 16) AS t(t) ON t.t <= (SELECT count(*) FROM tabs x WHERE x.schema_id = target_schema) GROUP BY ALL)"
 )
@@ -444,17 +451,17 @@ def simdoc_recall(spark) -> DataFrame:
     return rows.join(F.broadcast(cat.tables.groupBy(F.col("schema_id").alias("target_schema")).agg(F.count("*").alias("n"))), "target_schema").filter("t <= n").drop("n")
 
 
-@query(f"{_SIM}, {sql.TRUTH}, {_RECALL_T} SELECT * FROM recall")
+@query(f"{_SIM}, {sql.TRUTH}, {RECALL_T} SELECT * FROM recall")
 def recall_at_t(spark, sf_dir):
     return simdoc_recall(spark).select("source_schema", "target_schema", "t", "recall")
 
 
-@query(f"{_SIM}, {sql.TRUTH}, {_RECALL_T} SELECT source_schema, target_schema, min(CASE WHEN recall >= 1 THEN t END) AS full_t FROM recall GROUP BY ALL")
+@query(f"{_SIM}, {sql.TRUTH}, {RECALL_T} SELECT source_schema, target_schema, min(CASE WHEN recall >= 1 THEN t END) AS full_t FROM recall GROUP BY ALL")
 def full_recall_t(spark, sf_dir):
     return metrics.full_recall_t(simdoc_recall(spark), ["source_schema", "target_schema"])
 
 
-@query(f"{_SIM}, {sql.TRUTH}, {_RECALL_T} SELECT g.g AS \"group\", 'SIMDOC' AS model, t, round(avg(recall), 6) AS value FROM recall JOIN (VALUES ('all'), ('target is large'), ('target is not large')) AS g(g) ON g.g = 'all' OR (g.g = 'target is large') = (target_schema = '{LARGE}') GROUP BY ALL")
+@query(f"{_SIM}, {sql.TRUTH}, {RECALL_T} SELECT g.g AS \"group\", 'SIMDOC' AS model, t, round(avg(recall), 6) AS value FROM recall JOIN (VALUES ('all'), ('target is large'), ('target is not large')) AS g(g) ON g.g = 'all' OR (g.g = 'target is large') = (target_schema = '{LARGE}') GROUP BY ALL")
 def group_means(spark, sf_dir):
     rows = simdoc_recall(spark).select(F.concat_ws("-", "source_schema", "target_schema").alias("scenario"), F.col("target_schema").alias("target"), F.lit("SIMDOC").alias("model"), "t", F.col("recall").alias("value"))
     return metrics.group_means(rows, LARGE)

@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window as W
 
-from ..functions.vectors import dot, norm, vector_mean
+from ..functions.vectors import dot, norm, vector_mean, vector_sum
 from ..operators import joins
 from ..sources import io
 from . import query
@@ -595,7 +595,12 @@ def str_ngrams(spark, sf_dir):
     return t(spark, sf_dir, "nation").select("n_nationkey", F.explode(F.transform(F.sequence(F.lit(1), F.length("n_name") - 2), lambda i: F.substring("n_name", i, F.lit(3)))).alias("g"))
 
 
-@query()
+_CODES = "translate(regexp_replace(upper(n_name), '[^A-Z]', 'A', 'g'), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', '01230127022455012623017202')"
+for _d in "112233445566":
+    _CODES = f"replace({_CODES if _CODES.startswith('replace(replace(') else 'replace(' + _CODES + ", '7', '')"}, '{_d}{_d}', '{_d}')"
+
+
+@query(f"SELECT n_nationkey, upper(n_name)[1] || rpad(substr(replace(substr(replace({_CODES}, '00', '0'), 2), '0', ''), 1, 3), 3, '0') AS s FROM nation")
 def str_soundex(spark, sf_dir):
     return t(spark, sf_dir, "nation").select("n_nationkey", F.soundex("n_name").alias("s"))
 
@@ -650,6 +655,41 @@ def udtf_shortest_views(spark, sf_dir):
     return spark.sql("SELECT path, n_tables FROM shortest_views('region>nation,nation>customer,customer>orders', 3)")
 
 
+@query("SELECT round(sum(0.9 * y * pow(1 - p, 2) * -ln(p) + 0.1 * (1 - y) * pow(p, 2) * -ln(1 - p)), 5) AS focal, round(sum(exp(-0.5::DOUBLE * quality)), 5) AS soft FROM (SELECT ((doc_id * 37) % 100 + 0.5::DOUBLE) / 100 AS p, toxic::DOUBLE AS y, quality FROM labels)")
+def udf_focal_soft(spark, sf_dir):
+    from ..functions.registered import register
+
+    register(spark)
+    t(spark, sf_dir, "labels").createOrReplaceTempView("labels")
+    return spark.sql("SELECT round(sum(focal_term(p, y)), 5) AS focal, round(sum(soft_label(quality, 0.5D)), 5) AS soft FROM (SELECT ((doc_id * 37) % 100 + 0.5D) / 100 AS p, cast(toxic AS double) AS y, cast(quality AS double) AS quality FROM labels)")
+
+
+_BY_LABEL = "SELECT label, pos::INT AS pos, round({}(v), 5) AS m FROM (SELECT label, unnest(embedding)::DOUBLE AS v, generate_subscripts(embedding, 1) - 1 AS pos FROM embeddings) GROUP BY label, pos"
+
+
+def _by_label(spark, sf_dir, name: str):
+    from ..functions.registered import register
+
+    register(spark)
+    t(spark, sf_dir, "embeddings").createOrReplaceTempView("embeddings")
+    return spark.sql(f"SELECT label, pos, round(m, 5) AS m FROM (SELECT label, {name}(embedding) AS x FROM embeddings GROUP BY label) LATERAL VIEW posexplode(x) AS pos, m")
+
+
+@query(_BY_LABEL.format("sum"))
+def udaf_vector_sum(spark, sf_dir):
+    return _by_label(spark, sf_dir, "vector_sum")
+
+
+@query(_BY_LABEL.format("avg"))
+def udaf_vector_mean(spark, sf_dir):
+    return _by_label(spark, sf_dir, "vector_mean")
+
+
+@query(_BY_LABEL.format("sum"))
+def agg_vector_sum(spark, sf_dir):
+    return vector_sum(t(spark, sf_dir, "embeddings"), ["label"], "embedding", "x").select("label", F.posexplode("x").alias("pos", "m")).withColumn("m", r("m", 5))
+
+
 @query("SELECT user_id, round(sum(h / rk * rel) / sum(rel), 6) AS ap FROM (SELECT user_id, rk, rel, sum(rel) OVER (PARTITION BY user_id ORDER BY rk) AS h FROM (SELECT user_id, row_number() OVER (PARTITION BY user_id ORDER BY value DESC, event_id) AS rk, CASE WHEN event_type = 'purchase' THEN 1.0::DOUBLE ELSE 0 END AS rel FROM events)) GROUP BY 1 HAVING sum(rel) > 0")
 def udaf_average_precision(spark, sf_dir):
     from ..functions.registered import average_precision

@@ -5,6 +5,7 @@ from __future__ import annotations
 import uuid
 
 import pandas as pd
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupStateTimeout
 
@@ -43,16 +44,34 @@ def st_session(spark, sf_dir):
     return done.select("user_id", F.row_number().over(Window.partitionBy("user_id").orderBy("start")).cast("long").alias("session"), "n")
 
 
-@query()
+def late_events(spark, sf_dir) -> DataFrame:
+    """The events in two triggers, the last two days in the second, and in a third those of the first five days once more.
+
+    What is late is told by the watermark of the trigger before the last, so the last days come apart.
+    """
+    folder = f"{shared_dir(spark)}/late-{uuid.uuid4().hex}"
+    rows = spark.read.parquet(f"{sf_dir}/events.parquet").withColumn("ts", F.col("ts").cast("timestamp"))
+    spanned = rows.join(F.broadcast(rows.agg(F.min("ts").alias("t0"), F.max("ts").alias("t1"))))
+    recent = F.col("ts") >= F.col("t1") - F.expr("interval 2 days")
+    for part, wanted in enumerate((~recent, recent, F.col("ts") < F.col("t0") + F.expr("interval 5 days"))):
+        spanned.filter(wanted).select(*rows.columns).coalesce(1).write.parquet(f"{folder}/{part}")
+    return spark.readStream.schema(rows.schema).option("maxFilesPerTrigger", 1).option("recursiveFileLookup", "true").parquet(folder)
+
+
+def closed_days(spark, sf_dir, seen: list | None = None) -> DataFrame:
+    days = late_events(spark, sf_dir).withWatermark("ts", "1 day").groupBy(F.window("ts", "1 day").alias("w")).agg(F.count("*").alias("n"))
+    return finished(days.select(F.to_date("w.start").alias("day"), "n"), "append", seen)
+
+
+@query("SELECT ts::DATE AS day, count(*) AS n FROM events GROUP BY 1 HAVING ts::DATE + INTERVAL 1 DAY <= (SELECT max(ts) - INTERVAL 1 DAY FROM events)")
 def st_watermark_late(spark, sf_dir):
-    """Windows that the watermark has closed."""
-    rows = _events(spark, sf_dir).withWatermark("ts", "1 day").groupBy(F.window("ts", "1 day").alias("w")).agg(F.count("*").alias("n"))
-    return finished(rows.select(F.to_date("w.start").alias("day"), "n"), "append")
+    """Days that the watermark has closed. The first days come a second time, too late: they are dropped, not counted twice."""
+    return closed_days(spark, sf_dir)
 
 
-@query()
+@query("SELECT DISTINCT user_id, event_type FROM events")
 def st_dedup(spark, sf_dir):
-    return finished(_events(spark, sf_dir).withWatermark("ts", "1 day").dropDuplicatesWithinWatermark(["user_id", "event_type"]).select("event_id", "user_id", "event_type"), "append")
+    return finished(_events(spark, sf_dir).withWatermark("ts", "1 day").dropDuplicatesWithinWatermark(["user_id", "event_type"]).select("user_id", "event_type"), "append")
 
 
 @query("SELECT c_mktsegment AS segment, count(*) AS n FROM events JOIN customer ON user_id = c_custkey GROUP BY 1")

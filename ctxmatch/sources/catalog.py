@@ -7,6 +7,7 @@ from dataclasses import dataclass
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
 from .scenarios import Schema, columns_of, derived_sql, order_of
 
@@ -88,12 +89,10 @@ def sample_rows(df: DataFrame, schema: str, table: str, residue: int | None, k:
         df = df.filter(F.col("_key").isNull() | (F.col("_key") % 4 == residue))
     order = order_of(schema, table)
     cols = columns_of(schema, table)
-    top = df.orderBy(*[F.col(c).asc_nulls_last() for c in order]).limit(k)
-    structs = [F.struct(F.lit(f"{schema}.{table}.{c}").alias("column_id"), shown(F.col(c), t).alias("value")) for c, t in cols]
-    rows = top.select(F.struct(*order).alias("_order"), F.inline(F.array(*structs)))
-    # at most k rows for each column are left, so ranking them is cheap
-    ranked = rows.groupBy("column_id").agg(F.sort_array(F.collect_list(F.struct("_order", "value"))).alias("v"))
-    return ranked.select("column_id", F.posexplode("v").alias("pos", "v")).select("column_id", (F.col("pos") + 1).alias("pos"), "v.value")
+    by = [F.col(c).asc_nulls_last() for c in order]
+    top = df.orderBy(*by).limit(k).withColumn("_pos", F.row_number().over(Window.orderBy(*by)))  # k rows, which the limit has already brought together
+    structs = [F.struct(F.lit(f"{schema}.{table}.{c}").alias("column_id"), F.col("_pos").alias("pos"), shown(F.col(c), t).alias("value")) for c, t in cols]
+    return top.select(F.inline(F.array(*structs)))
 
 
 def sample_values(spark: SparkSession, specs: list[Schema], residues: dict[str, int], k: int = 5) -> DataFrame:

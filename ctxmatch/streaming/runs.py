@@ -18,13 +18,19 @@ def replay(spark: SparkSession, sf_dir: str, table: str, time: str | None = None
     return rows.withColumn(time, F.col(time).cast("timestamp")) if time else rows
 
 
-def finished(stream: DataFrame, mode: str) -> DataFrame:
-    """All output of the stream. ``append`` goes to files in the shared folder; ``complete`` and ``update`` results (aggregates) to a table in memory."""
+def finished(stream: DataFrame, mode: str, seen: list | None = None) -> DataFrame:
+    """All output of the stream. ``append`` goes to files in the shared folder; ``complete`` and ``update`` results (aggregates) to a table in memory.
+
+    ``seen`` gets the progress of every trigger: rows read, rows dropped as late by the watermark, rows of state.
+    """
     spark, tag = stream.sparkSession, uuid.uuid4().hex
     writer = stream.writeStream.outputMode(mode).trigger(availableNow=True).option("checkpointLocation", f"{shared_dir(spark)}/stream-{tag}")
     if mode == "append":
         path = f"{shared_dir(spark)}/stream-out-{tag}"
-        writer.format("parquet").option("path", path).start().awaitTermination()
+        running = writer.format("parquet").option("path", path).start()
+        running.awaitTermination()
+        if seen is not None:
+            seen += [{"rows": p.numInputRows, "late": sum(s.numRowsDroppedByWatermark for s in p.stateOperators), "state": sum(s.numRowsTotal for s in p.stateOperators)} for p in running.recentProgress]
         return spark.read.schema(stream.schema).parquet(path)
     writer.format("memory").queryName(f"s{tag}").start().awaitTermination()
     return spark.table(f"s{tag}")

@@ -11,9 +11,9 @@ from pyspark.sql import functions as F
 
 from ctxmatch.functions import encode, labels
 from ctxmatch.models import mlp, predict, train
-from ctxmatch.operators import block, metrics
+from ctxmatch.operators import block, match, metrics
 from ctxmatch.plans import augment, graph, paths, pipeline, serialize
-from ctxmatch.sources import catalog
+from ctxmatch.sources import catalog, io
 from ctxmatch.sources.scenarios import MINI, SCENARIO, SPECS, TPCH, Schema, truth
 
 
@@ -107,8 +107,14 @@ def brute_views(tables, links, d_max):
 def test_views_equal_breadth_first_search(spark, links, d_max):
     s = Schema("g", {x: x for x in "abcde"}, [(x, f"{x}1", 1, "int", True, None, "") for x in "abcde"], [(a, f"{a}1", b, f"{b}1") for a, b in links])
     c = catalog.load(spark, [s])
-    got = sorted(list(r.path) for r in paths.views(graph.edges(c), c.tables, d_max).collect())
-    assert got == brute_views("abcde", {(a, b) for a, b in links if a != b}, d_max)
+    want = brute_views("abcde", {(a, b) for a, b in links if a != b}, d_max)
+    for how in ("group", "join"):
+        assert sorted(list(r.path) for r in paths.views(graph.edges(c), c.tables, d_max, how=how).collect()) == want
+    every = [sorted(list(r.path) for r in paths.views(graph.edges(c), c.tables, d_max, how=how, ties="all").collect()) for how in ("group", "join")]
+    assert every[0] == every[1]
+    counted = {r.depth: r.pairs for r in paths.estimate(graph.edges(c), c.tables, d_max).collect()}
+    assert counted == {d: sum(len(p) == d for p in want) for d in {len(p) for p in want}}
+    assert sum(r.pairs for r in paths.estimate(graph.edges(c), c.tables, d_max, budget=4).collect()) == counted[1] == 5
 
 
 def test_encoders(spark):
@@ -299,3 +305,52 @@ def test_break_even_and_group_means(spark):
     carried = {(r.group, r.t): r.value for r in metrics.group_means(res, "b", "carry_forward").collect()}
     assert carried["all", 2] == 0.9
     assert [pipeline.default_t(k) for k in (1, 3, 10, 20)] == [2, 3, 4, 5]
+
+
+def test_late_rows_are_dropped_and_counted(spark):
+    from ctxmatch.queries.streams import closed_days
+
+    seen = []
+    days = {str(r.day): r.n for r in closed_days(spark, "/root/testdata/sf0.001", seen).collect()}
+    events = spark.read.parquet("/root/testdata/sf0.001/events.parquet").groupBy(F.to_date("ts").alias("d")).count().collect()
+    assert days == {str(r.d): r["count"] for r in events if str(r.d) in days} and len(days) >= 25
+    assert sum(p["late"] for p in seen) >= 5 and sum(p["rows"] for p in seen) > sum(r["count"] for r in events)
+
+
+def test_registered_matcher_equals_the_pipeline(spark):
+    from ctxmatch.functions.registered import register, register_matcher
+    from ctxmatch.queries.methods import valued
+
+    cat, encoder = valued(spark, "/root/testdata/sf0.001"), encode.HashedNgram(256)
+    models = pipeline.learn(cat, "HOLO", 1, config=replace(pipeline.QUICK, epochs=2))
+    register(spark)
+    register_matcher(spark, cat, models, "HOLO", encoder=encoder)
+    tables = pipeline.predict_tables(cat, models, "HOLO")
+    near = tables.filter("rank <= 3").select("column_id", "target_schema", "table_id")
+    want = block.ranked(pipeline.column_cosines(cat, near), ["column_id", "target_schema"], [F.col("cosine").desc(), F.col("target_column")], 5).filter("source_schema = 'star' AND target_schema = 'desk'")
+    key = lambda df: sorted((r.column_id, r.target_column, round(r.cosine, 5), r["rank"]) for r in df.collect())
+    assert key(spark.sql("SELECT * FROM match_schemas('star', 'desk', 3, 5)")) == key(want)
+    text = augment.build(cat, d_max=1, kind="REF").filter("column_id = 'star.customer.c_name'").first().text
+    got = {r.table_id: (r["rank"], r.p) for r in spark.sql("SELECT * FROM candidate_tables(:text, 'rental')", args={"text": text}).collect()}
+    assert got == {r.table_id: (r["rank"], r.p) for r in tables.filter("column_id = 'star.customer.c_name' AND target_schema = 'rental'").collect()}
+
+
+def test_explanations_link_suggestion_and_match(spark):
+    cat = catalog.load(spark, [SPECS["rental"]])
+    links = paths.views(graph.edges(cat, "undirected"), cat.tables, 8)
+    matches = spark.createDataFrame([("star.region.r_name>rental", "rental.continents.continent_name", 0.9)], "query string, target string, cosine double")
+    tables = spark.createDataFrame([("star.region.r_name>rental", 1, "members", 0.8), ("star.region.r_name>rental", 2, "continents", 0.3)], "query string, rank int, table_id string, p double")
+    row = match.explain(matches, tables, links).first()
+    assert row.within and row.link == "members>outlets>countries>continents" and [s.p for s in row.suggested] == [0.8, 0.3]
+
+
+def test_results_survive_a_sink(spark, tmp_path):
+    rows = spark.createDataFrame([("a", "a.t.x", "b", "b.u.y", 0.5, 1)], "source_schema string, column_id string, target_schema string, target_column string, cosine double, rank int")
+    io.save_matches(rows, str(tmp_path / "m"))
+    assert sorted(spark.read.parquet(str(tmp_path / "m")).select(*rows.columns).collect()) == rows.collect()
+
+
+def test_external_encoder_is_loaded_once_per_worker(spark):
+    df = spark.createDataFrame([(1, "ab"), (2, None)], "id long, text string")
+    x = {r.id: list(r.x) for r in encode.ExternalModel(lambda: lambda texts: [[len(t), 1.0] for t in texts], 2).transform(df, "text", "x").collect()}
+    assert x == {1: [2.0, 1.0], 2: [0.0, 1.0]}
