@@ -23,11 +23,5 @@ def onehot(path: Column, position: Column) -> Column:
     return F.map_from_arrays(F.array(F.element_at(path, position + 1)), F.array(F.lit(1.0)))
 
 
-def by_hops(rac: DataFrame, hops: DataFrame, decay: float = 0.5) -> DataFrame:
-    """view_id, column_id, table_id, weight with the undirected hop count (schema_id, src, dst, n_tables of undirected views) as the distance."""
-    rows = rac.select("schema_id", "view_id", "column_id", F.col("origin_table").alias("src"), F.explode("path").alias("dst"))
-    return rows.join(hops, ["schema_id", "src", "dst"]).select("schema_id", "view_id", "column_id", F.col("dst").alias("table_id"), F.exp(-F.lit(decay) * (F.col("n_tables") - 1)).alias("weight"))
-
-
 def weight(distance: int, decay: float = 0.5) -> float:
     return math.exp(-decay * distance)

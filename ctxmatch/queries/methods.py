@@ -216,6 +216,12 @@ for _kind in serialize.KINDS:
     )(lambda spark, sf_dir, k=_kind: augment.build(valued(spark, sf_dir) if k != "META" else four(spark), d_max=2, kind=k).select("schema_id", "view_id", "column_id", "text"))
 
 
+@query(f"{_RECURSIVE_FOUR}, {sql.views_cte(1)}, {sql.RAC} SELECT column_id, array_to_string(string_split(column_name || ' ' || view_name || ' ' || dtype || ' ' || coalesce(con, ''), ' ')[1:3], ' ') AS text FROM rac")
+def ser_options(spark, sf_dir):
+    """Sentences without words that name their parts, without marks, cut after three tokens."""
+    return augment.build(four(spark), d_max=1, kind="META", options=serialize.Options(anchors=False, marks=False, tokens=3)).select("column_id", "text")
+
+
 @query(f"WITH {_ALL}, {sql.TABDOC} SELECT * FROM tabdoc")
 def ser_tabdoc(spark, sf_dir):
     return serialize.table(all_five(spark))
@@ -386,6 +392,22 @@ def vector_recall_map(spark, sf_dir):
     return metrics.recall_at(found, truth, K_GRID, cutoff="k", **how).join(metrics.map_at(found, truth, K_GRID, **how), ["g", "k"]).select("k", "recall", "map")
 
 
+@query(
+    f"WITH {_PAIRS}, {_L2}, {_REL}, h AS (SELECT r.query, r.n, k.k, count(x.rank) AS got, min(x.rank) AS first FROM rel r CROSS JOIN {_KS} LEFT JOIN (SELECT * FROM ranked WHERE ql = tl) x ON x.query = r.query AND x.rank <= k.k GROUP BY ALL)"
+    " SELECT k::INT AS k, round(avg(got / k), 6) AS precision, round(avg(2 * got / (k + n)), 6) AS f1, round(avg(coalesce(1 / first, 0)), 6) AS mrr FROM h GROUP BY k"
+)
+def vector_precision_f1_mrr(spark, sf_dir):
+    found = block.knn(*_sides(spark, sf_dir), 20).withColumn("g", F.lit(1))
+    return metrics.precision_f1_mrr(found, _vector_truth(spark, sf_dir), K_GRID, query="query", item="neighbour", by=["g"], cutoff="k").drop("g")
+
+
+@query(f"WITH {_PAIRS} SELECT query, neighbour AS target, c AS cosine, row_number() OVER (PARTITION BY query ORDER BY c DESC, neighbour)::INT AS rank FROM (SELECT *, round(list_cosine_similarity(qx, tx), 6) AS c FROM pair WHERE ql = tl)")
+def cosine_ranking(spark, sf_dir):
+    """Candidates of the query's own label ranked by cosine."""
+    src, tgt = _sides(spark, sf_dir)
+    return match.cosine(src.withColumnRenamed("x", "x_src").join(tgt.select(F.col("neighbour").alias("target"), F.col("x").alias("x_tgt"), "label"), "label"))
+
+
 @query(
     f"WITH {_PAIRS}, {_CENTROIDS}, {_REL}, got AS (SELECT g.t, p.query, p.ql = p.tl AS good, row_number() OVER (PARTITION BY g.t, p.query ORDER BY round(list_distance(qx, tx), 6), p.neighbour) AS rank FROM (VALUES (1), (2), (3), (5), (10)) AS g(t) JOIN near n ON n.t <= g.t JOIN pair p ON p.query = n.query AND p.tl = n.table_id)"
     f" SELECT t::INT AS t, k.k::INT AS k, round(sum(CASE WHEN good AND rank <= k.k THEN 1 ELSE 0 END) / (SELECT sum(n) FROM rel), 6) AS recall FROM got CROSS JOIN {_KS} GROUP BY t, k.k"

@@ -354,3 +354,25 @@ def test_external_encoder_is_loaded_once_per_worker(spark):
     df = spark.createDataFrame([(1, "ab"), (2, None)], "id long, text string")
     x = {r.id: list(r.x) for r in encode.ExternalModel(lambda: lambda texts: [[len(t), 1.0] for t in texts], 2).transform(df, "text", "x").collect()}
     assert x == {1: [2.0, 1.0], 2: [0.0, 1.0]}
+
+
+def test_jdbc_catalog_reads_the_information_schema():
+    asked = {}
+
+    class Reader:
+        def format(self, name):
+            asked["format"] = name
+            return self
+
+        def options(self, **options):
+            asked.update(options)
+            return self
+
+        def load(self):
+            return "rows"
+
+    class Session:
+        read = Reader()
+
+    assert catalog.from_jdbc(Session(), "jdbc:postgresql://host/db", "retail", user="me") == "rows"
+    assert asked["format"] == "jdbc" and asked["url"] == "jdbc:postgresql://host/db" and asked["user"] == "me" and "table_schema = 'retail'" in asked["query"]
