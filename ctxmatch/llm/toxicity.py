@@ -37,13 +37,17 @@ INSULTS = frozenset(
 SECOND_PERSON = frozenset("you your youre tu te vous toi du dich dir ihr usted tú ti".split())
 WORD = re.compile(r"\w+")
 STEMS = (4, 5, 6, 7, 8)
-#: Patterns of abuse that need no lexicon: fixed values.
+#: Patterns of abuse that need no lexicon, each with words of which a text must hold one (none: any text with such a sign): fixed values.
 PATTERNS = {
-    "told off": re.compile(r"\b(shut up|get lost|go to hell|drop dead|screw you|hate you|ta gueule|ferme[- ]la|va te faire|halt die klappe|halt's maul|verpiss dich|cállate|vete a la|te odio)\b"),
-    "called names": re.compile(r"\b(you|you're|your|tu es|espèce de|du bist|ihr|eres|sois)\s+(\w+\s+)?(" + "|".join(sorted(INSULTS)) + r")\b"),
-    "masked": re.compile(r"\b[a-z]\*+[a-z]+\b|\b[a-z]{1,2}[@#$]{2,}[a-z]+\b"),
-    "wished away": re.compile(r"\b(people|women|men|they|you|all)\s+(like\s+you\s+)?(should|must|deserve\s+to)\s+(die|rot|suffer|disappear)\b"),
+    "told off": (
+        frozenset("shut lost hell dead screw hate gueule ferme foutre klappe maul verpiss cállate vete odio".split()),
+        re.compile(r"\b(shut up|get lost|go to hell|drop dead|screw you|hate you|ta gueule|ferme[- ]la|va te faire foutre|halt die klappe|halt's maul|verpiss dich|cállate|vete a la|te odio)\b"),
+    ),
+    "called names": (INSULTS, re.compile(r"\b(you|you're|your|tu es|espèce de|du bist|ihr|eres|sois)\s+(\w+\s+)?(" + "|".join(sorted(INSULTS)) + r")\b")),
+    "masked": (frozenset(), re.compile(r"\b[a-z]\*+[a-z]+\b|\b[a-z]{1,2}[@#$]{2,}[a-z]+\b")),
+    "wished away": (frozenset({"should", "must", "deserve"}), re.compile(r"\b(people|women|men|they|you|all)\s+(like\s+you\s+)?(should|must|deserve\s+to)\s+(die|rot|suffer|disappear)\b")),
 }
+SIGNS = re.compile(r"[*@#$][a-z]")
 VOTERS = ("public list", "mined words", "mined stems", "weak words", "two or more", "dense", "addressed", "repeated", *PATTERNS, "no sign")
 
 
@@ -135,7 +139,7 @@ class Lexicons:
         addressed = bool(strong) and any(w in SECOND_PERSON and any(x in strong for x in words[k + 1 : k + 4]) for k, w in enumerate(words))
         share = hits / len(words) if words else 0.0
         votes = [int(bool(public)), int(bool(mined)), int(bool(rooted)), int(bool(weak)), int(kinds >= 2), int(share > 0.004), int(addressed), int(hits >= 2)]
-        matched = [int(pattern.search(text) is not None) for pattern in PATTERNS.values()]
+        matched = [int((not found.isdisjoint(words) if words else SIGNS.search(text) is not None) and pattern.search(text) is not None) for words, pattern in PATTERNS.values()]
         votes += [*matched, -int(not kinds and not any(matched))]
         signs = [self.vocabulary[s] for s in [*((0, w) for w in mined | weak), *rooted]]
         return votes, signs, [min(share, 0.1) * 50, float(kinds > 0), math.log1p(kinds)]
