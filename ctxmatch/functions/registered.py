@@ -25,7 +25,7 @@ def encode_text(batches: Iterator[pd.Series]) -> Iterator[pd.Series]:
         yield pd.Series([vector(t or "") for t in texts])
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def average_precision(rank: pd.Series, relevant: pd.Series) -> float:
     """Grouped: of the ranked items of one query, over those that are relevant."""
     rows = pd.DataFrame({"rank": rank, "rel": relevant}).sort_values("rank")

@@ -9,7 +9,6 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.encode import HashedNgram
-from ..functions.registered import register, register_matcher, register_model
 from ..models import predict, train
 from ..models.mlp import Mlp
 from ..operators import baseline, block, match, metrics
@@ -89,12 +88,16 @@ def ensemble_mean(spark, sf_dir):
 @query(f"WITH {_forward_sql(3)} SELECT vec_id, (substr(table_id, 2)::INT) AS pos, p FROM out")
 def udf_mlp_score(spark, sf_dir):
     """The folds' mean as a SQL function of a vector."""
+    from ..functions.registered import register_model
+
     register_model(spark, _models(spark, 3))
     spark.read.parquet(f"{sf_dir}/embeddings.parquet").createOrReplaceTempView("embeddings")
     return spark.sql("SELECT vec_id, pos, round(p, 6) AS p FROM (SELECT vec_id, mlp_score(embedding) AS x FROM embeddings) LATERAL VIEW posexplode(x) AS pos, p")
 
 
 def _matcher(spark, sf_dir):
+    from ..functions.registered import register, register_matcher
+
     cat, encoder = valued(spark, sf_dir), HashedNgram(256)
     register(spark)
     register_matcher(spark, cat, pipeline.learn(cat, "HOLO", 2, encoder=encoder), "HOLO", encoder=encoder)
