@@ -25,6 +25,8 @@ from .common import text_of
 WHITE = "\t-\r \x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000"
 #: Pre-tokens remembered by a worker in each of two generations: what the younger one has not met again by the time it is full is forgotten.
 MEMO = 300_000
+#: Texts encoded before their ids are handed on.
+ROWS = 512
 
 
 def read_ranks(path: str) -> dict[bytes, int]:
@@ -173,7 +175,7 @@ def encode_documents(docs: DataFrame, vocabulary: str, pattern: str, *, with_ids
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         encoder = _worker_encoder(vocabulary, pattern, memo, ranks)
         digits = [str(i) for i in range(len(encoder.tokens))]
-        for batch in batches:
+        for batch in (whole.slice(k, ROWS) for whole in batches for k in range(0, whole.num_rows, ROWS)):
             counts, hashes, decoded, lists = [], [], [], []
             for text in batch.column(1).to_pylist():
                 ids = encoder.encode(text)
