@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -17,6 +17,8 @@ from ..functions import vectors
 BROADCAST_BYTES = 64 << 20
 #: Queries and targets of a tile, and cells of a distance matrix held at once.
 TILE, CELLS = (4096, 16384), 1 << 22
+#: Of the targets made into a function: which of them (columns) may be neighbours of some queries (rows).
+Pick = Callable[[np.ndarray], Callable[[np.ndarray], np.ndarray]]
 
 
 def ranked(pairs: DataFrame, by: list[str], order: list, k: int | None, name: str = "rank") -> DataFrame:
@@ -32,6 +34,10 @@ def knn(src: DataFrame, tgt: DataFrame, k: int | None, *, metric: str = "l2", di
     A query set of up to ``broadcast_bytes`` goes to the tasks, which multiply it with every batch of targets; a larger one is cut into blocks like the targets, and every
     pair of blocks meets in a task of its own. Either way a batch or tile sends on k rows a query (and value), and the engine merges these.
     """
+    return _search(src, tgt, k, metric, digits, across, broadcast_bytes)
+
+
+def _search(src: DataFrame, tgt: DataFrame, k: int | None, metric: str, digits: int, across: str | None, broadcast_bytes: int, pick: Pick | None = None) -> DataFrame:
     group = [across] if across else []
     src, tgt = (df.select(*group, name, F.col("x").cast("array<double>").alias("x")) for df, name in ((src, "query"), (tgt, "neighbour")))
     kinds = [f"{c} {tgt.schema[c].dataType.simpleString()}" for c in group] + [f"query {src.schema['query'].dataType.simpleString()}", f"neighbour {tgt.schema['neighbour'].dataType.simpleString()}", "dist double"]
@@ -41,7 +47,7 @@ def knn(src: DataFrame, tgt: DataFrame, k: int | None, *, metric: str = "l2", di
 
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for batch in batches:
-                yield from _nearest(shared.value, pa.Table.from_batches([batch]), k, metric, digits, across).to_batches()
+                yield from _nearest(shared.value, pa.Table.from_batches([batch]), k, metric, digits, across, pick).to_batches()
 
         pairs = tgt.mapInArrow(run, ", ".join(kinds))
     else:
@@ -51,7 +57,7 @@ def knn(src: DataFrame, tgt: DataFrame, k: int | None, *, metric: str = "l2", di
         right = dealt(tgt, "neighbour", "_t", blocks[1], "_q", blocks[0]).groupBy("_q", "_t")
 
         def tile(q: pa.Table, t: pa.Table) -> pa.Table:
-            return _nearest(q, t, k, metric, digits, across)
+            return _nearest(q, t, k, metric, digits, across, pick)
 
         pairs = left.cogroup(right).applyInArrow(tile, ", ".join(kinds))
     return ranked(pairs, [*group, "query"], [F.col("dist").asc() if metric == "l2" else F.col("dist").desc(), F.col("neighbour")], k)
@@ -63,7 +69,7 @@ def _matrix(table: pa.Table) -> np.ndarray:
     return np.asarray(x.flatten(), float).reshape(len(x), -1)
 
 
-def _nearest(q: pa.Table, t: pa.Table, k: int | None, metric: str, digits: int, across: str | None) -> pa.Table:
+def _nearest(q: pa.Table, t: pa.Table, k: int | None, metric: str, digits: int, across: str | None, pick: Pick | None = None) -> pa.Table:
     """The k best of the targets for every query (and value of ``across``): [across,] query, neighbour, dist."""
     names = [*([across] if across else []), "query", "neighbour", "dist"]
     parts = []
@@ -76,9 +82,9 @@ def _nearest(q: pa.Table, t: pa.Table, k: int | None, metric: str, digits: int,
                 own_t = t.filter(pa.compute.equal(t.column(across), value))
                 own_q = q.filter(pa.compute.not_equal(q.column(across), value))
             a, b = _matrix(own_q), _matrix(own_t)
-            step = max(1, CELLS // max(len(own_t), 1))
+            step, picked = max(1, CELLS // max(len(own_t), 1)), pick(b) if pick else None
             for i in range(0, len(own_q), step):
-                rows, cols, dist = _best(a[i : i + step], b, k, metric, digits)
+                rows, cols, dist = _best(a[i : i + step], b, k, metric, digits, picked(a[i : i + step]) if picked else None)
                 cells = [own_q.column("query").take(pa.array(rows + i)), own_t.column("neighbour").take(pa.array(cols)), pa.array(dist)]
                 parts.append(pa.table([*([pa.array([value.as_py()] * len(rows), t.schema.field(across).type)] if across else []), *cells], names=names))
     if parts:
@@ -87,20 +93,25 @@ def _nearest(q: pa.Table, t: pa.Table, k: int | None, metric: str, digits: int,
     return pa.table([pa.array([], x) for x in types], names=names)
 
 
-def _best(q: np.ndarray, t: np.ndarray, k: int | None, metric: str, digits: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(row of q, row of t, rounded distance) of the k best. A matrix product finds who can be among them, however many tie; they are then computed one by one."""
+def _best(q: np.ndarray, t: np.ndarray, k: int | None, metric: str, digits: int, among: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(row of q, row of t, rounded distance) of the k best, only ``among`` some pairs if given. A matrix product finds who can be among them, however many tie; they are then computed one by one."""
     size_q, size_t = (q * q).sum(1), (t * t).sum(1)
-    product = q @ t.T
-    if metric == "l2":
-        score = np.maximum(size_q[:, None] + size_t[None] - 2 * product, 0)
-    else:
-        length = np.sqrt(size_q)[:, None] * np.sqrt(size_t)[None]
-        score = -np.divide(product, length, out=np.zeros_like(product), where=length > 0)
-    if k is not None and k < len(t):
+    if among is not None and (k is None or k >= len(t) or among.mean() < 0.05):
+        rows, cols = np.nonzero(among)
+    elif k is not None and k < len(t):
+        product = q @ t.T
+        if metric == "l2":
+            score = np.maximum(size_q[:, None] + size_t[None] - 2 * product, 0)
+        else:
+            length = np.sqrt(size_q)[:, None] * np.sqrt(size_t)[None]
+            score = -np.divide(product, length, out=np.zeros_like(product), where=length > 0)
+        if among is not None:
+            score[~among] = np.inf
         last, slack = np.partition(score, k - 1, axis=1)[:, k - 1], 10.0**-digits
         noise = 1e-12 * (1 + size_q + size_t.max())
         last = (np.sqrt(last + noise) + slack) ** 2 + noise if metric == "l2" else last + slack + 1e-12
-        rows, cols = np.nonzero(score <= last[:, None])
+        near = score <= last[:, None]
+        rows, cols = np.nonzero(near if among is None else near & among)
     else:
         rows, cols = np.repeat(np.arange(len(q)), len(t)), np.tile(np.arange(len(t)), len(q))
     dist = np.empty(len(rows))
@@ -127,32 +138,31 @@ def knn_within(src: DataFrame, tgt: DataFrame, allowed: DataFrame, k: int, *, me
     return ranked(rows, ["query"], [F.col("dist").asc() if metric == "l2" else F.col("dist").desc(), F.col("neighbour")], k)
 
 
-def lsh(src: DataFrame, tgt: DataFrame, k: int, *, planes: int = 8, tables: int = 32, probes: int = 8, seed: int = 5, digits: int = 6) -> DataFrame:
+def lsh(src: DataFrame, tgt: DataFrame, k: int, *, planes: int = 8, tables: int = 32, probes: int = 8, seed: int = 5, digits: int = 6, broadcast_bytes: int = BROADCAST_BYTES) -> DataFrame:
     """Approximate: rows that share the sign pattern of ``planes`` random hyperplanes in any of ``tables`` tables are candidates, ranked exactly.
 
-    A query also looks into the buckets across each of the ``probes`` planes nearest to it, and across the two nearest at once.
+    A query also looks into the buckets across each of the ``probes`` planes nearest to it, and across the two nearest at once. Buckets are bit sets over the targets
+    of a batch or tile (see ``knn``), so that pairs stay where they are found and k rows a query travel on.
     """
-    dim = src.select(F.size("x")).first()[0]
-    normals = np.random.default_rng(seed).standard_normal((tables, planes, dim))
-
-    def hashed(batches: Iterator[pa.RecordBatch], near: int) -> Iterator[pa.RecordBatch]:
-        powers = 1 << np.arange(planes)
-        for batch in batches:
-            side = np.einsum("tpd,nd->ntp", normals, _matrix(pa.Table.from_batches([batch])))
-            own = ((side > 0) * powers).sum(2)
-            keys = [own]
-            if near:
-                flip = powers[np.argsort(abs(side), axis=2, kind="stable")[:, :, : max(near, 2)]]
-                keys += [own ^ flip[:, :, j] for j in range(near)] + [own ^ flip[:, :, 0] ^ flip[:, :, 1]]
-            keys = np.stack([key + np.arange(tables) * (1 << planes) for key in keys], 2).reshape(len(own), -1)
-            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(list(keys), pa.list_(pa.int64()))], [*batch.schema.names, "keys"])
-
-    def bucketed(df: DataFrame, name: str, near: int) -> DataFrame:
-        df = df.select(name, F.col("x").cast("array<double>").alias("x"))
-        return df.mapInArrow(lambda batches: hashed(batches, near), f"{name} {df.schema[name].dataType.simpleString()}, x array<double>, keys array<long>")
-
-    s, t = bucketed(src, "query", probes), bucketed(tgt, "neighbour", 0)
-    # ids meet by bucket, each pair goes on once, and only then are vectors joined
-    pairs = s.select("query", F.explode("keys").alias("bucket")).join(t.select("neighbour", F.explode("keys").alias("bucket")), "bucket").select("query", "neighbour").distinct()
-    pairs = pairs.join(s.select("query", F.col("x").alias("x_src")), "query").join(t.select("neighbour", F.col("x").alias("x_tgt")), "neighbour")
-    return ranked(pairs.select("query", "neighbour", F.round(vectors.l2(F.col("x_src"), F.col("x_tgt")), digits).alias("dist")), ["query"], [F.col("dist"), F.col("neighbour")], k)
+    dim = src.select(F.size("x")).first()
+    normals = np.random.default_rng(seed).standard_normal((tables, planes, dim[0] if dim else 1))
+    powers = 1 << np.arange(planes)
+
+    def pick(targets: np.ndarray) -> Callable[[np.ndarray], np.ndarray]:
+        own = ((np.einsum("tpd,nd->ntp", normals, targets) > 0) * powers).sum(2)
+        buckets = [np.packbits(np.arange(1 << planes)[:, None] == own[:, j], axis=1) for j in range(tables)]
+
+        def candidates(queries: np.ndarray) -> np.ndarray:
+            side = np.einsum("tpd,nd->ntp", normals, queries)
+            at = ((side > 0) * powers).sum(2)
+            flip = powers[np.argsort(abs(side), axis=2, kind="stable")[:, :, : max(probes, 2)]]
+            looks = [at, *([at ^ flip[:, :, j] for j in range(probes)] + [at ^ flip[:, :, 0] ^ flip[:, :, 1]] if probes else [])]
+            found = np.zeros((len(queries), buckets[0].shape[1]), np.uint8)
+            for j, held in enumerate(buckets):
+                for look in looks:
+                    found |= held[look[:, j]]
+            return np.unpackbits(found, axis=1, count=len(targets)).view(bool)
+
+        return candidates
+
+    return _search(src.select("query", "x"), tgt.select("neighbour", "x"), k, "l2", digits, None, broadcast_bytes, pick)

@@ -376,3 +376,31 @@ def test_jdbc_catalog_reads_the_information_schema():
 
     assert catalog.from_jdbc(Session(), "jdbc:postgresql://host/db", "retail", user="me") == "rows"
     assert asked["format"] == "jdbc" and asked["url"] == "jdbc:postgresql://host/db" and asked["user"] == "me" and "table_schema = 'retail'" in asked["query"]
+
+
+def _vectors(n, dim, seed):
+    return np.random.default_rng(seed).standard_normal((n, dim)).round(3)
+
+
+def test_hashed_blocking_ranks_the_rows_of_its_buckets_without_joining_pairs(spark, monkeypatch):
+    v, planes, tables, probes = _vectors(90, 6, 3), 3, 2, 2
+    src = spark.createDataFrame([(i, v[i].tolist()) for i in range(40)], "query long, x array<double>")
+    tgt = spark.createDataFrame([(i, v[i].tolist()) for i in range(40, 90)], "neighbour long, x array<double>").repartition(3)
+    normals = np.random.default_rng(5).standard_normal((tables, planes, 6))
+    wanted = {}
+    for q in range(40):
+        among = set()
+        for t in range(tables):
+            side = normals[t] @ v[q]
+            by = np.argsort(abs(side), kind="stable")
+            looks = [set(), {by[0]}, {by[1]}, {by[0], by[1]}]
+            patterns = {tuple((s > 0) ^ (p in flips) for p, s in enumerate(side)) for flips in looks}
+            among |= {i for i in range(40, 90) if tuple(normals[t] @ v[i] > 0) in patterns}
+        order = sorted(among, key=lambda i: (round(float(np.linalg.norm(v[q] - v[i])), 6), i))[:4]
+        wanted |= {(q, rank): i for rank, i in enumerate(order, 1)}
+    how = {"planes": planes, "tables": tables, "probes": probes}
+    found = block.lsh(src, tgt, 4, **how)
+    assert {(r.query, r.rank): r.neighbour for r in found.collect()} == wanted
+    assert "Join" not in found._jdf.queryExecution().executedPlan().toString()
+    monkeypatch.setattr(block, "TILE", (7, 9))
+    assert {(r.query, r.rank): r.neighbour for r in block.lsh(src, tgt, 4, broadcast_bytes=0, **how).collect()} == wanted
