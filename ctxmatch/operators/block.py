@@ -9,10 +9,9 @@ import pyarrow as pa
 import pyarrow.compute  # noqa: F401
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 from pyspark.sql.window import Window
 
-from ..functions import vectors
-
 #: Bytes of query vectors that are sent to every task; beyond them, queries and targets meet in tiles.
 BROADCAST_BYTES = 64 << 20
 #: Queries and targets of a tile, and cells of a distance matrix held at once.
@@ -130,11 +129,34 @@ def _best(q: np.ndarray, t: np.ndarray, k: int | None, metric: str, digits: int,
     return rows[keep], cols[keep], dist[keep]
 
 
+def _tiles(left: DataFrame, right: DataFrame, by: str, size: tuple[int, int]) -> tuple:
+    """Both sides grouped into tiles of about ``size`` rows within each value of ``by``: (query, .., x) and (neighbour, .., x)."""
+    count = lambda df, n, name: df.groupBy(by).agg(F.ceil(F.count("*") / F.lit(n)).cast("int").alias(name))
+    blocks = F.broadcast(count(left, size[0], "_m").join(count(right, size[1], "_n"), by))  # a row for each value
+    dealt = lambda df, name, own, n, other, m: df.join(blocks, by).withColumn(own, F.pmod(F.xxhash64(name), F.col(n)).cast("int")).withColumn(other, F.explode(F.sequence(F.lit(0), F.col(m) - 1))).drop("_m", "_n")
+    return dealt(left, "query", "_q", "_m", "_t", "_n").groupBy(by, "_q", "_t"), dealt(right, "neighbour", "_t", "_n", "_q", "_m").groupBy(by, "_q", "_t")
+
+
+def nearest_each(src: DataFrame, tgt: DataFrame, k: int | None, *, by: str = "table_id", metric: str = "l2", digits: int = 6) -> DataFrame:
+    """query, neighbour, dist, ``by``: the k nearest (at most k from a tile, and more if a value of ``by`` has several tiles; all without k) of the targets with the query's value of ``by``.
+
+    ``src``: query (of any type), ``by``, x; a query may have several values. ``tgt``: neighbour, ``by``, x, one row for a neighbour and value.
+    """
+    left, right = (df.select(name, by, F.col("x").cast("array<double>").alias("x")) for df, name in ((src, "query"), (tgt, "neighbour")))
+    kinds = T.StructType([left.schema["query"], right.schema["neighbour"], left.schema[by], T.StructField("dist", T.DoubleType())])
+
+    def tile(key: tuple[pa.Scalar, ...], q: pa.Table, t: pa.Table) -> pa.Table:
+        found = _nearest(q, t, k, metric, digits, None)
+        return found.append_column(by, pa.array([key[0].as_py()] * len(found), key[0].type)).select(["query", "neighbour", by, "dist"])
+
+    a, b = _tiles(left, right, by, TILE if k is not None else (max(1, CELLS // TILE[1]), TILE[1]))
+    return a.cogroup(b).applyInArrow(tile, kinds)
+
+
 def knn_within(src: DataFrame, tgt: DataFrame, allowed: DataFrame, k: int, *, metric: str = "l2", digits: int = 6) -> DataFrame:
-    """The same among allowed tables only: ``allowed(query, table_id)`` turns the search into an equi-join on the table."""
-    pairs = src.join(allowed, "query").withColumnRenamed("x", "x_src").join(tgt.withColumnRenamed("x", "x_tgt"), "table_id")
-    value = vectors.l2(F.col("x_src"), F.col("x_tgt")) if metric == "l2" else vectors.cosine(F.col("x_src"), F.col("x_tgt"))
-    rows = pairs.select("query", "neighbour", F.round(value, digits).alias("dist")).distinct()
+    """The same among allowed tables only: ``allowed(query, table_id)`` turns the search into tiles within a table, each of which sends on k rows a query."""
+    asked = src.select("query", "x").join(allowed.select("query", "table_id").distinct(), "query")
+    rows = nearest_each(asked, tgt, k, metric=metric, digits=digits).select("query", "neighbour", "dist").distinct()
     return ranked(rows, ["query"], [F.col("dist").asc() if metric == "l2" else F.col("dist").desc(), F.col("neighbour")], k)
 
 

@@ -404,3 +404,22 @@ def test_hashed_blocking_ranks_the_rows_of_its_buckets_without_joining_pairs(spa
     assert "Join" not in found._jdf.queryExecution().executedPlan().toString()
     monkeypatch.setattr(block, "TILE", (7, 9))
     assert {(r.query, r.rank): r.neighbour for r in block.lsh(src, tgt, 4, broadcast_bytes=0, **how).collect()} == wanted
+
+
+def test_search_within_tables_meets_in_tiles(spark, monkeypatch):
+    v = _vectors(60, 5, 6)
+    src = spark.createDataFrame([(i, v[i].tolist()) for i in range(20)], "query long, x array<double>")
+    held = [(i, i % 4) for i in range(20, 60)] + [(21, 0), (22, 3)]  # two neighbours are in two tables
+    tgt = spark.createDataFrame([(i, t, v[i].tolist()) for i, t in held], "neighbour long, table_id int, x array<double>").repartition(3)
+    asked = [(q, t) for q in range(20) for t in range(4) if (q + t) % 3] + [(1, 0), (1, 0), (2, 9)]  # repeated, and a table that is not there
+    found = block.knn_within(src, tgt, spark.createDataFrame(asked, "query long, table_id int"), 6)
+    wanted = {}
+    for q in range(20):
+        among = {i for i, t in held if (q, t) in asked}
+        order = sorted(among, key=lambda i: (round(float(np.linalg.norm(v[q] - v[i])), 6), i))[:6]
+        wanted |= {(q, rank): i for rank, i in enumerate(order, 1)}
+    assert {(r.query, r.rank): r.neighbour for r in found.collect()} == wanted
+    assert "FlatMapCoGroupsInArrow" in found._jdf.queryExecution().executedPlan().toString()
+    monkeypatch.setattr(block, "TILE", (3, 4))
+    again = block.knn_within(src, tgt, spark.createDataFrame(asked, "query long, table_id int"), 6)
+    assert {(r.query, r.rank): r.neighbour for r in again.collect()} == wanted
