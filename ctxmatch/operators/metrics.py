@@ -25,6 +25,12 @@ def recall_at(ranked: DataFrame, truth: DataFrame, cuts: list[int], *, query: st
     return rows.groupBy(*by, cutoff).agg(F.round(F.avg(F.col("hit").cast("double")), 6).alias("recall"))
 
 
+def recall_of_hits(ranked: DataFrame, total: DataFrame, cuts: list[int], *, by: list[str], cutoff: str) -> DataFrame:
+    """by, cutoff, recall of results that say themselves whether they are a ``hit``; ``total``: one row with the number of true pairs, which are not listed."""
+    counts = ranked.groupBy(*by).agg(*[F.count(F.when(F.col("hit") & (F.col("rank") <= c), 1)).alias(f"_{c}") for c in cuts]).crossJoin(total)
+    return counts.select(*by, F.inline(F.array(*[F.struct(F.lit(c).alias(cutoff), F.round(F.col(f"_{c}") / F.col("total"), 6).alias("recall")) for c in cuts])))
+
+
 def map_at(ranked: DataFrame, truth: DataFrame, cuts: list[int], *, query: str, item: str, by: list[str], cutoff: str = "k", norm: str = "min") -> DataFrame:
     """by, cutoff, map: mean over queries with a true item of average precision within the cutoff, divided by min(relevant, k) or by all relevant."""
     relevant = truth.groupBy(*by, query).agg(F.count("*").alias("relevant"))

@@ -423,3 +423,13 @@ def test_search_within_tables_meets_in_tiles(spark, monkeypatch):
     monkeypatch.setattr(block, "TILE", (3, 4))
     again = block.knn_within(src, tgt, spark.createDataFrame(asked, "query long, table_id int"), 6)
     assert {(r.query, r.rank): r.neighbour for r in again.collect()} == wanted
+
+
+def test_constrained_recall_lists_no_true_pairs(spark):
+    from ctxmatch.queries import QUERIES
+
+    rows = spark.createDataFrame([(1, True, 1), (1, False, 2), (1, True, 3), (2, False, 1)], "g int, hit boolean, rank int")
+    got = metrics.recall_of_hits(rows, spark.createDataFrame([(4,)], "total long"), [1, 3], by=["g"], cutoff="k")
+    assert {(r.g, r.k): r.recall for r in got.collect()} == {(1, 1): 0.25, (1, 3): 0.5, (2, 1): 0.0, (2, 3): 0.0}
+    plan = QUERIES["vector_constrained"](spark, "/root/testdata/sf0.001")._jdf.queryExecution().executedPlan().toString()
+    assert "FlatMapCoGroupsInArrow" in plan and "zip_with" not in plan
