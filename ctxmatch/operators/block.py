@@ -16,6 +16,8 @@ from pyspark.sql.window import Window
 BROADCAST_BYTES = 64 << 20
 #: Queries and targets of a tile, and cells of a distance matrix held at once.
 TILE, CELLS = (4096, 16384), 1 << 22
+#: Bytes of target vectors of one group that a task holds to rank all of them; beyond them, tiles meet and the engine ranks.
+GROUP_BYTES = 256 << 20
 #: Of the targets made into a function: which of them (columns) may be neighbours of some queries (rows).
 Pick = Callable[[np.ndarray], Callable[[np.ndarray], np.ndarray]]
 
@@ -160,6 +162,46 @@ def knn_within(src: DataFrame, tgt: DataFrame, allowed: DataFrame, k: int, *, me
     return ranked(rows, ["query"], [F.col("dist").asc() if metric == "l2" else F.col("dist").desc(), F.col("neighbour")], k)
 
 
+def cosine_ranks(src: DataFrame, tgt: DataFrame, by: str, *, digits: int = 6, group_bytes: int = GROUP_BYTES) -> DataFrame:
+    """query, neighbour, dist (cosine, 0 if either vector is all zeros), rank: all targets of the query's value of ``by``, ties by neighbour.
+
+    The queries of a value are cut into blocks, its targets copied to each; a task holds them and ranks a few queries at a time, so that pairs are neither shuffled nor
+    sorted by the engine. Targets of more than ``group_bytes`` meet the queries in tiles instead, and the engine ranks.
+    """
+    left, right = (df.select(by, name, F.col("x").cast("array<double>").alias("x")) for df, name in ((src, "query"), (tgt, "neighbour")))
+    most = right.groupBy(by).agg((F.count("*") * F.max(F.size("x")) * 8).alias("n")).agg(F.max("n")).first()[0]
+    if (most or 0) > group_bytes:
+        return ranked(nearest_each(left, right, None, by=by, metric="cosine", digits=digits).drop(by), ["query"], [F.col("dist").desc(), F.col("neighbour")], None)
+    kinds = {name: df.schema[name].dataType for df, name in ((left, "query"), (right, "neighbour"))}
+    blocks = F.broadcast(left.groupBy(by).agg(F.ceil(F.count("*") / F.lit(TILE[0] // 8)).cast("int").alias("_m")))  # a row for each value
+    asked = left.join(blocks, by).select(by, F.pmod(F.xxhash64("query"), F.col("_m")).cast("int").alias("_q"), "query", F.lit(None).cast(kinds["neighbour"]).alias("neighbour"), "x")
+    held = right.join(blocks, by).select(by, F.explode(F.sequence(F.lit(0), F.col("_m") - 1)).alias("_q"), F.lit(None).cast(kinds["query"]).alias("query"), "neighbour", "x")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        rows = pa.Table.from_batches(list(batches))
+        q, t = rows.filter(pa.compute.is_valid(rows.column("query"))), rows.filter(pa.compute.is_valid(rows.column("neighbour"))).sort_by("neighbour")
+        if not len(q) or not len(t):  # a block that no query fell into, or a value of one side only
+            return
+        ids, neighbours = (x.column(n).combine_chunks() for x, n in ((q, "query"), (t, "neighbour")))
+        a, b = _unit_rows(_matrix(q)), _unit_rows(_matrix(t))
+        one, bits, step = 10**digits, len(t).bit_length(), max(1, CELLS // 8 // len(t))
+        for i in range(0, len(q), step):
+            key = ((one - np.rint(a[i : i + step] @ b.T * one).astype(np.int64)) << bits) | np.arange(len(t))  # less for a higher cosine, then for a lower neighbour
+            key.sort(axis=1)
+            key, n = key.ravel(), len(key)
+            yield pa.RecordBatch.from_arrays([
+                ids.take(pa.array(np.repeat(np.arange(i, i + n), len(t)))), neighbours.take(pa.array(key & ((1 << bits) - 1))),
+                pa.array((one - (key >> bits)) / one), pa.array(np.tile(np.arange(1, len(t) + 1, dtype=np.int32), n)),
+            ], names=["query", "neighbour", "dist", "rank"])
+
+    return asked.union(held).groupBy(by, "_q").applyInArrow(run, f"query {kinds['query'].simpleString()}, neighbour {kinds['neighbour'].simpleString()}, dist double, rank int")
+
+
+def _unit_rows(x: np.ndarray) -> np.ndarray:
+    length = np.sqrt((x * x).sum(1))[:, None]
+    return np.divide(x, length, out=np.zeros_like(x), where=length > 0)
+
+
 def lsh(src: DataFrame, tgt: DataFrame, k: int, *, planes: int = 8, tables: int = 32, probes: int = 8, seed: int = 5, digits: int = 6, broadcast_bytes: int = BROADCAST_BYTES) -> DataFrame:
     """Approximate: rows that share the sign pattern of ``planes`` random hyperplanes in any of ``tables`` tables are candidates, ranked exactly.
 

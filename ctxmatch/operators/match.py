@@ -1,19 +1,10 @@
-"""Matching: candidate columns ranked by cosine, directions combined, results explained."""
+"""Matching: directions combined, results explained."""
 
 from __future__ import annotations
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..functions import vectors
-from .block import ranked
-
-
-def cosine(candidates: DataFrame, digits: int = 6) -> DataFrame:
-    """query, target, cosine, rank of pairs with vectors x_src and x_tgt."""
-    rows = candidates.select("query", "target", F.round(vectors.cosine(F.col("x_src"), F.col("x_tgt")), digits).alias("cosine"))
-    return ranked(rows, ["query"], [F.col("cosine").desc(), F.col("target")], None)
-
 
 def symmetric(ab: DataFrame, ba: DataFrame, how: str = "union") -> DataFrame:
     """column_a, column_b from two directed results (query, target): pairs of either direction, or of both."""

@@ -433,3 +433,18 @@ def test_constrained_recall_lists_no_true_pairs(spark):
     assert {(r.g, r.k): r.recall for r in got.collect()} == {(1, 1): 0.25, (1, 3): 0.5, (2, 1): 0.0, (2, 3): 0.0}
     plan = QUERIES["vector_constrained"](spark, "/root/testdata/sf0.001")._jdf.queryExecution().executedPlan().toString()
     assert "FlatMapCoGroupsInArrow" in plan and "zip_with" not in plan
+
+
+@pytest.mark.parametrize("limit", [block.GROUP_BYTES, 0])
+def test_cosine_ranks_of_a_group(spark, limit, monkeypatch):
+    monkeypatch.setattr(block, "TILE", (16, 16))
+    v = _vectors(50, 4, 8)
+    v[3], v[41], v[44:48] = 0, 0, v[40]  # zeros, and ties
+    src = spark.createDataFrame([(i, i % 2, v[i].tolist()) for i in range(20)] + [(99, 7, [1.0] * 4)], "query long, label int, x array<double>")
+    tgt = spark.createDataFrame([(i, i % 2, v[i].tolist()) for i in range(20, 50)], "neighbour long, label int, x array<double>").repartition(3)
+    found = block.cosine_ranks(src, tgt, "label", group_bytes=limit)
+    cos = lambda q, t: round(float(v[q] @ v[t] / (np.linalg.norm(v[q]) * np.linalg.norm(v[t]))), 6) + 0.0 if v[q].any() and v[t].any() else 0.0
+    wanted = {(q, rank): (t, cos(q, t)) for q in range(20) for rank, t in enumerate(sorted((t for t in range(20, 50) if t % 2 == q % 2), key=lambda t: (-cos(q, t), t)), 1)}
+    assert {(r.query, r.rank): (r.neighbour, r.dist) for r in found.collect()} == wanted
+    assert found.schema["rank"].dataType.simpleString() == "int"
+    assert ("Window" in found._jdf.queryExecution().executedPlan().toString()) == (limit == 0)
