@@ -54,3 +54,18 @@ def test_entry_points():
 
     assert set(entry.oracle_sql()) <= set(entry.queries()) and len(registry.QUERIES) > 200
     assert os.path.exists(os.path.join(os.path.dirname(entry.__file__), "bench.py"))
+
+
+def _against_sql(spark, name, folder, table):
+    """Rows of a query and of its SQL over one table of a folder."""
+    con = duckdb.connect()
+    con.execute(f"CREATE VIEW {table} AS SELECT * FROM '{folder}/{table}.parquet'")
+    df, relation = registry.QUERIES[name](spark, str(folder)), con.sql(registry.ORACLES[name])
+    return rows_of(df.columns, df.collect()), rows_of(relation.columns, relation.fetchall()), df
+
+
+def test_self_join_meets_in_bins(spark, tmp_path):
+    duckdb.sql(f"COPY (SELECT (k * 13) % 401 - 200 AS c_custkey, (k % 2)::INT AS c_nationkey, CASE WHEN k % 7 > 0 THEN 's' || k % 3 END AS c_mktsegment FROM range(420) AS r(k)) TO '{tmp_path}/customer.parquet'")
+    got, wanted, df = _against_sql(spark, "join_self", tmp_path, "customer")
+    assert got == wanted and len(got) > 500
+    assert "_bin" in plan(df)
