@@ -69,3 +69,9 @@ def test_self_join_meets_in_bins(spark, tmp_path):
     got, wanted, df = _against_sql(spark, "join_self", tmp_path, "customer")
     assert got == wanted and len(got) > 500
     assert "_bin" in plan(df)
+
+
+def test_range_frame_rounds_seconds_as_its_sql(spark, tmp_path):
+    duckdb.sql(f"COPY (SELECT k AS event_id, TIMESTAMP '2024-01-01 00:00:00' + to_microseconds(k * 43200250000) AS ts, k % 2 AS user_id FROM range(400) AS r(k)) TO '{tmp_path}/events.parquet'")
+    got, wanted, _ = _against_sql(spark, "win_range_frame", tmp_path, "events")
+    assert got == wanted
