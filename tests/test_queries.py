@@ -75,3 +75,36 @@ def test_range_frame_rounds_seconds_as_its_sql(spark, tmp_path):
     duckdb.sql(f"COPY (SELECT k AS event_id, TIMESTAMP '2024-01-01 00:00:00' + to_microseconds(k * 43200250000) AS ts, k % 2 AS user_id FROM range(400) AS r(k)) TO '{tmp_path}/events.parquet'")
     got, wanted, _ = _against_sql(spark, "win_range_frame", tmp_path, "events")
     assert got == wanted
+
+
+FROM_DATA = ("augmentation_statistics",)
+
+
+@pytest.fixture(scope="module")
+def changed(tmp_path_factory):
+    """The smallest tables with a customer that occurs twice and a supplier of no nation: one key and one reference less than the given tables have."""
+    folder = tmp_path_factory.mktemp("changed")
+    for name in GIVEN:
+        more = {"customer": f" UNION ALL SELECT * FROM '{SF}/customer.parquet' WHERE c_custkey = 3", "supplier": f" UNION ALL SELECT * REPLACE (s_suppkey + 5000 AS s_suppkey, -1 AS s_nationkey) FROM '{SF}/supplier.parquet' WHERE s_suppkey = 1"}.get(name, "")
+        duckdb.sql(f"COPY (SELECT * FROM '{SF}/{name}.parquet'{more}) TO '{folder}/{name}.parquet'")
+    return folder
+
+
+@pytest.mark.parametrize("name", FROM_DATA)
+def test_catalogs_follow_the_given_tables(spark, changed, name):
+    seen = []
+    for folder in (SF, changed):
+        con = duckdb.connect()
+        for table in GIVEN:
+            con.execute(f"CREATE VIEW {table} AS SELECT * FROM '{folder}/{table}.parquet'")
+        df, relation = registry.QUERIES[name](spark, str(folder)), con.sql(registry.ORACLES[name])
+        seen.append(rows_of(df.columns, df.collect()))
+        assert sorted(df.columns) == sorted(relation.columns) and seen[-1] == rows_of(relation.columns, relation.fetchall())
+    assert seen[0] != seen[1]
+
+
+def test_references_found_in_rows(spark):
+    from ctxmatch.queries.methods import found
+
+    refs = {(r.weak_column, r.strong_column) for r in found(spark, SF).refs.collect()}
+    assert {("n_regionkey", "r_regionkey"), ("c_nationkey", "n_nationkey"), ("o_custkey", "c_custkey")} <= refs
