@@ -77,7 +77,7 @@ def test_range_frame_rounds_seconds_as_its_sql(spark, tmp_path):
     assert got == wanted
 
 
-FROM_DATA = ("augmentation_statistics", "catalog_counts")
+FROM_DATA = ("augmentation_statistics", "catalog_counts", "catalog_ddl")
 
 
 @pytest.fixture(scope="module")
@@ -108,3 +108,12 @@ def test_references_found_in_rows(spark):
 
     refs = {(r.weak_column, r.strong_column) for r in found(spark, SF).refs.collect()}
     assert {("n_regionkey", "r_regionkey"), ("c_nationkey", "n_nationkey"), ("o_custkey", "c_custkey")} <= refs
+
+
+def test_statements_are_parsed(spark):
+    from ctxmatch.sources.catalog import from_ddl
+
+    ddl = "CREATE TABLE nation (n_nationkey int, n_name varchar(25), n_regionkey int, PRIMARY KEY (n_nationkey), FOREIGN KEY (n_regionkey) REFERENCES region (r_regionkey));\nCREATE TABLE region (r_regionkey int PRIMARY KEY, area decimal(12,2));"
+    cat = from_ddl(spark, "ddl", ddl)
+    assert {(r.table_id, r.column_name, r.dtype, r.is_pk) for r in cat.columns.collect()} == {("nation", "n_nationkey", "int", True), ("nation", "n_name", "varchar(25)", False), ("nation", "n_regionkey", "int", False), ("region", "r_regionkey", "int", True), ("region", "area", "decimal(12,2)", False)}
+    assert [tuple(r) for r in cat.refs.collect()] == [("ddl", "region", "r_regionkey", "nation", "n_regionkey")]
