@@ -77,7 +77,7 @@ def test_range_frame_rounds_seconds_as_its_sql(spark, tmp_path):
     assert got == wanted
 
 
-FROM_DATA = ("augmentation_statistics", "catalog_counts", "catalog_ddl", "catalog_source")
+FROM_DATA = ("augmentation_statistics", "catalog_counts", "catalog_ddl", "catalog_source", "catalog_valid_refs")
 
 
 @pytest.fixture(scope="module")
