@@ -77,7 +77,7 @@ def test_range_frame_rounds_seconds_as_its_sql(spark, tmp_path):
     assert got == wanted
 
 
-FROM_DATA = ("augmentation_statistics", "catalog_counts", "catalog_ddl", "catalog_source", "catalog_valid_refs")
+FROM_DATA = ("augmentation_statistics", "catalog_counts", "catalog_ddl", "catalog_source", "catalog_valid_refs", "constraint_text")
 
 
 @pytest.fixture(scope="module")
