@@ -117,3 +117,9 @@ def test_statements_are_parsed(spark):
     cat = from_ddl(spark, "ddl", ddl)
     assert {(r.table_id, r.column_name, r.dtype, r.is_pk) for r in cat.columns.collect()} == {("nation", "n_nationkey", "int", True), ("nation", "n_name", "varchar(25)", False), ("nation", "n_regionkey", "int", False), ("region", "r_regionkey", "int", True), ("region", "area", "decimal(12,2)", False)}
     assert [tuple(r) for r in cat.refs.collect()] == [("ddl", "region", "r_regionkey", "nation", "n_regionkey")]
+
+
+def test_word_hashes_of_conversations(spark, duck):
+    df, relation = registry.QUERIES["encode_wordhash"](spark, SF), duck.sql(registry.ORACLES["encode_wordhash"])
+    assert rows_of(df.columns, df.collect()) == rows_of(relation.columns, relation.fetchall())
+    assert "conversations.parquet" in plan(df)
