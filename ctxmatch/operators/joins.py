@@ -31,3 +31,18 @@ def salted(large: DataFrame, small: DataFrame, key: str, salts: int) -> DataFram
     spread = large.withColumn("_salt", F.pmod(F.monotonically_increasing_id(), F.lit(salts)).cast("int"))
     copied = small.withColumn("_salt", F.explode(F.sequence(F.lit(0), F.lit(salts - 1))))
     return spread.join(copied, [key, "_salt"]).drop("_salt")
+
+
+def pairs(rows: DataFrame, keys: list[str], value: str, tile: int = 2048) -> DataFrame:
+    """Every pair ``a`` < ``b`` of ``value`` among the rows that agree in ``keys``, however far apart and however many.
+
+    A group is cut by a hash of the value into bins of about ``tile`` rows. A bin is one array, and each row of the group is copied once for each bin: a copy that travels
+    stands for ``tile`` pairs, no pair is shuffled, and a large group is dealt to as many places as it has bins. The merge join streams the copies past the arrays, so a task
+    makes the pairs of one copy at a time; with the copies on the other side it would make those of a whole bin at once.
+    """
+    rows = rows.select(*keys, value).filter(F.col(value).isNotNull())
+    sized = rows.join(rows.groupBy(*keys).agg(F.ceil(F.count("*") / tile).alias("_bins")), keys)
+    places = int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions"))  # given as a number: the engine would merge places by their input, which is small beside the pairs
+    bins = sized.select(*keys, F.pmod(F.xxhash64(value), F.col("_bins")).alias("_bin"), value).repartition(places, *keys, "_bin").groupBy(*keys, "_bin").agg(F.collect_list(value).alias("_held"))
+    copies = sized.select(*keys, F.explode(F.sequence(F.lit(0).cast("long"), F.col("_bins") - 1)).alias("_bin"), F.col(value).alias("a")).repartition(places, *keys, "_bin")
+    return copies.hint("merge").join(bins, [*keys, "_bin"]).select("a", F.explode("_held").alias("b")).filter("a < b")

@@ -71,6 +71,23 @@ def test_self_join_meets_in_bins(spark, tmp_path):
     assert "_bin" in plan(df)
 
 
+def test_self_join_keeps_partners_at_any_distance(spark, tmp_path):
+    duckdb.sql(f"COPY (SELECT CASE WHEN k % 50 > 0 THEN (k * 7919) % 90001 - 45000 END AS c_custkey, CASE WHEN k % 11 > 0 THEN (k % 2)::INT END AS c_nationkey, 's' || k % 3 AS c_mktsegment FROM (SELECT * FROM range(300) UNION ALL SELECT * FROM range(20)) AS r(k)) TO '{tmp_path}/customer.parquet'")
+    got, wanted, _ = _against_sql(spark, "join_self", tmp_path, "customer")
+    rows = duckdb.sql(f"SELECT * FROM '{tmp_path}/customer.parquet'").fetchall()
+    whole = sorted((str(a), str(b)) for a, *x in rows for b, *y in rows if None not in (a, b, *x) and x == y and a < b)
+    assert got == wanted == whole and max(int(b) - int(a) for a, b in got) > 40000
+
+
+@pytest.mark.parametrize("tile", [1, 7, 2048])
+def test_pairs_are_whole_at_any_size_of_bins(spark, tile):
+    from ctxmatch.operators import joins
+
+    rows = [(k % 3 if k % 5 else 0, (k * 37) % 101 - 50) for k in range(110)]
+    got = joins.pairs(spark.createDataFrame(rows, "g int, v long"), ["g"], "v", tile).collect()
+    assert sorted(map(tuple, got)) == sorted((a, b) for g, a in rows for h, b in rows if g == h and a < b)
+
+
 def test_range_frame_rounds_seconds_as_its_sql(spark, tmp_path):
     duckdb.sql(f"COPY (SELECT k AS event_id, TIMESTAMP '2024-01-01 00:00:00' + to_microseconds(k * 43200250000) AS ts, k % 2 AS user_id FROM range(400) AS r(k)) TO '{tmp_path}/events.parquet'")
     got, wanted, _ = _against_sql(spark, "win_range_frame", tmp_path, "events")
